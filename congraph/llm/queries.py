@@ -9,6 +9,7 @@ from congraph.llm.best_fit import pack_documents
 from congraph.llm.bitpack import read_packed, write_packed
 from congraph.llm.common import documents
 from congraph.llm.exact_dedup import exact_classes
+from congraph.llm.html_extract import extract_pages
 from congraph.llm.kd_shards import shard_documents
 from congraph.llm.merkle import fingerprints
 from congraph.llm.ngram_join import near_components
@@ -31,6 +32,10 @@ def op5_merkle(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprints(documents(spark, sf_dir))
 
 
+def op7_html_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return extract_pages(spark.read.parquet(f"{sf_dir}/pages.parquet"))
+
+
 def op8_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_classes(documents(spark, sf_dir))
 
@@ -44,7 +49,7 @@ def op10_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(documents(spark, sf_dir))
 
 
-QUERIES = {f.__name__: f for f in (op1_kd_shards, op2_ngram_join, op4_toxicity, op5_merkle, op8_exact_dedup, op9_packed_ids, op10_best_fit)}
+QUERIES = {f.__name__: f for f in (op1_kd_shards, op2_ngram_join, op4_toxicity, op5_merkle, op7_html_main_text, op8_exact_dedup, op9_packed_ids, op10_best_fit)}
 
 _NORM = "regexp_replace(coalesce(text, ''), '[\\x20\\x09-\\x0D]+', ' ', 'g')"
 
