@@ -13,6 +13,7 @@ from congraph.llm.html_extract import extract_pages
 from congraph.llm.kd_shards import shard_documents
 from congraph.llm.merkle import fingerprints
 from congraph.llm.ngram_join import near_components
+from congraph.llm.sentencepiece_viterbi import encode_digests
 from congraph.llm.toxicity import score_toxicity
 
 
@@ -24,6 +25,10 @@ def op2_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_components(documents(spark, sf_dir), percent=80, width=5)
 
 
+def op3_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return encode_digests(documents(spark, sf_dir))
+
+
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_toxicity(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
@@ -49,7 +54,7 @@ def op10_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(documents(spark, sf_dir))
 
 
-QUERIES = {f.__name__: f for f in (op1_kd_shards, op2_ngram_join, op4_toxicity, op5_merkle, op7_html_main_text, op8_exact_dedup, op9_packed_ids, op10_best_fit)}
+QUERIES = {f.__name__: f for f in (op1_kd_shards, op2_ngram_join, op3_sentencepiece, op4_toxicity, op5_merkle, op7_html_main_text, op8_exact_dedup, op9_packed_ids, op10_best_fit)}
 
 _NORM = "regexp_replace(coalesce(text, ''), '[\\x20\\x09-\\x0D]+', ' ', 'g')"
 
