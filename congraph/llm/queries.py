@@ -11,6 +11,7 @@ from congraph.llm.common import documents
 from congraph.llm.exact_dedup import exact_classes
 from congraph.llm.html_extract import extract_pages
 from congraph.llm.kd_shards import shard_documents
+from congraph.llm.line_dedup import dedup_lines
 from congraph.llm.merkle import fingerprints
 from congraph.llm.ngram_join import near_components
 from congraph.llm.sentencepiece_viterbi import encode_digests
@@ -37,6 +38,10 @@ def op5_merkle(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprints(documents(spark, sf_dir))
 
 
+def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return dedup_lines(documents(spark, sf_dir))
+
+
 def op7_html_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract_pages(spark.read.parquet(f"{sf_dir}/pages.parquet"))
 
@@ -54,7 +59,7 @@ def op10_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(documents(spark, sf_dir))
 
 
-QUERIES = {f.__name__: f for f in (op1_kd_shards, op2_ngram_join, op3_sentencepiece, op4_toxicity, op5_merkle, op7_html_main_text, op8_exact_dedup, op9_packed_ids, op10_best_fit)}
+QUERIES = {f.__name__: f for f in (op1_kd_shards, op2_ngram_join, op3_sentencepiece, op4_toxicity, op5_merkle, op6_line_dedup, op7_html_main_text, op8_exact_dedup, op9_packed_ids, op10_best_fit)}
 
 _NORM = "regexp_replace(coalesce(text, ''), '[\\x20\\x09-\\x0D]+', ' ', 'g')"
 
