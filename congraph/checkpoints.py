@@ -7,12 +7,11 @@ import shutil
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
-def cut(df: DataFrame, name: str = "step") -> DataFrame:
-    """df's rows, written once and read again; only local sessions may go without the setting."""
-    spark = df.sparkSession
+def fresh_path(spark: SparkSession, name: str) -> str:
+    """A new folder in the shared one; only local sessions may go without the setting."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
@@ -21,6 +20,11 @@ def cut(df: DataFrame, name: str = "step") -> DataFrame:
         atexit.register(shutil.rmtree, folder, True)
         base = f"file://{folder}"
         spark.conf.set("spark.checkpoint.dir", base)
-    path = f"{base.rstrip('/')}/cut-{name}-{uuid.uuid4().hex}"
+    return f"{base.rstrip('/')}/cut-{name}-{uuid.uuid4().hex}"
+
+
+def cut(df: DataFrame, name: str = "step") -> DataFrame:
+    """df's rows, written once and read again."""
+    path = fresh_path(df.sparkSession, name)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)

@@ -14,6 +14,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from congraph.checkpoints import cut
 from congraph.operators.atoms import Frames
 from congraph.plans.compile import Atom, ConjunctiveQuery
 from congraph.plans.order import VarGroup
@@ -26,11 +27,12 @@ class PrefixIndex:
     rows: Frames
     keyed: bool = False
     kept: dict = field(default_factory=dict)
-    persist: bool = False
+    #: Levels are tables in the shared folder, to be used again by later queries.
+    written: bool = False
 
     def _keep(self, key, make) -> DataFrame:
         if key not in self.kept:
-            self.kept[key] = make().persist() if self.persist else make()
+            self.kept[key] = cut(make(), "index") if self.written else make()
         return self.kept[key]
 
     def level(self, atom: Atom, columns: Sequence[str]) -> DataFrame:
@@ -53,12 +55,6 @@ class PrefixIndex:
             df = df.where(F.col(v) == x)
         return df.drop(*given)
 
-    def release(self) -> None:
-        if self.persist:
-            for df in self.kept.values():
-                df.unpersist()
-        self.kept.clear()
-
 
 def build_index(df: DataFrame, order: Sequence[str]) -> list[DataFrame]:
     """Trie levels of one relation: for each d, its distinct prefixes of length d and the continuations under each."""

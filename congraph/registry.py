@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 from congraph import workloads
+from congraph.operators import catalogue
 
 
 def queries() -> dict:
-    return workloads.workload_queries()[0]
+    return {**workloads.workload_queries()[0], **catalogue.QUERIES}
 
 
 def oracles() -> dict[str, str]:
     found, base = workloads.workload_queries()
-    return {k: workloads.ORACLES[base[k]] for k in found if base[k] in workloads.ORACLES}
+    return {k: workloads.ORACLES[base[k]] for k in found if base[k] in workloads.ORACLES} | catalogue.ORACLES

@@ -185,7 +185,7 @@ def w27(spark, sf):
     g = lifts.lift_trade(spark, sf)
     cq = compiled("(lane (home (payer ?l)) (home (vendor ?l)))")
     frames = atom_frames(g, cq)
-    index = PrefixIndex(frames, cq.keyed, persist=True)
+    index = PrefixIndex(frames, cq.keyed, written=True)
     match(g, cq, strategy="extension", frames=frames, index=index).count()
     return _with_line(g, match(g, cq, strategy="extension", frames=frames, index=index), r_regionkey="root:int")
 
