@@ -8,14 +8,20 @@ from functools import partial
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from congraph import suites
+from congraph.checkpoints import cut
 from congraph.closure import rebuild
-from congraph.intern import hash_id, key_of
-from congraph.operators.extension import PrefixIndex
-from congraph.operators.match import compiled, match, match_stale
+from congraph.graph import CongruenceGraph
+from congraph.incremental import MatchState, weighted
+from congraph.intern import hash_id, key_of, tag
 from congraph.operators.atoms import atom_frames
+from congraph.operators.extension import PrefixIndex
+from congraph.operators.match import compiled, match, match_order, match_stale
 from congraph.plans.compile import ConjunctiveQuery, query
+from congraph.plans.cover import agm_bound, fd_bound, integral_cover_bound, product_bound
 from congraph.sources import lifts
 from congraph.sources.tables import read_table
+from congraph.sql_engine import SqlEngine
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -190,6 +196,92 @@ def w27(spark, sf):
     return _with_line(g, match(g, cq, strategy="extension", frames=frames, index=index), r_regionkey="root:int")
 
 
+def w21_events(spark, sf, slices=5):
+    """w20 maintained over slices of each user's events, a later slice on top of the chains of those before."""
+    g, places = lifts.lift_events(spark, sf), lifts.event_places(spark, sf)
+    steps = cut(g.rel("step", 2).join(places.select("id", "k"), "id"), "steps")
+    state = MatchState.empty(g, "(step ?t (step ?u (step ?t ?p)))")
+    width = max(1, -(-(steps.agg(F.max("k")).first()[0] or 1) // slices))
+    for i in range(slices):
+        part = steps.where((F.col("k") > i * width) & (F.col("k") <= (i + 1) * width)).drop("k")
+        state.advance({"step": weighted(part)}, i)
+    return state.matches.select(F.col("root").alias("id")).join(places, "id").select("user_id", (F.col("k") - 2).alias("k"))
+
+
+def w29_running(spark, sf):
+    """The running example by the SQL engine."""
+    nodes = lifts.lift_star(spark, sf).nodes.select("sym", "cls", F.get("args", F.lit(0)).alias("a1"), F.get("args", F.lit(1)).alias("a2"))
+    return keys(SqlEngine(spark, 2).match(nodes, "(f ?a (g ?a))", {"f": 2, "g": 1}), p_partkey="a")
+
+
+def w29_congruence(spark, sf):
+    flat = CongruenceGraph(spark, lifts._document_relations(spark, sf)).nodes.where("sym <> 'rated'")
+    nodes = flat.select("sym", "cls", F.get("args", F.lit(0)).alias("a1"), F.get("args", F.lit(1)).alias("a2"))
+    built = SqlEngine(spark, 2).rebuild(nodes, lifts.document_merges(spark, sf).select(F.col("a").alias("rep"), F.col("b").alias("id")))
+    return built.groupBy(F.col("sym").alias("symbol")).agg(F.count_distinct("cls").alias("n_classes"), F.count(F.lit(1)).alias("n_nodes"))
+
+
+def g_find(spark, sf):
+    """Representatives of merged documents."""
+    return lifts.lift_documents(spark, sf).find_map.select(key_of(F.col("id")).alias("doc_id"), key_of(F.col("rep")).alias("rep"))
+
+
+def g_lookup(spark, sf):
+    """The class of each order's buyer node."""
+    g = lifts.lift_trade(spark, sf)
+    wanted = g.rel("buyer", 1).select(F.lit("buyer").alias("sym"), F.array("a1").alias("args"))
+    return g.with_nodes(CongruenceGraph(spark, {"buyer": g.rel("buyer", 1)}).nodes).lookup(wanted).select(key_of(F.col("args")[0]).alias("o_orderkey"), key_of(F.col("cls")).alias("o_custkey"))
+
+
+def g_members(spark, sf):
+    """Nodes in each nation's class."""
+    g = CongruenceGraph(spark, {"home": lifts.lift_trade(spark, sf).rel("home", 1)})
+    return g.members().select(key_of(F.col("cls")).cast("int").alias("n_nationkey"), F.size("nodes").cast("long").alias("n"))
+
+
+def g_terms(spark, sf):
+    """Terms that the two large classes of the star stand for: N below g, N * N below f."""
+    star = lifts.lift_star(spark, sf)
+    leaf = star.rel("leaf", 1).select("id")
+    g = CongruenceGraph(spark, {"g": star.rel("g", 1), "f": star.rel("f", 2), "leaf": leaf})
+    return g.count_terms(3).where(F.shiftright("cls", 56) == tag("class")).select(key_of(F.col("cls")).alias("which"), F.col("terms").cast("long").alias("terms"))
+
+
+def g_violations(spark, sf):
+    return CongruenceGraph(spark, {k: v for k, v in lifts.lift_trade(spark, sf).relations().items() if k in ("buyer", "home", "zone", "lane")}).violations().agg(F.count(F.lit(1)).alias("n"))
+
+
+def c_bounds(spark, sf):
+    """Bounds of the workloads from the sizes of their relations."""
+    rows = []
+    trade, sides = lifts.lift_trade(spark, sf), lifts.lift_projections(spark, sf)
+    for name, g, p in (("w03", trade, "(kin (payer ?l) (vendor ?l))"), ("w04", trade, "(zone (home (buyer ?o)))"), ("w07", sides, TRIANGLE)):
+        cq = compiled(p)
+        found = g.sizes([(a.sym, a.arity) for a in cq.atoms])
+        n = {a.alias: found[a.sym, a.arity] for a in cq.atoms}
+        rows += [(name, "agm", agm_bound(cq, n)), (name, "product", product_bound(cq, n)), (name, "integral", integral_cover_bound(cq, n)), (name, "fd", fd_bound(cq, n) if cq.keyed else agm_bound(cq, n))]
+    return spark.createDataFrame([(a, b, float(f"{x:.9g}")) for a, b, x in rows], "workload string, measure string, value double")
+
+
+def m_orders(spark, sf):
+    """Chosen orders as rows."""
+    g, rows = lifts.lift_trade(spark, sf), []
+    for name, p in (("w02", "(ship ?s (home ?s))"), ("w03", "(kin (payer ?l) (vendor ?l))"), ("w04", "(zone (home (buyer ?o)))"), ("w11", BATCH)):
+        rows += [(name, k, " ".join(group)) for k, group in enumerate(match_order(g, p))]
+    return spark.createDataFrame(rows, "workload string, round int, variables string")
+
+
+def visited_counts(spark, sf):
+    """Tuples that each matcher enumerates on the running example before its last test: N^2 against N."""
+    g = lifts.lift_star(spark, sf)
+    watch: list = []
+    match(g, "(f ?a (g ?a))", strategy="topdown", visited=watch).count()
+    trace: list = []
+    match(g, "(f ?a (g ?a))", strategy="extension", trace=trace).count()
+    joined = max(df.count() for _, _, df in trace)
+    return spark.createDataFrame([("topdown", watch[-1].get["visited"]), ("extension", joined)], "matcher string, visited long")
+
+
 #: name: (workload, strategies). Every strategy of a workload has the same oracle.
 _ACYCLIC = ("extension", "static", "binary", "reduced", "shares", "topdown", "topdown_eager")
 _CYCLIC = ("extension", "static", "binary", "hybrid", "shares", "topdown", "topdown_eager")
@@ -232,6 +324,20 @@ def workload_queries() -> tuple[dict[str, Query], dict[str, str]]:
         "w02_binary_hash": (partial(w02, strategy="binary", hint="shuffle_hash"), "w02_trade_nonlinear"),
         "w02_binary_merge": (partial(w02, strategy="binary", hint="merge"), "w02_trade_nonlinear"),
         "w16_congruence": (w16, "w16_congruence"),
+        "w12_algebra_suite": (partial(suites.suite_counts, name="algebra"), "w12"),
+        "w13_binder_suite": (partial(suites.suite_counts, name="binder"), "w13"),
+        "w15_associativity": (suites.associativity_levels, "w15_associativity"),
+        "w21_incremental": (w21_events, "w20_events"),
+        "w29_sql_running": (w29_running, "w01_running_example"),
+        "w29_sql_congruence": (w29_congruence, "w16_congruence"),
+        "g_find_documents": (g_find, "g_find_documents"),
+        "g_lookup_trade": (g_lookup, "g_lookup_trade"),
+        "g_members_trade": (g_members, "g_members_trade"),
+        "g_count_terms": (g_terms, "g_count_terms"),
+        "g_violations": (g_violations, "g_violations"),
+        "c_bounds": (c_bounds, "c_bounds"),
+        "c_visited": (visited_counts, "c_visited"),
+        "m_orders": (m_orders, "m_orders"),
         "w25_fd_strict": (partial(w25, fd="strict"), "w03_cyclic"),
         "w25_fd_off": (partial(w25, fd="off"), "w03_cyclic"),
         "w27_prebuilt_index": (w27, "w03b_cyclic_small_outer"),
@@ -255,6 +361,14 @@ _SHIP = """SELECT DISTINCT s_suppkey, n_nationkey FROM (
     JOIN supplier ON l_suppkey = s_suppkey AND c_nationkey = s_nationkey JOIN nation ON n_nationkey = s_nationkey"""
 
 ORACLES: dict[str, str] = {
+    # A chain of n orders has n - 1 sums; chains that begin alike share theirs, and a sum of a sum is a match.
+    "w15_associativity": "WITH o AS (SELECT o_custkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderkey) AS k FROM orders) SELECT count(*) AS n FROM o WHERE k >= 3",
+    "g_find_documents": "SELECT doc_id, rep FROM (SELECT doc_id, min(doc_id) OVER (PARTITION BY text) AS rep FROM documents) WHERE doc_id <> rep",
+    "g_lookup_trade": "SELECT o_orderkey, o_custkey FROM orders",
+    "g_members_trade": "SELECT n AS n_nationkey, count(*) AS n FROM (SELECT c_nationkey AS n FROM customer UNION ALL SELECT s_nationkey FROM supplier) x(n) GROUP BY 1",
+    "g_count_terms": "SELECT CAST(0 AS BIGINT) AS which, count(*) AS terms FROM part UNION ALL SELECT CAST(1 AS BIGINT), count(*) * count(*) FROM part",
+    "g_violations": "SELECT CAST(0 AS BIGINT) AS n",
+    "c_visited": "SELECT 'topdown' AS matcher, count(*) * count(*) AS visited FROM part UNION ALL SELECT 'extension', count(*) FROM part",
     "w01_running_example": "SELECT p_partkey FROM part",
     "w02_trade_nonlinear": _SHIP,
     "w03_cyclic": f"WITH {_TRIPLES} SELECT o AS o_orderkey, p AS p_partkey, s AS s_suppkey, c_nationkey AS n_nationkey FROM t JOIN orders ON o = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON s = s_suppkey AND s_nationkey = c_nationkey",
