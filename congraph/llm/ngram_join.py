@@ -29,11 +29,13 @@ from pyspark.sql import functions as F
 
 from congraph.llm.common import doc_text, partitions_for, written
 from congraph.llm.components import components
-from congraph.llm.shingles import WIDTH, shingle_set
+from congraph.llm.shingles import WIDTH, mixed, shingle_set
 
 #: Counters of the sketch: 2^22 of 4 bytes, for any corpus.
 SKETCH_BITS = 22
 _CHUNK = 1 << 14
+#: Bits of the bitmap that leads a scan to the documents whose sets are wanted: 4 MB, for any corpus.
+SIEVE_BITS = 25
 #: Members of a list that one task compares with each other.
 BLOCK = 20_000
 
@@ -204,15 +206,53 @@ def _verify(percent: int):
     return run
 
 
-def _sets(width: int):
+def _bit(ids: np.ndarray) -> np.ndarray:
+    return (mixed(ids.view("u8")) >> np.uint64(64 - SIEVE_BITS)).astype("i8")
+
+
+def _sieve_parts(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    bits = np.zeros(_CHUNK, "u1")
+    for batch in batches:
+        bits[batch.column("bit").to_numpy() % _CHUNK] = 1
+    yield pa.record_batch([pa.array([key[0].as_py()], pa.int64()), pa.array([np.packbits(bits).tobytes()], pa.binary())], names=["chunk", "bits"])
+
+
+def _hash_bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        bit = _bit(batch.column("doc_id").to_numpy())
+        yield pa.record_batch([pa.array(bit // _CHUNK), pa.array(bit)], names=["chunk", "bit"])
+
+
+def _sieve(ids: DataFrame) -> np.ndarray:
+    """A bitmap of 2^SIEVE_BITS bits with those of the ids set: no wanted row is lost, a few others may pass."""
+    out = np.zeros(1 << SIEVE_BITS >> 3, "u1")
+    bits = ids.select("doc_id").mapInArrow(_hash_bits, "chunk long, bit long").distinct()
+    for r in bits.groupBy("chunk").applyInArrow(_sieve_parts, "chunk long, bits binary").collect():
+        out[r.chunk * _CHUNK >> 3 : (r.chunk + 1) * _CHUNK >> 3] = np.frombuffer(r.bits, "u1")
+    return out
+
+
+def _sets(width: int, sieve):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bits = sieve.value
         for batch in batches:
-            sets = [shingle_set(t, width) for t in batch.column("text").to_pylist()]
-            yield pa.record_batch([batch.column("class"), pa.array([s.tobytes() for s in sets], pa.binary())], names=["class", "grams"])
+            bit = _bit(batch.column("doc_id").to_numpy())
+            wanted = np.flatnonzero(bits[bit >> 3] >> (7 - (bit & 7)).astype("u1") & 1)
+            sets = [shingle_set(t, width) for t in batch.column("text").take(pa.array(wanted)).to_pylist()]
+            if sets:
+                yield pa.record_batch([pa.array([class_of(s) for s in sets], pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], names=["class", "grams"])
 
     return run
 
 
+def _sets_of(rows: DataFrame, docs_of: DataFrame, pairs: DataFrame, width: int) -> DataFrame:
+    """class, grams of the classes in pairs, built again from one document of each; only those are shingled."""
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("class")).distinct()
+    chosen = docs_of.where("n > 0").join(wanted, "class", "left_semi").groupBy("class").agg(F.min("doc_id").alias("doc_id"))
+    sieve = rows.sparkSession.sparkContext.broadcast(_sieve(chosen))
+    return written(rows.mapInArrow(_sets(width, sieve), "class long, grams binary"), "grams")
+
+
 def _links(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Pairs that link; each is verified once, beside its two sets."""
     a = sets.select(F.col("class").alias("a"), F.col("grams").alias("set_a"))
@@ -262,9 +302,9 @@ def _crossing(percent: int):
 
 def _cells(labelled: DataFrame) -> DataFrame:
     """Lists with several components, each as one cell; one of over BLOCK members as all pairs of its blocks."""
-    mixed = labelled.groupBy("gram").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count(F.lit(1)).alias("size"))
-    mixed = mixed.where("lo <> hi").select("gram", F.ceil(F.col("size") / BLOCK).cast("int").alias("blocks"))
-    rows = labelled.join(mixed, "gram").withColumn("block", F.pmod(F.xxhash64("class"), F.col("blocks")).cast("int"))
+    several = labelled.groupBy("gram").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count(F.lit(1)).alias("size"))
+    several = several.where("lo <> hi").select("gram", F.ceil(F.col("size") / BLOCK).cast("int").alias("blocks"))
+    rows = labelled.join(several, "gram").withColumn("block", F.pmod(F.xxhash64("class"), F.col("blocks")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
     rows = rows.select("gram", "class", "n", "pos", "component", "block", "blocks", other.alias("other"))
     return rows.select("gram", "class", "n", "pos", "component", "block", (F.least("block", "other") * F.col("blocks") + F.greatest("block", "other")).alias("cell"))
@@ -280,18 +320,15 @@ def near_components(docs: DataFrame, percent: int = 80, width: int = WIDTH) -> D
     lists = rows.mapInArrow(_prefixes(sketch, width, percent), _POSTING).repartition(parts, "gram").sortWithinPartitions("gram", "pos", "n", "class")
     found = written(lists.mapInArrow(_stars(percent), _PAIR), "stars")
     postings = found.where("kind = 1").select("gram", "class", "n", "pos").distinct()
-    members = postings.select("class").distinct()
-    # One document for each class that any pair may need; its set is built again from its text.
-    chosen = docs_of.where("n > 0").join(members, "class", "left_semi").groupBy("class").agg(F.min("doc_id").alias("doc_id"))
-    sets = written(rows.join(chosen, "doc_id").mapInArrow(_sets(width), "class long, grams binary").dropDuplicates(["class"]), "grams")
-    stars = found.where("kind = 0").select("a", "b").distinct()
-    links = written(_links(stars, sets, percent), "links")
+    stars = written(found.where("kind = 0").select("a", "b").distinct(), "pairs")
+    links = written(_links(stars, _sets_of(rows, docs_of, stars, width), percent), "links")
     of = components(links)
     labelled = postings.join(of.withColumnRenamed("node", "class"), "class", "left").withColumn("component", F.coalesce("component", "class"))
     labelled = written(labelled, "labelled")
     crossing = _cells(labelled).repartition(parts, "gram", "cell").sortWithinPartitions("gram", "cell").mapInArrow(_crossing(percent), "a long, b long")
-    more = written(_links(crossing.distinct().join(stars, ["a", "b"], "left_anti"), sets, percent), "links")
-    if more.take(1):
+    crossing = written(crossing.distinct().join(stars, ["a", "b"], "left_anti"), "pairs")
+    if crossing.take(1):
+        more = written(_links(crossing, _sets_of(rows, docs_of, crossing, width), percent), "links")
         of = components(of.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more))
     label = of.select(F.col("node").alias("class"), "component")
     tagged = docs_of.join(label, "class", "left").withColumn("group", F.when(F.col("n") > 0, F.coalesce("component", "class")))
