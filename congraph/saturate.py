@@ -14,7 +14,10 @@ from congraph.closure import merge, rebuild
 from congraph.graph import CongruenceGraph
 from congraph.intern import hash_id
 from congraph.operators.match import match
-from congraph.terms import App, Pattern, Rule, Var
+from congraph.terms import Pattern, Rule, Var
+
+#: Rules whose matches one plan holds; more would make the plan itself large.
+RULES_IN_PLAN = 4
 
 
 def node_id(sym: str, args: list) -> object:
@@ -46,6 +49,19 @@ def apply_rule(graph: CongruenceGraph, rule: Rule, matches: DataFrame) -> tuple[
     return nodes, df.select(F.col("root").alias("a"), F.col(top).alias("b")).where("a <> b")
 
 
+def _rules_once(graph: CongruenceGraph, rules: Sequence[Rule], strategy: str) -> tuple[DataFrame, DataFrame]:
+    """Written nodes and pairs of a few rules; matches come once, both are read off them."""
+    nodes = pairs = None
+    none = graph.spark.createDataFrame([], "sym string, cls long, args array<long>")
+    for r in rules:
+        found = match(graph, r.left, strategy=strategy, where=r.conditions)
+        new, same = apply_rule(graph, r, found)
+        new = none if new is None else new
+        nodes = new if nodes is None else nodes.unionByName(new)
+        pairs = same if pairs is None else pairs.unionByName(same)
+    return cut(nodes, "new-nodes"), cut(pairs, "merges")
+
+
 @dataclass
 class Saturation:
     graph: CongruenceGraph
@@ -67,16 +83,13 @@ def saturate(graph: CongruenceGraph, rules: Sequence[Rule], node_limit: int = 10
     n = graph.nodes.count()
     for _ in range(iter_limit):
         t = time.time()
+        # Everything is evaluated on the snapshot before anything is applied; a few rules share a plan.
         nodes = pairs = None
-        for r in rules:
-            found = match(out.graph, r.left, strategy=strategy, where=r.conditions)
-            new, same = apply_rule(out.graph, r, found)
-            if new is not None:
-                nodes = new if nodes is None else nodes.unionByName(new)
-            pairs = same if pairs is None else pairs.unionByName(same)
-        # The one action that evaluates every match: on the snapshot, before anything is applied.
-        pairs = cut(pairs.distinct(), "merges")
-        nodes = cut(nodes.distinct(), "new-nodes")
+        for k in range(0, len(rules), RULES_IN_PLAN):
+            some, merges = _rules_once(out.graph, rules[k : k + RULES_IN_PLAN], strategy)
+            nodes = some if nodes is None else nodes.unionByName(some)
+            pairs = merges if pairs is None else pairs.unionByName(merges)
+        pairs, nodes = pairs.distinct(), nodes.distinct()
         out.match_s += time.time() - t
         grown = out.graph.nodes.select("sym", "cls", "args", "ver").unionByName(nodes.withColumn("ver", F.lit(out.graph.version + 1)))
         # A new node that the graph has under another class meets it in the rebuild.

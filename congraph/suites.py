@@ -54,11 +54,11 @@ def suite_counts(spark: SparkSession, sf_dir: str, name: str, strategy: str = "a
     if name == "algebra":
         patterns["DEEP"] = rules_algebra.DEEP
     rules = {r.name: r for r in (rules_algebra.RULES if name == "algebra" else rules_binding.RULES)}
-    out = None
+    rows = []
     for k, p in patterns.items():
-        one = match(graph, p, strategy=strategy, where=rules[k].conditions if k in rules else ()).agg(F.count(F.lit(1)).alias("n")).select(F.lit(k).alias("pattern"), "n")
-        out = one if out is None else out.unionByName(one)
-    return out
+        df = match(graph, p, strategy=strategy, where=rules[k].conditions if k in rules else ())
+        rows.append((k, df.count()))
+    return spark.createDataFrame(rows, "pattern string, n long")
 
 
 def associativity_levels(spark: SparkSession, sf_dir: str) -> DataFrame:
