@@ -7,8 +7,8 @@ the filter needs to lose nothing, and common shingles stand out in it at any sca
 
 Round one takes each posting list as a star around the member that has the shingle earliest in its order (the
 one with the fewest rare shingles of its own, which is the original among its edited copies). Round two takes
-the lists that still hold several components and verifies every pair that crosses them and passes the length
-and position filters. Pairs inside a component need no check, as they can't change the result; so large groups
+the lists that still hold several components and verifies every pair that crosses them and passes the length,
+position and bitmap filters. Pairs inside a component need no check, as they can't change the result; so large groups
 cost their size, not its square. Pairs are verified once, after a filter over ranges of the sets.
 
 Cases: no words or null text: the empty set, linked with nothing; fewer words than a shingle: the whole
@@ -36,10 +36,12 @@ SKETCH_BITS = 22
 _CHUNK = 1 << 14
 #: Bits of the bitmap that leads a scan to the documents whose sets are wanted: 4 MB, for any corpus.
 SIEVE_BITS = 25
+#: Bits of the row that stands for a set before its pairs are verified.
+ROW_BITS = 1024
 #: Members of a list that one task compares with each other.
 BLOCK = 20_000
 
-_SETS = "doc_id long, class long, n int, chunk int, part int, counts binary"
+_SETS = "doc_id long, class long, n int, bits binary, chunk int, part int, counts binary"
 _POSTING = "gram long, class long, n int, pos int"
 _PAIR = "kind int, a long, b long, gram long, class long, n int, pos int"
 
@@ -53,6 +55,13 @@ def prefix_length(n: int, percent: int) -> int:
     return n - -(-percent * n // 100) + 1
 
 
+def bit_row(grams: np.ndarray) -> bytes:
+    """ROW_BITS bits with those of the shingles' hashes set: two rows differ in at most as many bits as the sets do."""
+    row = np.zeros(ROW_BITS, "u1")
+    row[(grams % np.uint64(ROW_BITS)).astype("i8")] = 1
+    return np.packbits(row).tobytes()
+
+
 def class_of(grams: np.ndarray) -> int:
     return int.from_bytes(hashlib.blake2b(grams.tobytes(), digest_size=8).digest(), "little", signed=True)
 
@@ -67,21 +76,21 @@ def _count(width: int):
         none = lambda n, t: pa.nulls(n, t)
         names = [x.split()[0] for x in _SETS.split(", ")]
         for batch in batches:
-            classes, sizes = [], []
+            classes, sizes, bits = [], [], []
             for text in batch.column("text").to_pylist():
                 grams = shingle_set(text, width)
                 own = class_of(grams)
-                classes.append(own), sizes.append(len(grams))
+                classes.append(own), sizes.append(len(grams)), bits.append(bit_row(grams))
                 if own not in seen and len(grams):
                     if len(seen) < 1_000_000:
                         seen.add(own)
                     np.add.at(sketch, (grams >> np.uint64(64 - SKETCH_BITS)).astype("i8"), 1)
             k = len(classes)
-            yield pa.record_batch([batch.column("doc_id"), pa.array(classes, pa.int64()), pa.array(sizes, pa.int32()), none(k, pa.int32()), none(k, pa.int32()), none(k, pa.binary())], names=names)
+            yield pa.record_batch([batch.column("doc_id"), pa.array(classes, pa.int64()), pa.array(sizes, pa.int32()), pa.array(bits, pa.binary()), none(k, pa.int32()), none(k, pa.int32()), none(k, pa.binary())], names=names)
         part = TaskContext.get().partitionId()
         for a in range(0, len(sketch), _CHUNK):
             if (piece := sketch[a : a + _CHUNK]).any():
-                yield pa.record_batch([none(1, pa.int64()), none(1, pa.int64()), none(1, pa.int32()), pa.array([a // _CHUNK], pa.int32()), pa.array([part], pa.int32()), pa.array([piece.tobytes()], pa.binary())], names=names)
+                yield pa.record_batch([none(1, pa.int64()), none(1, pa.int64()), none(1, pa.int32()), none(1, pa.binary()), pa.array([a // _CHUNK], pa.int32()), pa.array([part], pa.int32()), pa.array([piece.tobytes()], pa.binary())], names=names)
 
     return run
 
@@ -268,6 +277,7 @@ def _crossing(percent: int):
 
         def pairs(rows):
             own, n, pos, comp, block = (np.concatenate([r[k] for r in rows]) for k in range(5))
+            bits = np.concatenate([r[5] for r in rows])
             across = len(np.unique(block)) > 1
             for k in range(len(own) - 1):
                 rest = slice(k + 1, None)
@@ -278,8 +288,13 @@ def _crossing(percent: int):
                     continue
                 m = len(own) - k - 1
                 ok &= passes(np.full(m, n[k]), np.full(m, pos[k]), n[rest], pos[rest], percent)
-                if ok.any():
-                    other = own[rest][ok]
+                at = np.flatnonzero(ok) + k + 1
+                # Bitmap filter: links differ in at most n + m - 2 * need shingles, and so in no more bits.
+                apart = np.bitwise_count(bits[at] ^ bits[k]).sum(1)
+                total = n[at].astype("i8") + int(n[k])
+                at = at[apart <= total - 2 * -(-percent * total // (100 + percent))]
+                if len(at):
+                    other = own[at]
                     yield pa.record_batch([pa.array(np.minimum(other, own[k])), pa.array(np.maximum(other, own[k]))], names=["a", "b"])
 
         for batch in batches:
@@ -287,6 +302,7 @@ def _crossing(percent: int):
             if not len(gram):
                 continue
             columns = [batch.column(c).to_numpy() for c in ("class", "n", "pos", "component", "block")]
+            columns.append(np.frombuffer(b"".join(batch.column("bits").to_pylist()), "<u8").reshape(len(gram), -1))
             cuts = [0, *(np.flatnonzero((gram[1:] != gram[:-1]) | (cell[1:] != cell[:-1])) + 1), len(gram)]
             for a, b in zip(cuts, cuts[1:]):
                 if (gram[a], cell[a]) != now:
@@ -300,14 +316,16 @@ def _crossing(percent: int):
     return run
 
 
-def _cells(labelled: DataFrame) -> DataFrame:
+def _cells(labelled: DataFrame, docs_of: DataFrame) -> DataFrame:
     """Lists with several components, each as one cell; one of over BLOCK members as all pairs of its blocks."""
     several = labelled.groupBy("gram").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count(F.lit(1)).alias("size"))
     several = several.where("lo <> hi").select("gram", F.ceil(F.col("size") / BLOCK).cast("int").alias("blocks"))
-    rows = labelled.join(several, "gram").withColumn("block", F.pmod(F.xxhash64("class"), F.col("blocks")).cast("int"))
+    rows = labelled.join(several, "gram")
+    bits = docs_of.join(rows.select("class").distinct(), "class", "left_semi").groupBy("class").agg(F.min("bits").alias("bits"))
+    rows = rows.join(bits, "class").withColumn("block", F.pmod(F.xxhash64("class"), F.col("blocks")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
-    rows = rows.select("gram", "class", "n", "pos", "component", "block", "blocks", other.alias("other"))
-    return rows.select("gram", "class", "n", "pos", "component", "block", (F.least("block", "other") * F.col("blocks") + F.greatest("block", "other")).alias("cell"))
+    rows = rows.select("gram", "class", "n", "pos", "component", "bits", "block", "blocks", other.alias("other"))
+    return rows.select("gram", "class", "n", "pos", "component", "bits", "block", (F.least("block", "other") * F.col("blocks") + F.greatest("block", "other")).alias("cell"))
 
 
 def near_components(docs: DataFrame, percent: int = 80, width: int = WIDTH) -> DataFrame:
@@ -315,7 +333,7 @@ def near_components(docs: DataFrame, percent: int = 80, width: int = WIDTH) -> D
     spark, parts = docs.sparkSession, partitions_for(docs.sparkSession)
     rows = doc_text(docs)
     first = written(rows.mapInArrow(_count(width), _SETS), "sets")
-    docs_of = first.where("chunk is null").select("doc_id", "class", "n")
+    docs_of = first.where("chunk is null").select("doc_id", "class", "n", "bits")
     sketch = spark.sparkContext.broadcast(rarity_sketch(first.where("chunk is not null")))
     lists = rows.mapInArrow(_prefixes(sketch, width, percent), _POSTING).repartition(parts, "gram").sortWithinPartitions("gram", "pos", "n", "class")
     found = written(lists.mapInArrow(_stars(percent), _PAIR), "stars")
@@ -325,7 +343,7 @@ def near_components(docs: DataFrame, percent: int = 80, width: int = WIDTH) -> D
     of = components(links)
     labelled = postings.join(of.withColumnRenamed("node", "class"), "class", "left").withColumn("component", F.coalesce("component", "class"))
     labelled = written(labelled, "labelled")
-    crossing = _cells(labelled).repartition(parts, "gram", "cell").sortWithinPartitions("gram", "cell").mapInArrow(_crossing(percent), "a long, b long")
+    crossing = _cells(labelled, docs_of).repartition(parts, "gram", "cell").sortWithinPartitions("gram", "cell").mapInArrow(_crossing(percent), "a long, b long")
     crossing = written(crossing.distinct().join(stars, ["a", "b"], "left_anti"), "pairs")
     if crossing.take(1):
         more = written(_links(crossing, _sets_of(rows, docs_of, crossing, width), percent), "links")
