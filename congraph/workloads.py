@@ -20,6 +20,7 @@ from congraph.operators.match import compiled, match, match_order, match_stale
 from congraph.plans.compile import ConjunctiveQuery, query
 from congraph.plans.cover import agm_bound, fd_bound, integral_cover_bound, product_bound
 from congraph.sources import lifts
+from congraph.sources.markup import tree_search
 from congraph.sources.tables import read_table
 from congraph.sql_engine import SqlEngine
 
@@ -327,6 +328,7 @@ def workload_queries() -> tuple[dict[str, Query], dict[str, str]]:
         "w12_algebra_suite": (partial(suites.suite_counts, name="algebra"), "w12"),
         "w13_binder_suite": (partial(suites.suite_counts, name="binder"), "w13"),
         "w15_associativity": (suites.associativity_levels, "w15_associativity"),
+        **{f"w19_tree_search_{s}": (partial(tree_search, strategy=s), "w19") for s in ("extension", "binary", "topdown")},
         "w21_incremental": (w21_events, "w20_events"),
         "w29_sql_running": (w29_running, "w01_running_example"),
         "w29_sql_congruence": (w29_congruence, "w16_congruence"),
@@ -368,6 +370,20 @@ ORACLES: dict[str, str] = {
     "g_members_trade": "SELECT n AS n_nationkey, count(*) AS n FROM (SELECT c_nationkey AS n FROM customer UNION ALL SELECT s_nationkey FROM supplier) x(n) GROUP BY 1",
     "g_count_terms": "SELECT CAST(0 AS BIGINT) AS which, count(*) AS terms FROM part UNION ALL SELECT CAST(1 AS BIGINT), count(*) * count(*) FROM part",
     "g_violations": "SELECT CAST(0 AS BIGINT) AS n",
+    "c_bounds": """WITH line AS (SELECT DISTINCT l_orderkey, l_partkey, l_suppkey FROM lineitem),
+        c AS (SELECT (SELECT count(*) FROM line)::DOUBLE AS l, (SELECT count(*) FROM customer JOIN supplier ON c_nationkey = s_nationkey)::DOUBLE AS kin,
+            (SELECT count(*) FROM nation)::DOUBLE AS zone, (SELECT count(*) FROM orders)::DOUBLE AS buyer,
+            ((SELECT count(*) FROM customer) + (SELECT count(*) FROM supplier))::DOUBLE AS home,
+            (SELECT count(*) FROM (SELECT DISTINCT l_suppkey, l_partkey FROM lineitem))::DOUBLE AS r,
+            (SELECT count(*) FROM (SELECT DISTINCT l_partkey, l_orderkey FROM lineitem))::DOUBLE AS s,
+            (SELECT count(*) FROM (SELECT DISTINCT l_orderkey, l_suppkey FROM lineitem))::DOUBLE AS t),
+        v AS (SELECT 'w03' AS workload, 'agm' AS measure, kin * l AS x FROM c UNION ALL SELECT 'w03', 'product', kin * l * l FROM c
+            UNION ALL SELECT 'w03', 'integral', kin * l FROM c UNION ALL SELECT 'w03', 'fd', l FROM c
+            UNION ALL SELECT 'w04', 'agm', zone * buyer FROM c UNION ALL SELECT 'w04', 'product', zone * home * buyer FROM c
+            UNION ALL SELECT 'w04', 'integral', zone * buyer FROM c UNION ALL SELECT 'w04', 'fd', buyer FROM c
+            UNION ALL SELECT 'w07', 'agm', least(sqrt(r * s * t), r * s, s * t, r * t) FROM c UNION ALL SELECT 'w07', 'product', r * s * t FROM c
+            UNION ALL SELECT 'w07', 'integral', least(r * s, s * t, r * t) FROM c UNION ALL SELECT 'w07', 'fd', least(sqrt(r * s * t), r * s, s * t, r * t) FROM c)
+        SELECT workload, measure, CAST(format('{:.9g}', x) AS DOUBLE) AS value FROM v""",
     "c_visited": "SELECT 'topdown' AS matcher, count(*) * count(*) AS visited FROM part UNION ALL SELECT 'extension', count(*) FROM part",
     "w01_running_example": "SELECT p_partkey FROM part",
     "w02_trade_nonlinear": _SHIP,
