@@ -40,16 +40,18 @@ def binding_terms(spark: SparkSession, sf_dir: str, parts: int | None = None) ->
     return df.select(body.alias("value")).distinct()
 
 
-def suite(spark: SparkSession, sf_dir: str, name: str, node_limit: int, iter_limit: int = 2, rows: int = 20) -> Saturation:
-    """A saturated graph of the suite: `algebra` or `binder`."""
+def suite(spark: SparkSession, sf_dir: str, name: str, node_limit: int, iter_limit: int = 2, rows: int | None = 20) -> Saturation:
+    """A saturated graph of the suite: `algebra` or `binder`. rows: keys below this one only; None: the whole table."""
     rules, fixed, made = (rules_algebra.RULES, rules_algebra.STARTS, price_terms(spark, sf_dir, rows)) if name == "algebra" else (rules_binding.RULES, rules_binding.STARTS, binding_terms(spark, sf_dir, rows))
     starts = spark.createDataFrame([(x,) for x in (*fixed, "zero", "one", "true", "false")], "value string")
     return saturate(_graph(spark, starts.unionByName(made)), rules, node_limit, iter_limit)
 
 
 def suite_counts(spark: SparkSession, sf_dir: str, name: str, strategy: str = "auto") -> DataFrame:
-    """pattern, n: matches of every pattern of the suite on its graph of at most about 2,000 nodes."""
-    graph = suite(spark, sf_dir, name, 2000, 1, 4).graph
+    """pattern, n: matches of every pattern of the suite on the graph of all lines or parts after a round of rewriting.
+
+    2,000 nodes only end the saturation; no row of the table is left out."""
+    graph = suite(spark, sf_dir, name, 2000, 1, None).graph
     patterns = dict(rules_algebra.PATTERNS if name == "algebra" else rules_binding.PATTERNS)
     if name == "algebra":
         patterns["DEEP"] = rules_algebra.DEEP
