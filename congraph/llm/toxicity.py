@@ -1,8 +1,8 @@
 """Toxicity by noisy-channel deobfuscation.
 
 A character trigram model over all documents tells likely letter sequences. Tokens that look disguised (digits
-or signs among letters, letters drawn out, letters spaced or dotted apart) become lattices of what each
-character may stand for, and Viterbi picks the likeliest reading. The restored text is then scored by a
+or signs among letters or alone, letters drawn out, letters or stand-ins spaced or dotted apart) become lattices of
+what each character may stand for, and Viterbi picks the likeliest reading. The restored text is then scored by a
 logistic model over words and word beginnings, learnt from labelled rows.
 
 Fitting reads a sample of at most SAMPLE labelled rows (a documented parameter; the rows with the least hash of
@@ -36,16 +36,16 @@ HEADS = (4, 5, 6)
 #: What a sign may stand for; fixed values.
 LEET = {
     "0": "o", "1": "il", "2": "z", "3": "e", "4": "a", "5": "s", "6": "g", "7": "t", "8": "b", "9": "g",
-    "@": "a", "$": "s", "!": "i", "|": "il", "+": "t", "(": "c", "<": "c", "€": "e", "£": "l", "¡": "i",
+    "@": "a", "$": "s", "!": "i", "|": "il", "+": "t", "(": "c", "<": "c", "€": "e", "£": "l", "¡": "i", "#": "h",
 }
 _FILL = frozenset(" .-_*~'`·/\\")
-#: Log costs of the channel: a letter as itself, a stand-in, a filler dropped, a repeated letter dropped, a sign kept out.
-SAME, STANDIN, DROP_FILL, DROP_REPEAT, DROP_SIGN = -0.05, -1.2, -0.4, -0.5, -5.0
+#: Log costs of the channel: a letter as itself, a stand-in, a filler dropped, a repeated letter dropped, a sign kept out, a space kept as a break.
+SAME, STANDIN, DROP_FILL, DROP_REPEAT, DROP_SIGN, BREAK = -0.05, -1.2, -0.4, -0.5, -5.0, -0.7
 
 _WORD = re.compile(r"[^\W\d_]+")
 _DRAWN = re.compile(r"([^\W\d_])\1\1")
-_APART = re.compile(r"(?<!\S)(?:[^\W\d_][ .\-_*~]){2,}[^\W\d_](?=[\s.,;:!?]|$)")
-_MIXED = re.compile(r"(?=[^\s]*[^\W\d_])[^\s]+")
+_ONE = rf"(?:[^\W\d_]|[{re.escape(''.join(LEET))}])"
+_APART = re.compile(rf"(?<![^\s\"'\[(]){_ONE}(?:[\s.\-_*~]+{_ONE}){{2,}}(?=[\s.,;:!?\"')\]\-_*~]|$)")
 _TAIL = re.compile(r"(?:([^\w\s])\1{2,}|[.,;:!?\"')\]]+)+$")
 #: Letters of the model: a break, a to z, the Latin-1 small letters, any other.
 LETTERS = 64
@@ -99,27 +99,36 @@ def character_model(rows: DataFrame) -> np.ndarray:
 
 def decode(token: str, model: np.ndarray) -> str:
     """The likeliest letters behind a token: Viterbi over (last two letters) and one lattice column a character."""
-    paths: dict[tuple[int, int, str], tuple[float, str]] = {(0, 0, ""): (0.0, "")}
+    # A reading is a chain (what came before, letter), so that long runs cost their length.
+    paths: dict[tuple[int, int, str], tuple[float, tuple | None]] = {(0, 0, ""): (0.0, None)}
     for c in token:
         column: list[tuple[str, float]] = []
         if c.isalpha():
             column.append((c, SAME))
         column.extend((x, STANDIN) for x in LEET.get(c, ""))
-        drop = DROP_FILL if c in _FILL else None if c.isalpha() or c in LEET else DROP_SIGN
-        if c in LEET:
-            drop = DROP_SIGN
-        new: dict[tuple[int, int, str], tuple[float, str]] = {}
+        space = c.isspace()
+        drop = DROP_FILL if space or c in _FILL else None if c.isalpha() and c not in LEET else DROP_SIGN
+        new: dict[tuple[int, int, str], tuple[float, tuple | None]] = {}
         for (a, b, last), (score, out) in paths.items():
             for x, cost in column:
                 k = letter_code(x)
                 s = score + cost + model[a, b, k]
                 if s > new.get((b, k, x), (-1e30,))[0]:
-                    new[b, k, x] = (s, out + x)
+                    new[b, k, x] = (s, (out, x))
+            if space and b:
+                s = score + BREAK + model[a, b, 0]
+                if s > new.get((b, 0, " "), (-1e30,))[0]:
+                    new[b, 0, " "] = (s, (out, " "))
             repeat = last and (c == last or last in LEET.get(c, ""))
             if (cost := DROP_REPEAT if repeat else drop) is not None and score + cost > new.get((a, b, last), (-1e30,))[0]:
                 new[a, b, last] = (score + cost, out)
         paths = new or paths
-    return max((s + model[a, b, 0], out) for (a, b, _), (s, out) in paths.items())[1]
+    out = max(((s + (model[a, b, 0] if b or not last else 0.0), out) for (a, b, last), (s, out) in paths.items()), key=lambda x: x[0])[1]
+    letters = []
+    while out is not None:
+        out, x = out
+        letters.append(x)
+    return "".join(reversed(letters))
 
 
 class Restorer:
@@ -140,13 +149,15 @@ class Restorer:
         """text: in lower case."""
         out = []
         for token in set(text.split()):
-            if token.isalpha() or token[:-1].isalpha():
+            if token.isalpha() or token[:-1].isalpha() and token[-1] not in LEET:
                 continue
-            core = _TAIL.sub("", token).lstrip("\"'([")
-            if core.isalpha() or not core:
-                continue
-            if any(c in LEET or c in _FILL for c in core) and _MIXED.fullmatch(core):
-                out.append(self.reading(core))
+            # A sign at either end may be a mark or a stand-in, so both cores are read.
+            body = token.lstrip("\"'[")
+            for core in {x.lstrip("\"'([") if cut else x for x in (_TAIL.sub("", body), body.rstrip(".,;:?\"')]")) for cut in (True, False)}:
+                if core.isalpha() or not core:
+                    continue
+                if any(c in LEET or c in _FILL for c in core) and any(c in LEET or c.isalpha() for c in core):
+                    out.append(self.reading(core))
         if _DRAWN.search(text):
             out.extend(self.reading(w) for w in {m.group() for m in _WORD.finditer(text)} if _DRAWN.search(w))
         out.extend(self.reading(m.group()) for m in _APART.finditer(text))

@@ -182,6 +182,24 @@ def test_decoding_of_disguises():
     assert {"idiot", "moron", "clown", "plain"} <= words
 
 
+def test_every_kind_of_disguise_is_read():
+    corpus = " ".join(["you are an idiot and a moron", "what an ass he is", "you whore", "that is shit", "a cunt said so"] * 30)
+    counts = np.bincount(toxicity.trigram_counts(corpus), minlength=toxicity.LETTERS**3).reshape((toxicity.LETTERS,) * 3) + 0.01
+    restorer = toxicity.Restorer(np.log(counts / counts.sum(2, keepdims=True)).astype("f4"))
+    kinds = {
+        "the only stand-in last": [("whor3", "whore"), ("shi7", "shit"), ("as$", "ass"), ("as$.", "ass")],
+        "stand-ins only": [("@$$", "ass"), ("5#17", "shit")],
+        "a leading (": [("(unt", "cunt"), ('"(unt"', "cunt")],
+        "apart": [("an i d 1 0 t here", "idiot"), ("s h 1 t", "shit"), ("m  o  r  o  n", "moron"), ("m. o. r. o. n.", "moron")],
+        "words apart": [("y o u i d i o t", "idiot"), ("y o u  m 0 r o n", "moron")],
+    }
+    for kind, pairs in kinds.items():
+        for text, word in pairs:
+            assert word in restorer.words(text), (kind, text, restorer.readings(text))
+    assert {"you", "idiot"} <= restorer.words("y o u i d i o t")
+    assert restorer.reading("m o r o n  " * 4000).count("moron") == 4000
+
+
 def test_logistic_fit_separates():
     found = [[0] if k % 4 == 0 else [1] for k in range(400)]
     labels = np.array([float(k % 4 == 0) for k in range(400)])
