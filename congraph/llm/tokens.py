@@ -37,7 +37,6 @@ class PieceCache(dict):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
         self.model, self.words = self.tokenizer.model, words
         self.vocab_size = self.tokenizer.get_vocab_size()
         self.dtype = "<u2" if self.vocab_size <= 1 << 16 else "<u4"

@@ -245,5 +245,19 @@ def test_unigram_pass_is_the_best_path():
     assert steps < sum(map(len, words)) / 2  # prefixes are scored once
 
 
+@pytest.mark.parametrize("name, words", [("byte_bpe_50k.json", False), ("word_bpe_49k.json", True)])
+def test_ids_equal_the_unchanged_library(name, words):
+    tokenizers = pytest.importorskip("tokenizers")
+    path = pytest.importorskip("public_tokenizers").path(name)
+    from congraph.llm import tokens
+
+    library = tokenizers.Tokenizer.from_file(path)
+    cache = tokens.PieceCache(path, words)
+    parts = ["a", "b.", " ", "\n", "  ", "<|endoftext|>", "<|startoftext|>", "<|ENDOFTEXT|>", "<|", "Word", "é", "\t", "don't"]
+    texts = ["a <|endoftext|> b", "<|endoftext|>\nq", *("".join(R.choice(parts) for _ in range(R.randrange(12))) for _ in range(800))]
+    for text in texts:
+        assert np.frombuffer(cache.encode(text), cache.dtype).tolist() == library.encode(text, add_special_tokens=False).ids, text
+
+
 def test_crc_is_unsigned():
     assert zlib.crc32(b"x") >= 0
