@@ -3,11 +3,11 @@
 Texts count as equal when they are identical after each run of `[\\x20\\x09-\\x0D]` becomes one space; null is
 the empty text. Map tasks merge copies that they see in small tries, so a text that fills a third of the
 corpus leaves each task once; the rest is dealt by length and content hash, and one trie for each partition
-settles equality on the full bytes. The owner of a text is its smallest doc_id.
+settles equality on the full bytes. The owner of a text is its smallest doc_id; null ids come last.
 
-Cases: null text = empty text; rows that repeat a doc_id count each and share the owner; an empty table gives
-no rows; further columns of the input are left alone (`exact_classes` reads two columns only, `drop_copies`
-keeps all).
+Cases: null text = empty text; rows that repeat a doc_id count each and share the owner; rows with a null doc_id
+have a null `kept`, as in SQL, and stay if no copy has an id; an empty table gives
+no rows; further columns of the input are left alone (`exact_classes` reads two columns only, `drop_copies` keeps all).
 """
 
 from __future__ import annotations
@@ -15,9 +15,11 @@ from __future__ import annotations
 import hashlib
 from collections.abc import Iterator
 
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from congraph.llm.common import SPACE_BYTES, doc_text, partitions_for
 from congraph.llm.patricia import PatriciaTrie
@@ -145,7 +147,17 @@ def exact_classes(docs: DataFrame, task_budget: int = 32 << 20, trie_budget: int
     )
 
 
+@F.pandas_udf(T.StringType())
+def _digest_of(texts: pd.Series) -> pd.Series:
+    return texts.map(lambda t: hashlib.sha256(normalised(bytes(t))).hexdigest())
+
+
 def drop_copies(docs: DataFrame) -> DataFrame:
-    """docs without the rows whose text an earlier document has."""
-    keep = exact_classes(docs).where("kept").select(F.col("doc_id").alias("_kept_id"))
-    return docs.join(keep, docs["doc_id"].cast("long") == keep["_kept_id"], "left_semi")
+    """docs without the rows whose text an earlier document has; rows without an id are known by their text."""
+    classes = exact_classes(docs)
+    keep = classes.where("kept").select(F.col("doc_id").alias("_kept_id"))
+    known = docs.join(keep, docs["doc_id"].cast("long") == keep["_kept_id"], "left_semi")
+    free = classes.where("doc_id is null and keep_id is null").select(F.col("text_sha256").alias("_own_text")).distinct()
+    text = F.coalesce(F.col("text").cast("string"), F.lit("")).cast("binary")
+    rest = docs.where(F.col("doc_id").cast("long").isNull()).withColumn("_own_text", _digest_of(text))
+    return known.unionByName(rest.join(free, "_own_text", "left_semi").select(*docs.columns))

@@ -12,7 +12,8 @@ position and bitmap filters. Pairs inside a component need no check, as they can
 cost their size, not its square. Pairs are verified once, after a filter over ranges of the sets.
 
 Cases: no words or null text: the empty set, linked with nothing; fewer words than a shingle: the whole
-sequence; repeated rows of a doc_id are rows of their own with one component; ties in rarity are ordered by
+sequence; repeated rows of a doc_id are rows of their own with one component; null ids come last, a group
+without any other has a null component; ties in rarity are ordered by
 hash; an empty table gives no rows; further columns are left alone. Sets are compared as 64-bit hashes of
 shingles; a class is known by 64 bits of its set and its size.
 """
@@ -23,6 +24,7 @@ import hashlib
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -228,7 +230,7 @@ def _sieve_parts(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.R
 
 def _hash_bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        bit = _bit(batch.column("doc_id").to_numpy())
+        bit = _bit(batch.column("doc_id").fill_null(0).to_numpy())
         yield pa.record_batch([pa.array(bit // _CHUNK), pa.array(bit)], names=["chunk", "bit"])
 
 
@@ -245,7 +247,7 @@ def _sets(width: int, sieve):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bits = sieve.value
         for batch in batches:
-            bit = _bit(batch.column("doc_id").to_numpy())
+            bit = _bit(batch.column("doc_id").fill_null(0).to_numpy())
             wanted = np.flatnonzero(bits[bit >> 3] >> (7 - (bit & 7)).astype("u1") & 1)
             sets = [shingle_set(t, width) for t in batch.column("text").take(pa.array(wanted)).to_pylist()]
             if sets:
@@ -355,7 +357,20 @@ def near_components(docs: DataFrame, percent: int = 80, width: int = WIDTH) -> D
     return tagged.join(least, "group", "left").select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.coalesce("least", "doc_id").alias("component_id"), F.col("class").alias("class_id"))
 
 
+def _class_of_text(width: int):
+    @F.pandas_udf("long")
+    def run(texts: pd.Series) -> pd.Series:
+        return texts.map(lambda t: class_of(shingle_set(bytes(t), width))).astype("int64")
+
+    return run
+
+
 def drop_near_copies(docs: DataFrame, percent: int = 80, width: int = WIDTH) -> DataFrame:
-    """docs with one document, the first, of each component."""
-    keep = near_components(docs, percent, width).where("doc_id = component_id").select(F.col("doc_id").alias("_kept_id"))
-    return docs.join(keep, docs["doc_id"].cast("long") == keep["_kept_id"], "left_semi")
+    """docs with one document, the first, of each component; rows without an id stay if no row of theirs has one."""
+    found = near_components(docs, percent, width)
+    keep = found.where("doc_id = component_id").select(F.col("doc_id").alias("_kept_id"))
+    known = docs.join(keep, docs["doc_id"].cast("long") == keep["_kept_id"], "left_semi")
+    free = found.where("doc_id is null and component_id is null").select(F.col("class_id").alias("_own_class")).distinct()
+    text = F.coalesce(F.col("text").cast("string"), F.lit("")).cast("binary")
+    rest = docs.where(F.col("doc_id").cast("long").isNull()).withColumn("_own_class", _class_of_text(width)(text))
+    return known.unionByName(rest.join(free, "_own_class", "left_semi").select(*docs.columns))

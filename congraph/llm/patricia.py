@@ -1,4 +1,4 @@
-"""A compressed radix tree over byte strings that keeps, for each string, its owner (the least id) and a count.
+"""A compressed radix tree over byte strings that keeps, for each string, its owner (the least id, null ids last) and a count.
 
 Memory is bounded: past the budget the heaviest subtree moves to a local temporary file, later strings
 below it are appended there, and `items` rebuilds one such subtree at a time after the rest is done.
@@ -10,7 +10,7 @@ import pickle
 import tempfile
 from collections.abc import Iterator
 
-#: Slots of a node: label, children by first byte (None: none), owner (None: no string ends here), count, payload, spill.
+#: Slots of a node: label, children by first byte (None: none), owner (None: a null id), count (0: no string ends here), payload, spill.
 LABEL, KIDS, OWNER, COUNT, LOAD, SPILL = range(6)
 #: Bytes that a node costs besides its label.
 NODE_BYTES = 300
@@ -39,7 +39,7 @@ class PatriciaTrie:
         self.budget, self.prefix, self.used = budget, prefix, 0
         self.root: list = [b"", None, None, 0, None, None]
 
-    def insert(self, key: bytes, owner: int, count: int = 1, payload: object = None) -> None:
+    def insert(self, key: bytes, owner: int | None, count: int = 1, payload: object = None) -> None:
         node, at = self.root, 0
         while True:
             if node[SPILL] is not None:
@@ -69,7 +69,7 @@ class PatriciaTrie:
             kids[key[at]] = upper
             self.used += NODE_BYTES
             node, at = upper, at + same
-        if node[OWNER] is None or owner < node[OWNER]:
+        if node[OWNER] is None or owner is not None and owner < node[OWNER]:
             node[OWNER] = owner
         node[COUNT] += count
         if node[LOAD] is None:
@@ -101,12 +101,12 @@ class PatriciaTrie:
         heaviest[KIDS], heaviest[OWNER], heaviest[COUNT], heaviest[LOAD], heaviest[SPILL] = None, None, 0, None, out
 
     @staticmethod
-    def _walk(top: list, above: bytes) -> Iterator[tuple[bytes, int, int, object]]:
+    def _walk(top: list, above: bytes) -> Iterator[tuple[bytes, int | None, int, object]]:
         """Strings below a node that holds no spilled part; the node's own label is left out."""
         stack = [(top, above)]
         while stack:
             node, path = stack.pop()
-            if node[OWNER] is not None:
+            if node[COUNT]:
                 yield path, node[OWNER], node[COUNT], node[LOAD]
             for child in (node[KIDS] or {}).values():
                 if child[SPILL] is not None:
@@ -121,7 +121,7 @@ class PatriciaTrie:
                 else:
                     stack.append((child, path + child[LABEL]))
 
-    def items(self) -> Iterator[tuple[bytes, int, int, object]]:
+    def items(self) -> Iterator[tuple[bytes, int | None, int, object]]:
         """(string, owner, count, payload), each string once; empties the tree."""
         stack, spilled = [(self.root, self.prefix)], []
         while stack:
@@ -129,7 +129,7 @@ class PatriciaTrie:
             if node[SPILL] is not None:
                 spilled.append((path, node[SPILL]))
                 continue
-            if node[OWNER] is not None:
+            if node[COUNT]:
                 yield path, node[OWNER], node[COUNT], node[LOAD]
             stack.extend((child, path + child[LABEL]) for child in (node[KIDS] or {}).values())
         self.root, self.used = [b"", None, None, 0, None, None], 0

@@ -226,3 +226,19 @@ def test_pipeline_stages_on_each_others_rows(spark, tmp_path):
     rows = sorted(set(first.values()))
     _, find = brute_components(rows)
     assert {r.doc_id for r in out} == {i for i, _ in rows if find(i) == i}
+
+
+def test_null_ids_lose_no_row(spark):
+    long = " ".join(f"w{k}" for k in range(60))
+    rows = [(None, "only here"), (None, "copied  once"), (5, "copied once"), (3, "copied once"), (None, long), (None, long + " x"), (8, "near " + long), (None, ""), (9, "other text of this table here"), (None, None)]
+    alone = [(None, "n" + long.replace("w", "v")), (None, "m" + long.replace("w", "v"))]
+    table = spark.createDataFrame(rows + alone, "doc_id long, text string").coalesce(1)
+    got = collections.Counter((r.doc_id, r.keep_id, r.group_size, r.kept) for r in exact_dedup.exact_classes(table).collect())
+    assert got == collections.Counter([(None, None, 1, None), (None, 3, 3, None), (5, 3, 3, False), (3, 3, 3, True), (8, 8, 1, True), (9, 9, 1, True)] + [(None, None, 2, None)] * 2 + [(None, None, 1, None)] * 4)
+    assert sum(exact_dedup.exact_classes(table, task_budget=1, trie_budget=1).groupBy().count().first()) == len(rows) + 2
+    kept = collections.Counter(tuple(r) for r in exact_dedup.drop_copies(table).collect())
+    assert kept == collections.Counter([r for r in rows if r[1] not in ("copied  once",) and r[0] != 5] + alone)
+    near = collections.Counter((r.doc_id, r.component_id) for r in ngram_join.near_components(table).collect())
+    assert near[None, 8] == 2 and near[None, 3] == 1 and sum(near.values()) == len(rows) + 2
+    kept = collections.Counter(tuple(r) for r in ngram_join.drop_near_copies(table).collect())
+    assert kept == collections.Counter([(None, "only here"), (3, "copied once"), (8, "near " + long), (None, ""), (9, "other text of this table here"), (None, None), *alone])
