@@ -41,6 +41,8 @@ _VOID = frozenset("area base col embed hr img input link meta param source track
 _CLOSES_ITSELF = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 _SCOPES = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table"}, "td": {"table", "tr"}, "th": {"table", "tr"}}
 _FURNITURE = frozenset("nav footer aside form menu dialog button fieldset address figcaption head".split())
+#: Furniture of a page that belongs to an article inside one.
+_IN_CONTENT = frozenset(("address", "figcaption"))
 #: Words in names of containers that speak for and against content.
 _AGAINST = re.compile(
     r"(?:^|[\s_-])(?:ad|ads|advert\w*|adsense|sponsor\w*|promo\w*|banner|nav\w*|menu\w*|breadcrumb\w*|foot|footer|header|masthead|side|sidebar|aside|widget\w*|comment\w*|reply|replies|respond|disqus|cookie\w*|consent|gdpr|notice\w*|alert|popup|modal|overlay|newsletter|subscribe\w*|signup|login|search\w*|share|sharing|social\w*|related|recommend\w*|tags?|meta|pagination|pager|copyright|legal|disclaimer|toolbar|skip|hidden|form)(?=$|[\s_-])",
@@ -71,7 +73,7 @@ class _Node:
                 elif key in ("class", "id", "role", "itemprop"):
                     names += " " + value
         own_for = tag in ("article", "main") or bool(names and _FOR.search(names))
-        bad = hidden or tag in _FURNITURE or bool(names and tag not in ("body", "html", "article", "main") and _AGAINST.search(names))
+        bad = hidden or tag in _FURNITURE and not (tag in _IN_CONTENT and up and up.for_) or bool(names and tag not in ("body", "html", "article", "main") and _AGAINST.search(names))
         if tag == "header" and not (up and up.for_):
             bad = True
         # Content named inside content stays content; furniture inside it does not.
@@ -84,12 +86,13 @@ def blocks_of(page: str) -> list[Block]:
     top, out = root, []
     parts: list[str] = []
     links, linked, tag = 0, 0, ""
+    leaf: _Node | None = None  # a paragraph's or heading's own names
 
     def flush():
         nonlocal linked, parts
         text = " ".join(html.unescape("".join(parts)).split())
         if text:
-            out.append(Block(top, tag or top.tag, text, min(linked, len(text))))
+            out.append(Block(leaf or top, tag or top.tag, text, min(linked, len(text))))
         parts, linked = [], 0
 
     def add(text):
@@ -125,7 +128,7 @@ def blocks_of(page: str) -> list[Block]:
                 parts.append(" ")
             continue
         flush()
-        links = 0
+        links, leaf = 0, None
         if name in ("html", "body"):
             continue
         if shut:
@@ -142,6 +145,8 @@ def blocks_of(page: str) -> list[Block]:
         if name == "p" or re.fullmatch(r"h[1-6]|pre|blockquote", name):
             # A paragraph ends the one before it; headings and paragraphs are leaves here.
             if name != "blockquote":
+                if m.group(4).strip():
+                    leaf = _Node(name, top, m.group(4))
                 continue
         if name not in _VOID and not m.group(4).endswith("/"):
             top = _Node(name, top, m.group(4))

@@ -172,6 +172,14 @@ def test_main_text():
     assert html_extract.main_text("") == "" and html_extract.main_text("<nav><a>x</a></nav>") == ""
 
 
+def test_names_of_paragraphs_and_captions():
+    long = "A sentence of the article that goes on for long enough to be read as content."
+    out = ['<p class="advert">Buy this now, it is cheap.</p>', '<p hidden>Not for eyes at all.</p>', '<h3 class="related">Other things to read</h3>', '<pre id="cookie-notice">We use cookies here</pre>']
+    kept = ["<figcaption>A bird on a roof.</figcaption>", "<address>12 Hill Road, Town</address>", '<p class="text">A named part.</p>']
+    page = f"<article><p>{long}</p>" + f"<p>{long}</p>".join(out) + f"<p>{long}</p><figure><img src=x>" + "</figure><figure>".join(kept) + f"</figure><p>{long}</p></article><address>Site owner, nowhere</address><footer>x</footer>"
+    assert html_extract.main_text(page) == "\n\n".join([long] * 5 + ["A bird on a roof.", "12 Hill Road, Town", "A named part.", long])
+
+
 def test_decoding_of_disguises():
     corpus = " ".join(["the idiot was a clown and a moron in this place", "that is pathetic of him to say so there"] * 30)
     counts = np.bincount(toxicity.trigram_counts(corpus), minlength=toxicity.LETTERS**3).reshape((toxicity.LETTERS,) * 3) + 0.01
