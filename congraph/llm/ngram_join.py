@@ -330,15 +330,46 @@ def _cells(labelled: DataFrame, docs_of: DataFrame) -> DataFrame:
     return rows.select("gram", "class", "n", "pos", "component", "bits", "block", (F.least("block", "other") * F.col("blocks") + F.greatest("block", "other")).alias("cell"))
 
 
-def near_components(docs: DataFrame, percent: int = 80, width: int = WIDTH) -> DataFrame:
-    """doc_id, n_shingles, component_id (least doc_id reachable by links), class, one row for each row of docs."""
+def _starred(docs: DataFrame, percent: int, width: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Texts; class of each document; star pairs and the postings of lists with several members."""
     spark, parts = docs.sparkSession, partitions_for(docs.sparkSession)
     rows = doc_text(docs)
     first = written(rows.mapInArrow(_count(width), _SETS), "sets")
     docs_of = first.where("chunk is null").select("doc_id", "class", "n", "bits")
     sketch = spark.sparkContext.broadcast(rarity_sketch(first.where("chunk is not null")))
     lists = rows.mapInArrow(_prefixes(sketch, width, percent), _POSTING).repartition(parts, "gram").sortWithinPartitions("gram", "pos", "n", "class")
-    found = written(lists.mapInArrow(_stars(percent), _PAIR), "stars")
+    return rows, docs_of, written(lists.mapInArrow(_stars(percent), _PAIR), "stars")
+
+
+def near_pairs(docs: DataFrame, percent: int = 80, width: int = WIDTH) -> tuple[DataFrame, DataFrame]:
+    """The join itself: (a, b), each pair of classes that link, once; and doc_id, class_id, n_shingles, n_links, one row
+    for each row of docs. Rows of one class link with each other too, and n_links counts other rows.
+
+    Every pair that passes the filters is verified, also inside a component, so the work grows with the number of links.
+    """
+    parts = partitions_for(docs.sparkSession)
+    rows, docs_of, found = _starred(docs, percent, width)
+    postings = found.where("kind = 1").select("gram", "class", "n", "pos").distinct()
+    # With each class as its own component every pair of a list crosses.
+    alone = written(postings.withColumn("component", F.col("class")), "labelled")
+    pairs = _cells(alone, docs_of).repartition(parts, "gram", "cell").sortWithinPartitions("gram", "cell").mapInArrow(_crossing(percent), "a long, b long")
+    pairs = written(pairs.distinct(), "pairs")
+    links = written(_links(pairs, _sets_of(rows, docs_of, pairs, width), percent).distinct(), "links")
+    sizes = docs_of.where("n > 0").groupBy("class").agg(F.count(F.lit(1)).alias("own"))
+    both = links.select(F.col("a").alias("class"), F.col("b").alias("other")).unionByName(links.select(F.col("b").alias("class"), F.col("a").alias("other")))
+    others = both.join(sizes.select(F.col("class").alias("other"), F.col("own").alias("size")), "other").groupBy("class").agg(F.sum("size").alias("linked"))
+    counts = sizes.join(others, "class", "left").select("class", (F.col("own") - 1 + F.coalesce("linked", F.lit(0))).alias("links"))
+    members = docs_of.join(counts, "class", "left").select("doc_id", F.col("class").alias("class_id"), F.col("n").cast("long").alias("n_shingles"), F.coalesce("links", F.lit(0)).alias("n_links"))
+    return links, members
+
+
+def near_components(docs: DataFrame, percent: int = 80, width: int = WIDTH) -> DataFrame:
+    """doc_id, n_shingles, component_id (least doc_id reachable by links), class, one row for each row of docs.
+
+    Pairs inside a component are left out here; `near_pairs` has them.
+    """
+    parts = partitions_for(docs.sparkSession)
+    rows, docs_of, found = _starred(docs, percent, width)
     postings = found.where("kind = 1").select("gram", "class", "n", "pos").distinct()
     stars = written(found.where("kind = 0").select("a", "b").distinct(), "pairs")
     links = written(_links(stars, _sets_of(rows, docs_of, stars, width), percent), "links")

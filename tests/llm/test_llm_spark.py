@@ -242,3 +242,18 @@ def test_null_ids_lose_no_row(spark):
     assert near[None, 8] == 2 and near[None, 3] == 1 and sum(near.values()) == len(rows) + 2
     kept = collections.Counter(tuple(r) for r in ngram_join.drop_near_copies(table).collect())
     assert kept == collections.Counter([(None, "only here"), (3, "copied once"), (8, "near " + long), (None, ""), (9, "other text of this table here"), (None, None), *alone])
+
+
+def test_near_pairs_are_the_whole_join(docs, none):
+    sets, _ = brute_components(texts())
+    near = lambda x, y: x and y and 100 * len(x & y) >= 80 * len(x | y)
+    expected = collections.Counter((i, len(x), sum(bool(near(x, y)) for _, y in sets) - bool(x)) for i, x in sets)
+    pairs, members = ngram_join.near_pairs(docs)
+    assert collections.Counter((r.doc_id, r.n_shingles, r.n_links) for r in members.collect()) == expected
+    classes = {frozenset(x) for _, x in sets}
+    found = pairs.collect()
+    assert len(found) == len(set(found)) == sum(bool(near(x, y)) for x in classes for y in classes if x != y) // 2
+    parts = {r.component_id for r in ngram_join.near_components(docs).where("n_shingles > 0").collect()}
+    assert len(found) > len({x for x in classes if x}) - len(parts)
+    pairs, members = ngram_join.near_pairs(none)
+    assert pairs.count() == members.count() == 0
