@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from congraph import rules_algebra, rules_binding
 from congraph.checkpoints import cut
 from congraph.graph import CongruenceGraph
+from congraph.intern import key_id
 from congraph.operators.match import match
 from congraph.saturate import Saturation, saturate
 from congraph.sources.files import term_nodes_of
@@ -65,7 +66,13 @@ def suite_counts(spark: SparkSession, sf_dir: str, name: str, strategy: str = "a
 
 def associativity_levels(spark: SparkSession, sf_dir: str) -> DataFrame:
     """n: matches of the associativity pattern on the start terms, a chain of sums for each customer's orders."""
-    chains = read_table(spark, sf_dir, "orders").groupBy("o_custkey").agg(F.sort_array(F.collect_list("o_orderkey")).alias("o"))
-    text = F.aggregate(F.slice("o", 2, 1 << 20), F.concat(F.lit("o"), F.element_at("o", 1)), lambda a, x: F.concat(F.lit("(add "), a, F.lit(" o"), x, F.lit(")")))
-    graph = _graph(spark, chains.select(text.alias("value")))
+    by = Window.partitionBy("o_custkey").orderBy("o_orderkey")
+    orders = read_table(spark, sf_dir, "orders").where("o_orderkey is not null")
+    rows = orders.select("o_orderkey", F.lag("o_orderkey").over(by).alias("before"), F.row_number().over(by).alias("k"))
+    leaf, total = key_id("order", F.col("o_orderkey")), key_id("chain", F.col("o_orderkey"))
+    # The sum up to an order is known by that order; up to the first one it is the order itself.
+    above = F.when(F.col("k") == 2, key_id("order", F.col("before"))).otherwise(key_id("chain", F.col("before")))
+    leaves = rows.select(F.concat(F.lit("o"), F.col("o_orderkey").cast("string")).alias("sym"), leaf.alias("cls"), F.array().cast("array<long>").alias("args"), F.lit(0).alias("ver"))
+    sums = rows.where("k >= 2").select(F.lit("add").alias("sym"), total.alias("cls"), F.array(above, leaf).alias("args"), F.lit(0).alias("ver"))
+    graph = CongruenceGraph(spark, nodes=cut(leaves.unionByName(sums), "start"))
     return match(graph, rules_algebra.PATTERNS["A01"], strategy="binary").agg(F.count(F.lit(1)).alias("n"))

@@ -61,3 +61,10 @@ def test_suite_counts_every_row(spark, tmp_path, name):
     conditions = {r.name: r.conditions for r in rules.RULES}
     expected = {k: sum(1 for _ in found(nodes, p, conditions.get(k, ()))) for k, p in patterns.items()}
     assert {r.pattern: r.n for r in entry.queries()[query](spark, str(tmp_path)).collect()} == expected
+
+
+def test_a_chain_of_over_a_million_orders(spark, tmp_path):
+    n = (1 << 20) + 100
+    orders = spark.range(n + 3).selectExpr("id o_orderkey", f"case when id < {n} then 1 else 2 end o_custkey")
+    orders.write.parquet(f"{tmp_path}/orders.parquet")
+    assert entry.queries()["w15_associativity"](spark, str(tmp_path)).first().n == n - 2 + 1
