@@ -102,7 +102,7 @@ def match(graph: CongruenceGraph, pattern, strategy: str = "auto", where: Sequen
 
 
 def match_many(graph: CongruenceGraph, patterns: Sequence, share_prefix: bool = True, **options) -> list[DataFrame]:
-    """A DataFrame for each pattern. share_prefix: inner applications that several patterns have are matched once."""
+    """A DataFrame for each pattern. share_prefix: patterns share the frames of their relations; each is joined from the start."""
     if not share_prefix:
         return [match(graph, p, **options) for p in patterns]
     shared: dict[tuple[str, int], DataFrame] = {}

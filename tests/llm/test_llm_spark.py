@@ -257,3 +257,9 @@ def test_near_pairs_are_the_whole_join(docs, none):
     assert len(found) > len({x for x in classes if x}) - len(parts)
     pairs, members = ngram_join.near_pairs(none)
     assert pairs.count() == members.count() == 0
+
+
+def test_short_lines_match_at_a_lower_percent(spark):
+    table = spark.createDataFrame([(1, "red old"), (2, "red old box"), (3, "unlike")], "doc_id long, text string")
+    removed = lambda percent: {r.doc_id: r.n_removed for r in line_dedup.dedup_lines(table, percent).collect()}
+    assert removed(60) == {1: 0, 2: 1, 3: 0} and removed(80) == {1: 0, 2: 0, 3: 0}
