@@ -46,6 +46,24 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+class Stages:
+    """Written stages of one run; `clear` deletes them once what was built from them is written too."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.paths = spark, []
+
+    def write(self, df: DataFrame, name: str) -> DataFrame:
+        path = work_dir(self.spark, name)
+        df.write.parquet(path)
+        self.paths.append(path)
+        return self.spark.read.schema(df.schema).parquet(path)
+
+    def clear(self) -> None:
+        for path in self.paths:
+            remove(self.spark, path)
+        self.paths = []
+
+
 def remove(spark: SparkSession, path: str) -> None:
     """Deletes a folder through the file system that its URL names."""
     hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
@@ -65,6 +83,11 @@ def doc_text(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
     )
 
 
+def odd_ids(rows: DataFrame) -> DataFrame:
+    """doc_id, once each, of ids that several rows have, and null: ids that do not tell a row."""
+    return rows.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1 or doc_id is null").select("doc_id")
+
+
 def partitions_for(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
 

@@ -6,7 +6,7 @@ corpus leaves each task once; the rest is dealt by length and content hash, and
 settles equality on the full bytes. The owner of a text is its smallest doc_id; null ids come last.
 
 Cases: null text = empty text; rows that repeat a doc_id count each and share the owner; rows with a null doc_id
-have a null `kept`, as in SQL, and stay if no copy has an id; an empty table gives
+have a null `kept`, as in SQL, and of those whose text has no id at all `drop_copies` keeps one; an empty table gives
 no rows; further columns of the input are left alone (`exact_classes` reads two columns only, `drop_copies` keeps all).
 """
 
@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from congraph.llm.common import SPACE_BYTES, doc_text, partitions_for
+from congraph.llm.common import SPACE_BYTES, doc_text, odd_ids, partitions_for, written
 from congraph.llm.patricia import PatriciaTrie
 
 _TO_SPACE = bytes(0x20 if b in SPACE_BYTES else b for b in range(256))
@@ -153,11 +153,17 @@ def _digest_of(texts: pd.Series) -> pd.Series:
 
 
 def drop_copies(docs: DataFrame) -> DataFrame:
-    """docs without the rows whose text an earlier document has; rows without an id are known by their text."""
-    classes = exact_classes(docs)
-    keep = classes.where("kept").select(F.col("doc_id").alias("_kept_id"))
-    known = docs.join(keep, docs["doc_id"].cast("long") == keep["_kept_id"], "left_semi")
-    free = classes.where("doc_id is null and keep_id is null").select(F.col("text_sha256").alias("_own_text")).distinct()
+    """docs with one row of each text: that of the least doc_id, or any one of its repeats.
+
+    Rows whose doc_id repeats or is null are told apart by their texts.
+    """
+    classes = written(exact_classes(docs), "copies")
+    odd = odd_ids(classes).select(F.col("doc_id").alias("_id"))
+    own_id = docs["doc_id"].cast("long")
+    plain = classes.where("kept").select(F.col("doc_id").alias("_id")).join(odd, "_id", "left_anti")
+    known = docs.join(plain, own_id == plain["_id"], "left_semi")
     text = F.coalesce(F.col("text").cast("string"), F.lit("")).cast("binary")
-    rest = docs.where(F.col("doc_id").cast("long").isNull()).withColumn("_own_text", _digest_of(text))
-    return known.unionByName(rest.join(free, "_own_text", "left_semi").select(*docs.columns))
+    rest = docs.join(odd, own_id.eqNullSafe(odd["_id"]), "left_semi").withColumn("_own_text", _digest_of(text))
+    owners = classes.select("keep_id", F.col("text_sha256").alias("_owned")).distinct()
+    rest = rest.join(owners, (rest["_own_text"] == owners["_owned"]) & rest["doc_id"].cast("long").eqNullSafe(owners["keep_id"]), "left_semi")
+    return known.unionByName(rest.dropDuplicates(["doc_id", "_own_text"]).select(*docs.columns))

@@ -6,16 +6,19 @@ counting sketch over all documents, a table of fixed size: its order is the same
 the filter needs to lose nothing, and common shingles stand out in it at any scale.
 
 Round one takes each posting list as a star around the member that has the shingle earliest in its order (the
-one with the fewest rare shingles of its own, which is the original among its edited copies). Round two takes
-the lists that still hold several components and verifies every pair that crosses them and passes the length,
-position and bitmap filters. Pairs inside a component need no check, as they can't change the result; so large groups
-cost their size, not its square. Pairs are verified once, after a filter over ranges of the sets.
+one with the fewest rare shingles of its own, which is the original among its edited copies); pairs pass the length
+and position filters and are verified. Round two takes, for each such hub, all classes that share a list with it, once
+whatever the number of lists. Where they lie in several components, those outside the largest one are held against the
+others by length and by the suffix filter: both sets' counts over PARTS ranges of hashes bound what they can have in common.
+What passes is verified, each pair once. Pairs inside a component need no check, as they can't change the result; so
+large groups of copies cost their size, not its square. Lists of very common shingles are dealt in parts, each with a
+hub of its own, and the hubs of one list form a star.
 
 Cases: no words or null text: the empty set, linked with nothing; fewer words than a shingle: the whole
 sequence; repeated rows of a doc_id are rows of their own with one component; null ids come last, a group
 without any other has a null component; ties in rarity are ordered by
 hash; an empty table gives no rows; further columns are left alone. Sets are compared as 64-bit hashes of
-shingles; a class is known by 64 bits of its set and its size.
+shingles, and a class is known by 64 bits of its set.
 """
 
 from __future__ import annotations
@@ -29,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from congraph.llm.common import doc_text, partitions_for, written
+from congraph.llm.common import Stages, doc_text, odd_ids, partitions_for
 from congraph.llm.components import components
 from congraph.llm.shingles import WIDTH, mixed, shingle_set
 
@@ -38,14 +41,18 @@ SKETCH_BITS = 22
 _CHUNK = 1 << 14
 #: Bits of the bitmap that leads a scan to the documents whose sets are wanted: 4 MB, for any corpus.
 SIEVE_BITS = 25
-#: Bits of the row that stands for a set before its pairs are verified.
-ROW_BITS = 1024
-#: Members of a list that one task compares with each other.
-BLOCK = 20_000
+#: Ranges of hashes whose counts stand for a set before its pairs are verified.
+PARTS = 1024
+#: Members of a group, and of those outside its largest component, that one task holds against each other.
+BLOCK = 1000
+#: Documents with a shingle beyond which its list is dealt in parts.
+LONG_LIST = 20_000
 
-_SETS = "doc_id long, class long, n int, bits binary, chunk int, part int, counts binary"
-_POSTING = "gram long, class long, n int, pos int"
-_PAIR = "kind int, a long, b long, gram long, class long, n int, pos int"
+_SETS = "doc_id long, class long, n int, chunk int, part int, counts binary"
+_POSTING = "gram long, salt int, class long, n int, pos int"
+_PAIR = "kind int, a long, b long, n int, pos int"
+#: Kinds of rows of the star round: a candidate pair; a group and a member; a long list and the hub of a part of it.
+CANDIDATE, MEMBER, PART_HUB = 0, 1, 2
 
 
 def least_overlap(n: int, m: int, percent: int) -> int:
@@ -57,11 +64,10 @@ def prefix_length(n: int, percent: int) -> int:
     return n - -(-percent * n // 100) + 1
 
 
-def bit_row(grams: np.ndarray) -> bytes:
-    """ROW_BITS bits with those of the shingles' hashes set: two rows differ in at most as many bits as the sets do."""
-    row = np.zeros(ROW_BITS, "u1")
-    row[(grams % np.uint64(ROW_BITS)).astype("i8")] = 1
-    return np.packbits(row).tobytes()
+def part_counts(grams: np.ndarray) -> bytes:
+    """How many shingles fall in each range of hashes, up to 255. Sums of differences bound the sets' difference from below."""
+    counts = np.bincount((grams >> np.uint64(64 - PARTS.bit_length() + 1)).astype("i8"), minlength=PARTS)
+    return np.minimum(counts, 255).astype("u1").tobytes()
 
 
 def class_of(grams: np.ndarray) -> int:
@@ -78,21 +84,21 @@ def _count(width: int):
         none = lambda n, t: pa.nulls(n, t)
         names = [x.split()[0] for x in _SETS.split(", ")]
         for batch in batches:
-            classes, sizes, bits = [], [], []
+            classes, sizes = [], []
             for text in batch.column("text").to_pylist():
                 grams = shingle_set(text, width)
                 own = class_of(grams)
-                classes.append(own), sizes.append(len(grams)), bits.append(bit_row(grams))
+                classes.append(own), sizes.append(len(grams))
                 if own not in seen and len(grams):
                     if len(seen) < 1_000_000:
                         seen.add(own)
                     np.add.at(sketch, (grams >> np.uint64(64 - SKETCH_BITS)).astype("i8"), 1)
             k = len(classes)
-            yield pa.record_batch([batch.column("doc_id"), pa.array(classes, pa.int64()), pa.array(sizes, pa.int32()), pa.array(bits, pa.binary()), none(k, pa.int32()), none(k, pa.int32()), none(k, pa.binary())], names=names)
+            yield pa.record_batch([batch.column("doc_id"), pa.array(classes, pa.int64()), pa.array(sizes, pa.int32()), none(k, pa.int32()), none(k, pa.int32()), none(k, pa.binary())], names=names)
         part = TaskContext.get().partitionId()
         for a in range(0, len(sketch), _CHUNK):
             if (piece := sketch[a : a + _CHUNK]).any():
-                yield pa.record_batch([none(1, pa.int64()), none(1, pa.int64()), none(1, pa.int32()), none(1, pa.binary()), pa.array([a // _CHUNK], pa.int32()), pa.array([part], pa.int32()), pa.array([piece.tobytes()], pa.binary())], names=names)
+                yield pa.record_batch([none(1, pa.int64()), none(1, pa.int64()), none(1, pa.int32()), pa.array([a // _CHUNK], pa.int32()), pa.array([part], pa.int32()), pa.array([piece.tobytes()], pa.binary())], names=names)
 
     return run
 
@@ -116,11 +122,11 @@ def rarity_sketch(chunks: DataFrame) -> np.ndarray:
     return out
 
 
-def _prefixes(sketch, width: int, percent: int):
+def _prefixes(sketch, width: int, percent: int, long_list: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts, seen = sketch.value, set()
         for batch in batches:
-            out: list[list[np.ndarray]] = [[], [], [], []]
+            out: list[list[np.ndarray]] = [[], [], [], [], []]
             for text in batch.column("text").to_pylist():
                 grams = shingle_set(text, width)
                 if not (n := len(grams)):
@@ -131,56 +137,62 @@ def _prefixes(sketch, width: int, percent: int):
                 if len(seen) < 1_000_000:
                     seen.add(own)
                 rare = counts[(grams >> np.uint64(64 - SKETCH_BITS)).astype("i8")]
-                first = grams[np.lexsort((grams, rare))[: prefix_length(n, percent)]].view("i8")
-                for column, values in zip(out, (first, np.full(len(first), own), np.full(len(first), n, "i4"), np.arange(len(first), dtype="i4"))):
+                order = np.lexsort((grams, rare))[: prefix_length(n, percent)]
+                first, held = grams[order].view("i8"), rare[order].astype("i8")
+                # The count is at least the list's length; 0 marks lists that are dealt whole.
+                salt = np.where(held > long_list, own % np.maximum(1, -(-held // long_list)) + 1, 0)
+                for column, values in zip(out, (first, salt.astype("i4"), np.full(len(first), own), np.full(len(first), n, "i4"), np.arange(len(first), dtype="i4"))):
                     column.append(values)
             if out[0]:
-                yield pa.record_batch([pa.array(np.concatenate(c)) for c in out], names=["gram", "class", "n", "pos"])
+                yield pa.record_batch([pa.array(np.concatenate(c)) for c in out], names=[x.split()[0] for x in _POSTING.split(", ")])
 
     return run
 
 
 def _stars(percent: int):
-    """Lists come sorted by gram, pos, n, class. Gives their pairs around the first member, and their postings."""
+    """Lists come sorted by gram, salt, pos, n, class. Gives their pairs around the first member, and who met there."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hub: tuple[int, int, int, int] | None = None  # gram, pos, n, class
+        names = [x.split()[0] for x in _POSTING.split(", ")]
+        begun: list[np.ndarray] | None = None  # the first two rows of a list that may go on
         for batch in batches:
-            gram, own, n, pos = (batch.column(c).to_numpy() for c in ("gram", "class", "n", "pos"))
-            if not len(gram):
+            columns = [batch.column(c).to_numpy() for c in names]
+            if not len(columns[0]):
                 continue
-            fresh = np.concatenate(([hub is None or gram[0] != hub[0]], gram[1:] != gram[:-1]))
-            at = np.maximum.accumulate(np.where(fresh, np.arange(len(gram)), -1))
-            known = at >= 0
-            if not known.all() and hub is None:
-                raise AssertionError("a list without a first member")
-            h = hub or (0, 0, 0, 0)
-            hub_pos, hub_n, hub_own = (np.where(known, c[at], v) for c, v in ((pos, h[1]), (n, h[2]), (own, h[3])))
-            later = ~fresh & (own != hub_own)
-            hub = (int(gram[-1]), int(hub_pos[-1]), int(hub_n[-1]), int(hub_own[-1]))
-            # A list with one member gives nothing; the first member's posting goes along with each list's second.
-            yield from _as_pairs(gram, own, n, pos, hub_pos, hub_n, hub_own, later, percent)
+            if begun is not None and begun[0][0] == columns[0][0] and begun[1][0] == columns[1][0]:
+                columns = [np.concatenate(c) for c in zip(begun, columns)]
+            gram, salt, own = columns[:3]
+            fresh = np.concatenate(([True], (gram[1:] != gram[:-1]) | (salt[1:] != salt[:-1])))
+            # Copies of a class in one list are neighbours.
+            new = np.concatenate(([True], fresh[1:] | (own[1:] != own[:-1])))
+            columns, fresh = [c[new] for c in columns], fresh[new]
+            start = np.maximum.accumulate(np.where(fresh, np.arange(len(fresh)), 0))
+            begun = [c[start[-1] : start[-1] + 2].copy() for c in columns]
+            yield from _star_rows(*columns, start, percent)
 
     return run
 
 
-def _as_pairs(gram, own, n, pos, hub_pos, hub_n, hub_own, later, percent) -> Iterator[pa.RecordBatch]:
-    names = [x.split()[0] for x in _PAIR.split(", ")]
-    i = np.flatnonzero(later)
-    if not len(i):
-        return
-    ok = passes(hub_n[i], hub_pos[i], n[i], pos[i], percent)
-    j = i[ok]
-    k = len(j)
-    zero = np.zeros(k, "i8")
-    yield pa.record_batch([pa.array(np.zeros(k, "i4")), pa.array(np.minimum(hub_own[j], own[j])), pa.array(np.maximum(hub_own[j], own[j])), pa.array(zero), pa.array(zero), pa.array(zero.astype("i4")), pa.array(zero.astype("i4"))], names=names)
-    # Postings of lists with several members, for round two; the first member's appear once for each other one.
-    g = np.concatenate((gram[i], gram[i]))
-    c, s, p = np.concatenate((own[i], hub_own[i])), np.concatenate((n[i], hub_n[i])), np.concatenate((pos[i], hub_pos[i]))
-    new = np.concatenate((np.ones(len(i), bool), np.concatenate(([True], (gram[i][1:] != gram[i][:-1])))))
-    g, c, s, p = g[new], c[new], s[new], p[new]
-    zero = np.zeros(len(g), "i8")
-    yield pa.record_batch([pa.array(np.ones(len(g), "i4")), pa.array(zero), pa.array(zero), pa.array(g), pa.array(c), pa.array(s.astype("i4")), pa.array(p.astype("i4"))], names=names)
+def _star_rows(gram, salt, own, n, pos, start, percent) -> Iterator[pa.RecordBatch]:
+    rank = np.arange(len(gram)) - start
+    hub, zero = own[start], np.zeros(len(gram), "i4")
+
+    def rows(kind, a, b, n, pos):
+        if len(a):
+            yield pa.record_batch([pa.array(np.full(len(a), kind, "i4")), pa.array(a), pa.array(b), pa.array(n), pa.array(pos)], names=[x.split()[0] for x in _PAIR.split(", ")])
+
+    i = np.flatnonzero(rank > 0)
+    i = i[passes(n[start[i]], pos[start[i]], n[i], pos[i], percent)]
+    yield from rows(CANDIDATE, np.minimum(hub[i], own[i]), np.maximum(hub[i], own[i]), zero[i], zero[i])
+    # In a list of two the pair is all there is; longer ones say who may meet whom.
+    whole = salt == 0
+    third = np.flatnonzero(whole & (rank == 2))
+    more = np.concatenate((np.flatnonzero(whole & (rank >= 2)), third - 1, third - 2))
+    yield from rows(MEMBER, hub[more], own[more], zero[more], zero[more])
+    i = np.flatnonzero(~whole)
+    yield from rows(MEMBER, gram[i], own[i], zero[i], zero[i])
+    i = np.flatnonzero(~whole & (rank == 0))
+    yield from rows(PART_HUB, gram[i], own[i], n[i], pos[i])
 
 
 def passes(n: np.ndarray, i: np.ndarray, m: np.ndarray, j: np.ndarray, percent: int) -> np.ndarray:
@@ -251,17 +263,17 @@ def _sets(width: int, sieve):
             wanted = np.flatnonzero(bits[bit >> 3] >> (7 - (bit & 7)).astype("u1") & 1)
             sets = [shingle_set(t, width) for t in batch.column("text").take(pa.array(wanted)).to_pylist()]
             if sets:
-                yield pa.record_batch([pa.array([class_of(s) for s in sets], pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], names=["class", "grams"])
+                columns = [pa.array([class_of(s) for s in sets], pa.int64()), pa.array([len(s) for s in sets], pa.int32())]
+                yield pa.record_batch([*columns, pa.array([s.tobytes() for s in sets], pa.binary()), pa.array([part_counts(s) for s in sets], pa.binary())], names=["class", "n", "grams", "counts"])
 
     return run
 
 
-def _sets_of(rows: DataFrame, docs_of: DataFrame, pairs: DataFrame, width: int) -> DataFrame:
-    """class, grams of the classes in pairs, built again from one document of each; only those are shingled."""
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("class")).distinct()
-    chosen = docs_of.where("n > 0").join(wanted, "class", "left_semi").groupBy("class").agg(F.min("doc_id").alias("doc_id"))
+def _sets_of(rows: DataFrame, docs_of: DataFrame, wanted: DataFrame, width: int, stages: Stages) -> DataFrame:
+    """class, n, grams, counts of the wanted classes, built again from one document of each; only those are shingled."""
+    chosen = docs_of.where("n > 0").join(wanted.distinct(), "class", "left_semi").groupBy("class").agg(F.min("doc_id").alias("doc_id"))
     sieve = rows.sparkSession.sparkContext.broadcast(_sieve(chosen))
-    return written(rows.mapInArrow(_sets(width, sieve), "class long, grams binary"), "grams")
+    return stages.write(rows.mapInArrow(_sets(width, sieve), "class long, n int, grams binary, counts binary"), "grams")
 
 
 def _links(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -272,119 +284,151 @@ def _links(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 
 def _crossing(percent: int):
-    """Members of one cell of a list with their components; pairs that cross components."""
+    """Rows of cells, sorted by cell: all members of a block, and probes; pairs of both that may link."""
+    step = PARTS // 128
+
+    def pairs(own, n, component, main, probe, counts):
+        order = np.argsort(n[~probe], kind="stable")
+        base = [c[~probe][order] for c in (own, n, component, main, counts)]
+        coarse = base[4].reshape(len(order), 128, step).sum(2, dtype="i4")
+        for k in np.flatnonzero(probe):
+            lo, hi = np.searchsorted(base[1], (-(-percent * int(n[k]) // 100), 100 * int(n[k]) // percent + 1))
+            # Both ends outside the largest component: the pair comes twice, and one is enough.
+            at = lo + np.flatnonzero((base[2][lo:hi] != component[k]) & ((base[0][lo:hi] > own[k]) | (base[2][lo:hi] == base[3][lo:hi])))
+            total = base[1][at].astype("i8") + int(n[k])
+            apart = total - 2 * -(-percent * total // (100 + percent))
+            near = np.abs(coarse[at] - counts[k].reshape(128, step).sum(1, dtype="i4")).sum(1) <= apart
+            at, apart = at[near], apart[near]
+            at = at[np.abs(base[4][at].astype("i2") - counts[k].astype("i2")).sum(1) <= apart]
+            if len(at):
+                yield pa.record_batch([pa.array(np.minimum(base[0][at], own[k])), pa.array(np.maximum(base[0][at], own[k]))], names=["a", "b"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, now = [], None
 
-        def pairs(rows):
-            own, n, pos, comp, block = (np.concatenate([r[k] for r in rows]) for k in range(5))
-            bits = np.concatenate([r[5] for r in rows])
-            across = len(np.unique(block)) > 1
-            for k in range(len(own) - 1):
-                rest = slice(k + 1, None)
-                ok = comp[rest] != comp[k]
-                if across:
-                    ok &= block[rest] != block[k]
-                if not ok.any():
-                    continue
-                m = len(own) - k - 1
-                ok &= passes(np.full(m, n[k]), np.full(m, pos[k]), n[rest], pos[rest], percent)
-                at = np.flatnonzero(ok) + k + 1
-                # Bitmap filter: links differ in at most n + m - 2 * need shingles, and so in no more bits.
-                apart = np.bitwise_count(bits[at] ^ bits[k]).sum(1)
-                total = n[at].astype("i8") + int(n[k])
-                at = at[apart <= total - 2 * -(-percent * total // (100 + percent))]
-                if len(at):
-                    other = own[at]
-                    yield pa.record_batch([pa.array(np.minimum(other, own[k])), pa.array(np.maximum(other, own[k]))], names=["a", "b"])
+        def flush():
+            if held:
+                yield from pairs(*(np.concatenate(c) for c in zip(*held)))
 
         for batch in batches:
-            gram, cell = batch.column("gram").to_numpy(), batch.column("cell").to_numpy()
-            if not len(gram):
+            cell = np.stack([batch.column(c).to_numpy() for c in ("group", "block", "probes")], 1)
+            if not len(cell):
                 continue
-            columns = [batch.column(c).to_numpy() for c in ("class", "n", "pos", "component", "block")]
-            columns.append(np.frombuffer(b"".join(batch.column("bits").to_pylist()), "<u8").reshape(len(gram), -1))
-            cuts = [0, *(np.flatnonzero((gram[1:] != gram[:-1]) | (cell[1:] != cell[:-1])) + 1), len(gram)]
+            columns = [batch.column(c).to_numpy(zero_copy_only=False) for c in ("class", "n", "component", "main", "probe")]
+            columns.append(np.frombuffer(b"".join(batch.column("counts").to_pylist()), "u1").reshape(len(cell), PARTS))
+            cuts = [0, *(np.flatnonzero((cell[1:] != cell[:-1]).any(1)) + 1), len(cell)]
             for a, b in zip(cuts, cuts[1:]):
-                if (gram[a], cell[a]) != now:
-                    if held:
-                        yield from pairs(held)
-                    held, now = [], (gram[a], cell[a])
+                if tuple(cell[a]) != now:
+                    yield from flush()
+                    held, now = [], tuple(cell[a])
                 held.append([c[a:b] for c in columns])
-        if held:
-            yield from pairs(held)
+        yield from flush()
 
     return run
 
 
-def _cells(labelled: DataFrame, docs_of: DataFrame) -> DataFrame:
-    """Lists with several components, each as one cell; one of over BLOCK members as all pairs of its blocks."""
-    several = labelled.groupBy("gram").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count(F.lit(1)).alias("size"))
-    several = several.where("lo <> hi").select("gram", F.ceil(F.col("size") / BLOCK).cast("int").alias("blocks"))
-    rows = labelled.join(several, "gram")
-    bits = docs_of.join(rows.select("class").distinct(), "class", "left_semi").groupBy("class").agg(F.min("bits").alias("bits"))
-    rows = rows.join(bits, "class").withColumn("block", F.pmod(F.xxhash64("class"), F.col("blocks")).cast("int"))
-    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
-    rows = rows.select("gram", "class", "n", "pos", "component", "bits", "block", "blocks", other.alias("other"))
-    return rows.select("gram", "class", "n", "pos", "component", "bits", "block", (F.least("block", "other") * F.col("blocks") + F.greatest("block", "other")).alias("cell"))
-
-
-def _starred(docs: DataFrame, percent: int, width: int) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """Texts; class of each document; star pairs and the postings of lists with several members."""
-    spark, parts = docs.sparkSession, partitions_for(docs.sparkSession)
-    rows = doc_text(docs)
-    first = written(rows.mapInArrow(_count(width), _SETS), "sets")
-    docs_of = first.where("chunk is null").select("doc_id", "class", "n", "bits")
-    sketch = spark.sparkContext.broadcast(rarity_sketch(first.where("chunk is not null")))
-    lists = rows.mapInArrow(_prefixes(sketch, width, percent), _POSTING).repartition(parts, "gram").sortWithinPartitions("gram", "pos", "n", "class")
-    return rows, docs_of, written(lists.mapInArrow(_stars(percent), _PAIR), "stars")
-
-
-def near_pairs(docs: DataFrame, percent: int = 80, width: int = WIDTH) -> tuple[DataFrame, DataFrame]:
+def _cells(members: DataFrame, sets: DataFrame, stages: Stages) -> DataFrame:
+    """members: group, class, component. Groups with several components, dealt in cells: a block of all members beside a
+    block of those outside the largest component."""
+    of = members.groupBy("group", "component").agg(F.count(F.lit(1)).alias("size"))
+    of = of.groupBy("group").agg(F.max_by("component", F.struct("size", "component")).alias("main"), F.sum("size").alias("all"), F.max("size").alias("most"), F.count(F.lit(1)).alias("parts"))
+    several = stages.write(of.where("parts > 1").select("group", "main", F.ceil(F.col("all") / BLOCK).alias("blocks"), F.ceil((F.col("all") - F.col("most")) / BLOCK).alias("probe_blocks")), "groups")
+    rows = members.join(several, "group")
+    place = lambda n: F.pmod(F.xxhash64("class"), F.col(n))
+    every = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.col(n) - 1))
+    kept = ("group", "class", "component", "main")
+    base = rows.select(*kept, F.lit(False).alias("probe"), place("blocks").alias("block"), every("probe_blocks").alias("probes"))
+    probe = rows.where("component <> main").select(*kept, F.lit(True).alias("probe"), every("blocks").alias("block"), place("probe_blocks").alias("probes"))
+    # Several documents may have built a set; it is the same.
+    known = sets.select("class", "n", "counts").dropDuplicates(["class"])
+    return base.unionByName(probe).join(known, "class")
+
+
+def _candidates(members: DataFrame, sets: DataFrame, percent: int, stages: Stages) -> DataFrame:
+    key = ("group", "block", "probes")
+    cells = _cells(members, sets, stages).repartition(partitions_for(members.sparkSession), *key).sortWithinPartitions(*key)
+    return cells.mapInArrow(_crossing(percent), "a long, b long").distinct()
+
+
+def _part_stars(hubs: DataFrame, percent: int) -> DataFrame:
+    """Candidate pairs of a long list's part hubs with the first of them."""
+    first = hubs.groupBy("gram").agg(F.min(F.struct("pos", "n", "class")).alias("hub"))
+    both = hubs.join(first, "gram").where(F.col("class") != F.col("hub.class"))
+    n, m = F.col("n"), F.col("hub.n")
+    near = (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (
+        F.least("pos", "hub.pos") + 1 + F.least(n - F.col("pos") - 1, m - F.col("hub.pos") - 1) >= F.ceil(percent * (n + m) / F.lit(100 + percent))
+    )
+    return both.where(near).select(F.least("class", "hub.class").alias("a"), F.greatest("class", "hub.class").alias("b"))
+
+
+class _Starred:
+    """What the star round gives: docs_of (doc_id, class, n), candidate pairs, members of groups, and sets of both."""
+
+    def __init__(self, docs: DataFrame, percent: int, width: int, stages: Stages, long_list: int):
+        spark, parts = docs.sparkSession, partitions_for(docs.sparkSession)
+        rows = doc_text(docs)
+        first = stages.write(rows.mapInArrow(_count(width), _SETS), "sets")
+        self.docs_of = first.where("chunk is null").select("doc_id", "class", "n")
+        sketch = spark.sparkContext.broadcast(rarity_sketch(first.where("chunk is not null")))
+        lists = rows.mapInArrow(_prefixes(sketch, width, percent, long_list), _POSTING).repartition(parts, "gram", "salt").sortWithinPartitions("gram", "salt", "pos", "n", "class")
+        found = stages.write(lists.mapInArrow(_stars(percent), _PAIR).distinct(), "stars")
+        hubs = found.where(F.col("kind") == PART_HUB).select(F.col("a").alias("gram"), F.col("b").alias("class"), "n", "pos")
+        pairs = found.where(F.col("kind") == CANDIDATE).select("a", "b").unionByName(_part_stars(hubs, percent))
+        self.pairs = stages.write(pairs.distinct(), "pairs")
+        self.members = found.where(F.col("kind") == MEMBER).select(F.col("a").alias("group"), F.col("b").alias("class"))
+        wanted = self.pairs.select(F.explode(F.array("a", "b")).alias("class")).unionByName(self.members.select("class"))
+        self.sets = _sets_of(rows, self.docs_of, wanted, width, stages)
+
+
+def near_pairs(docs: DataFrame, percent: int = 80, width: int = WIDTH, long_list: int = LONG_LIST) -> tuple[DataFrame, DataFrame]:
     """The join itself: (a, b), each pair of classes that link, once; and doc_id, class_id, n_shingles, n_links, one row
     for each row of docs. Rows of one class link with each other too, and n_links counts other rows.
 
     Every pair that passes the filters is verified, also inside a component, so the work grows with the number of links.
     """
-    parts = partitions_for(docs.sparkSession)
-    rows, docs_of, found = _starred(docs, percent, width)
-    postings = found.where("kind = 1").select("gram", "class", "n", "pos").distinct()
-    # With each class as its own component every pair of a list crosses.
-    alone = written(postings.withColumn("component", F.col("class")), "labelled")
-    pairs = _cells(alone, docs_of).repartition(parts, "gram", "cell").sortWithinPartitions("gram", "cell").mapInArrow(_crossing(percent), "a long, b long")
-    pairs = written(pairs.distinct(), "pairs")
-    links = written(_links(pairs, _sets_of(rows, docs_of, pairs, width), percent).distinct(), "links")
-    sizes = docs_of.where("n > 0").groupBy("class").agg(F.count(F.lit(1)).alias("own"))
+    stages = Stages(docs.sparkSession)
+    s = _Starred(docs, percent, width, stages, long_list)
+    # With each class as its own component every pair of a group crosses.
+    pairs = stages.write(s.pairs.unionByName(_candidates(s.members.withColumn("component", F.col("class")), s.sets, percent, stages)).distinct(), "pairs")
+    links = Stages(docs.sparkSession).write(_links(pairs, s.sets, percent).distinct(), "links")
+    sizes = s.docs_of.where("n > 0").groupBy("class").agg(F.count(F.lit(1)).alias("own"))
     both = links.select(F.col("a").alias("class"), F.col("b").alias("other")).unionByName(links.select(F.col("b").alias("class"), F.col("a").alias("other")))
     others = both.join(sizes.select(F.col("class").alias("other"), F.col("own").alias("size")), "other").groupBy("class").agg(F.sum("size").alias("linked"))
-    counts = sizes.join(others, "class", "left").select("class", (F.col("own") - 1 + F.coalesce("linked", F.lit(0))).alias("links"))
-    members = docs_of.join(counts, "class", "left").select("doc_id", F.col("class").alias("class_id"), F.col("n").cast("long").alias("n_shingles"), F.coalesce("links", F.lit(0)).alias("n_links"))
+    counts = stages.write(sizes.join(others, "class", "left").select("class", (F.col("own") - 1 + F.coalesce("linked", F.lit(0))).alias("links")), "counts")
+    members = s.docs_of.join(counts, "class", "left").select("doc_id", F.col("class").alias("class_id"), F.col("n").cast("long").alias("n_shingles"), F.coalesce("links", F.lit(0)).alias("n_links"))
+    members = Stages(docs.sparkSession).write(members, "members")
+    stages.clear()
     return links, members
 
 
-def near_components(docs: DataFrame, percent: int = 80, width: int = WIDTH) -> DataFrame:
+def _grouped(docs: DataFrame, percent: int, width: int, long_list: int = LONG_LIST) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, n, class, group) of each row, group null without words; (group, least, least_class) of each group."""
+    stages, kept = Stages(docs.sparkSession), Stages(docs.sparkSession)
+    s = _Starred(docs, percent, width, stages, long_list)
+    of = components(stages.write(_links(s.pairs, s.sets, percent), "links"), stages)
+    label = of.select(F.col("node").alias("class"), "component")
+    members = s.members.join(label, "class", "left").withColumn("component", F.coalesce("component", "class"))
+    members = stages.write(members, "members")
+    crossing = stages.write(_candidates(members, s.sets, percent, stages).join(s.pairs, ["a", "b"], "left_anti"), "crossing")
+    if crossing.take(1):
+        more = stages.write(_links(crossing, s.sets, percent), "links")
+        of = components(of.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more), stages)
+        label = of.select(F.col("node").alias("class"), "component")
+    tagged = s.docs_of.join(label, "class", "left").withColumn("group", F.when(F.col("n") > 0, F.coalesce("component", "class")))
+    tagged = kept.write(tagged.select("doc_id", "n", "class", "group"), "tagged")
+    # The least id, null ids last. Written, so that the join after it may split a group with many rows.
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "class"))
+    least = kept.write(tagged.where("n > 0").groupBy("group").agg(first.alias("f")).select("group", F.col("f.doc_id").alias("least"), F.col("f.class").alias("least_class")), "least")
+    stages.clear()
+    return tagged, least
+
+
+def near_components(docs: DataFrame, percent: int = 80, width: int = WIDTH, long_list: int = LONG_LIST) -> DataFrame:
     """doc_id, n_shingles, component_id (least doc_id reachable by links), class, one row for each row of docs.
 
     Pairs inside a component are left out here; `near_pairs` has them.
     """
-    parts = partitions_for(docs.sparkSession)
-    rows, docs_of, found = _starred(docs, percent, width)
-    postings = found.where("kind = 1").select("gram", "class", "n", "pos").distinct()
-    stars = written(found.where("kind = 0").select("a", "b").distinct(), "pairs")
-    links = written(_links(stars, _sets_of(rows, docs_of, stars, width), percent), "links")
-    of = components(links)
-    labelled = postings.join(of.withColumnRenamed("node", "class"), "class", "left").withColumn("component", F.coalesce("component", "class"))
-    labelled = written(labelled, "labelled")
-    crossing = _cells(labelled, docs_of).repartition(parts, "gram", "cell").sortWithinPartitions("gram", "cell").mapInArrow(_crossing(percent), "a long, b long")
-    crossing = written(crossing.distinct().join(stars, ["a", "b"], "left_anti"), "pairs")
-    if crossing.take(1):
-        more = written(_links(crossing, _sets_of(rows, docs_of, crossing, width), percent), "links")
-        of = components(of.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more))
-    label = of.select(F.col("node").alias("class"), "component")
-    tagged = docs_of.join(label, "class", "left").withColumn("group", F.when(F.col("n") > 0, F.coalesce("component", "class")))
-    tagged = written(tagged.select("doc_id", "n", "class", "group"), "tagged")
-    least = tagged.where("n > 0").groupBy("group").agg(F.min("doc_id").alias("least"))
+    tagged, least = _grouped(docs, percent, width, long_list)
     return tagged.join(least, "group", "left").select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.coalesce("least", "doc_id").alias("component_id"), F.col("class").alias("class_id"))
 
 
@@ -397,11 +441,19 @@ def _class_of_text(width: int):
 
 
 def drop_near_copies(docs: DataFrame, percent: int = 80, width: int = WIDTH) -> DataFrame:
-    """docs with one document, the first, of each component; rows without an id stay if no row of theirs has one."""
-    found = near_components(docs, percent, width)
-    keep = found.where("doc_id = component_id").select(F.col("doc_id").alias("_kept_id"))
-    known = docs.join(keep, docs["doc_id"].cast("long") == keep["_kept_id"], "left_semi")
-    free = found.where("doc_id is null and component_id is null").select(F.col("class_id").alias("_own_class")).distinct()
+    """docs with one row of each component: that of the least doc_id, or any one of its repeats. Rows without words stay.
+
+    Rows whose doc_id repeats or is null are told apart by their sets.
+    """
+    tagged, least = _grouped(docs, percent, width)
+    odd = odd_ids(tagged)
+    wordless = tagged.where("n = 0").select("doc_id", F.col("class").alias("own"))
+    chosen = least.select(F.col("least").alias("doc_id"), F.col("least_class").alias("own"))
+    plain = chosen.unionByName(wordless).select(F.col("doc_id").alias("_id")).where("_id is not null").join(odd.select(F.col("doc_id").alias("_id")), "_id", "left_anti")
+    own_id = docs["doc_id"].cast("long")
+    known = docs.join(plain, own_id == plain["_id"], "left_semi")
     text = F.coalesce(F.col("text").cast("string"), F.lit("")).cast("binary")
-    rest = docs.where(F.col("doc_id").cast("long").isNull()).withColumn("_own_class", _class_of_text(width)(text))
-    return known.unionByName(rest.join(free, "_own_class", "left_semi").select(*docs.columns))
+    rest = docs.join(odd.select(F.col("doc_id").alias("_id")), own_id.eqNullSafe(F.col("_id")), "left_semi").withColumn("_own", _class_of_text(width)(text))
+    empty = F.col("_own") == class_of(np.empty(0, "u8"))
+    one = rest.where(~empty).join(chosen, F.col("_own").eqNullSafe(chosen["own"]) & rest["doc_id"].cast("long").eqNullSafe(chosen["doc_id"]), "left_semi").dropDuplicates(["doc_id", "_own"])
+    return known.unionByName(one.unionByName(rest.where(empty)).select(*docs.columns))
