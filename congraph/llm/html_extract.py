@@ -1,9 +1,10 @@
 """Main text of web pages by minimum cut.
 
-A page becomes its text blocks. Each block's evidence (containers above it, their names, link density, length,
-tag) is a log odds for content, which becomes its capacity from the source (content) or to the sink (boilerplate).
-Neighbours in page order and blocks near in the document tree are joined by smoothness edges. The cut of least
-cost separates content from boilerplate.
+A page becomes its text blocks. A linear classifier gives each block log odds for content, from the elements above it,
+the kind of its own element, its words, its marks of sentences, its share of linked text, its place on the page and, as one
+feature among these, the names of containers. The odds become the block's capacity from the source (content) or to
+the sink (boilerplate). Neighbours in page order and blocks near in the document tree are joined by smoothness edges, as strong as
+the odds of a doubtful block, so that it goes with those around it. The cut of least cost separates content from boilerplate.
 
 Cases: null or empty html, and pages without content: the empty text; unclosed or stray tags, comments and
 quotes are read as browsers do; a `<` that opens no tag is text; repeated page_ids are rows of their own; an
@@ -40,15 +41,27 @@ INLINE = frozenset(
 _VOID = frozenset("area base col embed hr img input link meta param source track wbr br".split())
 _CLOSES_ITSELF = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 _SCOPES = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table"}, "td": {"table", "tr"}, "th": {"table", "tr"}}
-_FURNITURE = frozenset("nav footer aside form menu dialog button fieldset address figcaption head".split())
-#: Furniture of a page that belongs to an article inside one.
-_IN_CONTENT = frozenset(("address", "figcaption"))
-#: Words in names of containers that speak for and against content.
+#: Log odds of the classifier, by element above a block; fixed values.
+ABOVE = {
+    "article": 3.0, "main": 2.5, "nav": -7.0, "footer": -7.0, "aside": -6.0, "form": -5.0, "menu": -6.0, "dialog": -7.0,
+    "button": -7.0, "fieldset": -4.0, "header": -4.0, "head": -9.0,
+}
+#: By a block's own element.
+OWN = {"p": 1.0, "pre": 1.5, "blockquote": 1.0, "figcaption": 1.0, "h1": 2.5, "h2": 1.0, "h3": 0.8, "h4": 0.5, "h5": 0.5, "h6": 0.5, "li": -0.3, "td": -0.3, "th": -0.3, "dt": -0.3, "dd": -0.3}
+HIDDEN, NAMED_FOR, NAMED_AGAINST, NAMED_BESIDE, NAMED_DOUBTFUL = -10.0, 2.0, -10.0, -7.5, -1.2
+#: Outside any container of content; a word, up to MOST_WORDS; the end of a sentence; linked text outside content and inside it; the ends of a page.
+BARE, WORD, MOST_WORDS, SENTENCE, LINKED, LINKED_INSIDE, EDGE = -1.5, 0.08, 40, 0.7, -6.0, -2.5, -0.4
+#: Smoothness: of neighbours, and of blocks in one container, over one and the tree's distance.
+ADJACENT, PROXIMITY = 0.4, 2.2
+#: Words in names of containers: against content; such as articles' own parts have as well; of teasers; for content.
 _AGAINST = re.compile(
-    r"(?:^|[\s_-])(?:ad|ads|advert\w*|adsense|sponsor\w*|promo\w*|banner|nav\w*|menu\w*|breadcrumb\w*|foot|footer|header|masthead|side|sidebar|aside|widget\w*|comment\w*|reply|replies|respond|disqus|cookie\w*|consent|gdpr|notice\w*|alert|popup|modal|overlay|newsletter|subscribe\w*|signup|login|search\w*|share|sharing|social\w*|related|recommend\w*|tags?|meta|pagination|pager|copyright|legal|disclaimer|toolbar|skip|hidden|form)(?=$|[\s_-])",
+    r"(?:^|[\s_-])(?:ad|ads|advert\w*|adsense|sponsor\w*|promo\w*|banner|nav\w*|menu\w*|breadcrumbs?|foot|footer|masthead|sidebar|aside|widgets?|comments?|commentlist|replies|respond|disqus|cookies?|consent|gdpr|popup|modal|overlay|newsletter|subscribe|signup|login|share|sharing|social\w*|pagination|pager|toolbar|hidden|notices?|alert|searchform|searchbox)(?=$|[\s_-])",
     re.I,
 )
-_FOR = re.compile(r"(?:^|[\s_-])(?:article\w*|content|main|post|entry|story|body|text|articlebody)(?=$|[\s_-])", re.I)
+_DOUBTFUL = re.compile(r"(?:^|[\s_-])(?:header|side|reply|tags?|meta|legal|copyright|disclaimer|skip|form|search)(?=$|[\s_-])", re.I)
+_BESIDE = re.compile(r"(?:^|[\s_-])(?:related|recommend\w*)(?=$|[\s_-])", re.I)
+_FOR = re.compile(r"(?:^|[\s_-])(?:article\w*|content|main|post|entry|story|body|text|articlebody|prose)(?=$|[\s_-])", re.I)
+_ENDS = re.compile(r"[.!?\u2026:;\u3002\uff01\uff1f][\"'\u00bb\u201d\u2019)\]]*$")
 
 
 class Block:
@@ -59,12 +72,13 @@ class Block:
 
 
 class _Node:
-    __slots__ = ("tag", "up", "depth", "for_", "against")
+    """An element with what it and those above it say: `inside` for content, `lean` for everything else."""
+
+    __slots__ = ("tag", "up", "depth", "inside", "lean")
 
     def __init__(self, tag: str, up: _Node | None, attributes: str):
         self.tag, self.up, self.depth = tag, up, (up.depth + 1 if up else 0)
-        names = ""
-        hidden = False
+        names, hidden = "", False
         if attributes:
             for key, value in _NAME.findall(attributes):
                 key, value = key.lower(), value.strip("\"'")
@@ -72,13 +86,22 @@ class _Node:
                     hidden = True
                 elif key in ("class", "id", "role", "itemprop"):
                     names += " " + value
-        own_for = tag in ("article", "main") or bool(names and _FOR.search(names))
-        bad = hidden or tag in _FURNITURE and not (tag in _IN_CONTENT and up and up.for_) or bool(names and tag not in ("body", "html", "article", "main") and _AGAINST.search(names))
-        if tag == "header" and not (up and up.for_):
-            bad = True
-        # Content named inside content stays content; furniture inside it does not.
-        self.for_ = bool(up and up.for_) or own_for
-        self.against = bool(up and up.against) or bad
+        inside, lean = (up.inside, up.lean) if up else (0.0, 0.0)
+        own = ABOVE.get(tag, 0.0)
+        if own > 0:
+            inside = max(inside, own)
+        elif not (tag == "header" and inside >= 2.0):  # an article's header holds its headline
+            lean += own
+        if names and tag not in ("body", "html"):
+            if _AGAINST.search(names):
+                lean += NAMED_AGAINST
+            elif _BESIDE.search(names):
+                lean += NAMED_BESIDE
+            elif _DOUBTFUL.search(names):
+                lean += NAMED_DOUBTFUL
+            if _FOR.search(names):
+                inside = max(inside, NAMED_FOR)
+        self.inside, self.lean = inside, lean + HIDDEN * hidden
 
 
 def blocks_of(page: str) -> list[Block]:
@@ -156,21 +179,15 @@ def blocks_of(page: str) -> list[Block]:
     return out
 
 
-def evidence(block: Block) -> float:
-    """Log odds that a block is content."""
-    node, n = block.path, len(block.text)
-    score = 3.0 if node.for_ else -0.5
-    if node.against:
-        score -= 9.0
-    if block.tag == "p":
-        score += 1.5
-    elif re.fullmatch(r"h[1-6]", block.tag):
-        score += 1.0
-    elif block.tag in ("li", "td", "th", "dt", "dd"):
-        score -= 0.5
-    score += min(2.0, n / 100)
-    score -= 5.0 * block.linked / max(1, n)
-    return score
+def evidence(block: Block, place: float = 0.5) -> float:
+    """Log odds that a block is content; place: 0 to 1 along the page."""
+    node, words = block.path, len(block.text.split())
+    share = block.linked / max(1, len(block.text))
+    score = (node.inside or BARE) + node.lean + OWN.get(block.tag, 0.0) + WORD * min(words, MOST_WORDS)
+    score += share * (LINKED_INSIDE if node.inside else LINKED)
+    if _ENDS.search(block.text):
+        score += SENTENCE
+    return score + (EDGE if place < 0.05 or place > 0.95 else 0.0)
 
 
 def _tree_distance(a: _Node, b: _Node) -> int:
@@ -184,7 +201,7 @@ def _tree_distance(a: _Node, b: _Node) -> int:
     return steps
 
 
-def edges_of(blocks: list[Block], adjacency: float = 0.3, proximity: float = 1.0) -> list[tuple[int, int, float]]:
+def edges_of(blocks: list[Block], adjacency: float = ADJACENT, proximity: float = PROXIMITY) -> list[tuple[int, int, float]]:
     """Smoothness: each block with the next, and with the one after its next in the same container."""
     out = []
     last: dict[int, int] = {}
@@ -255,14 +272,19 @@ def minimum_cut(odds: list[float], edges: list[tuple[int, int, float]]) -> list[
                 room[e ^ 1] += least
 
 
-def main_text(page: str) -> str:
+def labelled(page: str) -> list[tuple[Block, float, bool]]:
+    """Each block with the classifier's log odds, and whether the cut puts it on the side of content."""
     blocks = blocks_of(page)
-    odds = [evidence(b) for b in blocks]
-    if all(x > 0 for x in odds):
-        kept = [True] * len(odds)
+    odds = [evidence(b, k / max(1, len(blocks) - 1)) for k, b in enumerate(blocks)]
+    if all(x > 0 for x in odds) or all(x <= 0 for x in odds):
+        kept = [x > 0 for x in odds]  # nothing to cut
     else:
         kept = minimum_cut(odds, edges_of(blocks))
-    return "\n\n".join(b.text for b, keep in zip(blocks, kept) if keep)
+    return list(zip(blocks, odds, kept))
+
+
+def main_text(page: str) -> str:
+    return "\n\n".join(b.text for b, _, keep in labelled(page) if keep)
 
 
 def _extract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -6,10 +6,12 @@ import itertools
 import random
 import re
 import zlib
+from collections import Counter
 
 import numpy as np
 import pytest
 
+import planted_pages
 from congraph.llm import best_fit, bitpack, exact_dedup, html_extract, merkle, ngram_join, shingles, toxicity
 from congraph.llm.patricia import PatriciaTrie, common_prefix
 from congraph.llm.sentencepiece_viterbi import BPE, UNIGRAM, PieceModel, SharedPrefixViterbi, encoder
@@ -180,6 +182,31 @@ def test_names_of_paragraphs_and_captions():
     assert html_extract.main_text(page) == "\n\n".join([long] * 5 + ["A bird on a roof.", "12 Hill Road, Town", "A named part.", long])
 
 
+def test_planted_pages_with_and_without_the_cut():
+    """Block by block: the cut finds more of the main text than the classifier's sign, and takes in no more of the rest."""
+    found = {"cut": [0, 0, 0], "sign": [0, 0, 0]}
+    whole = changed = 0
+    for seed in range(300):
+        markup, texts = planted_pages.page(seed)
+        want, rows = Counter(texts), html_extract.labelled(markup)
+        changed += sum((odds > 0) != keep for _, odds, keep in rows)
+        for name, got in (("cut", Counter(b.text for b, _, keep in rows if keep)), ("sign", Counter(b.text for b, odds, _ in rows if odds > 0))):
+            for k, part in enumerate((want & got, got - want, want - got)):
+                found[name][k] += sum(part.values())
+        whole += html_extract.main_text(markup) == "\n\n".join(texts)
+    (right, extra, lost), (plain, plain_extra, plain_lost) = found["cut"], found["sign"]
+    assert changed > 20 and lost < plain_lost and extra <= plain_extra + 2
+    assert right / (right + lost) > 0.99 and right / (right + extra) > 0.99 and whole > 280
+
+
+def test_parts_of_an_article_stay():
+    long = "A sentence of the article that goes on for long enough to be read as content, with a second half."
+    named = "".join(f'<div class="{c}"><p>{long} {c}.</p></div>' for c in ("tags", "post-meta", "search-note", "form", "skip", "legal", "copyright"))
+    page = f'<div class="post-header"><h1>Headline of it</h1></div><article><p>{long}</p>{named}<ul><li><a href="/x">A linked item</a></li><li>Another</li></ul><figure><figcaption>A caption</figcaption></figure></article>'
+    got = html_extract.main_text(page).split("\n\n")
+    assert got == ["Headline of it", long, *[f"{long} {c}." for c in ("tags", "post-meta", "search-note", "form", "skip", "legal", "copyright")], "A linked item", "Another", "A caption"]
+
+
 def test_decoding_of_disguises():
     corpus = " ".join(["the idiot was a clown and a moron in this place", "that is pathetic of him to say so there"] * 30)
     counts = np.bincount(toxicity.trigram_counts(corpus), minlength=toxicity.LETTERS**3).reshape((toxicity.LETTERS,) * 3) + 0.01
