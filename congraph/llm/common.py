@@ -83,6 +83,21 @@ def doc_text(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
     )
 
 
+def dense(sparse: DataFrame, bits: int, stages: Stages) -> Column:
+    """(slot, n) as one array of 2^bits numbers, 0 where a slot is missing; a scalar that every task gets."""
+    every = sparse.sparkSession.range(1 << bits).select(F.col("id").cast("int").alias("slot"))
+    full = stages.write(every.join(sparse, "slot", "left").select("slot", F.coalesce("n", F.lit(0)).cast("long").alias("n")), "table")
+    return full.agg(F.transform(F.array_sort(F.collect_list(F.struct("slot", "n"))), lambda x: x["n"])).scalar()
+
+
+def sieve(keys: DataFrame, stages: Stages, bits: int = 17) -> Column:
+    """Whether a row's `key` is, as far as a bitmap of 2^bits longs tells, among keys(key long), the hashes of what is
+    wanted: none is missed, a few others may pass. The bitmap is of one size whatever the corpus."""
+    slot = F.expr(f"cast(shiftrightunsigned(key, 6) & {(1 << bits) - 1} as int)")
+    marks = keys.groupBy(slot.alias("slot")).agg(F.bit_or(F.expr("shiftleft(1L, cast(key & 63 as int))")).alias("n"))
+    return F.get(dense(marks, bits, stages), slot).bitwiseAND(F.expr("shiftleft(1L, cast(key & 63 as int))")) != 0
+
+
 def odd_ids(rows: DataFrame) -> DataFrame:
     """doc_id, once each, of ids that several rows have, and null: ids that do not tell a row."""
     return rows.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1 or doc_id is null").select("doc_id")

@@ -32,21 +32,23 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from congraph.llm.common import Stages, doc_text, odd_ids, partitions_for
+from congraph.llm.common import Stages, doc_text, odd_ids, partitions_for, sieve
 from congraph.llm.components import components
 from congraph.llm.shingles import WIDTH, mixed, shingle_set
 
 #: Counters of the sketch: 2^22 of 4 bytes, for any corpus.
 SKETCH_BITS = 22
 _CHUNK = 1 << 14
-#: Bits of the bitmap that leads a scan to the documents whose sets are wanted: 4 MB, for any corpus.
-SIEVE_BITS = 25
+#: Longs, as a power of two, of the bitmap that leads a scan to the documents whose sets are wanted: 2 MB, for any corpus.
+SIEVE_BITS = 18
 #: Ranges of hashes whose counts stand for a set before its pairs are verified.
 PARTS = 1024
 #: Members of a group, and of those outside its largest component, that one task holds against each other.
 BLOCK = 1000
 #: Documents with a shingle beyond which its list is dealt in parts.
 LONG_LIST = 20_000
+#: Neighbours by length that a member of a list is tried against, for whether it may link with any.
+NEIGHBOURS = 16
 
 _SETS = "doc_id long, class long, n int, chunk int, part int, counts binary"
 _POSTING = "gram long, salt int, class long, n int, pos int"
@@ -154,21 +156,30 @@ def _stars(percent: int):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = [x.split()[0] for x in _POSTING.split(", ")]
-        begun: list[np.ndarray] | None = None  # the first two rows of a list that may go on
-        for batch in batches:
-            columns = [batch.column(c).to_numpy() for c in names]
-            if not len(columns[0]):
-                continue
-            if begun is not None and begun[0][0] == columns[0][0] and begun[1][0] == columns[1][0]:
-                columns = [np.concatenate(c) for c in zip(begun, columns)]
+        held: list[list[np.ndarray]] = []  # the last list, which may go on; LONG_LIST bounds its length
+
+        def lists(columns):
             gram, salt, own = columns[:3]
             fresh = np.concatenate(([True], (gram[1:] != gram[:-1]) | (salt[1:] != salt[:-1])))
             # Copies of a class in one list are neighbours.
             new = np.concatenate(([True], fresh[1:] | (own[1:] != own[:-1])))
             columns, fresh = [c[new] for c in columns], fresh[new]
             start = np.maximum.accumulate(np.where(fresh, np.arange(len(fresh)), 0))
-            begun = [c[start[-1] : start[-1] + 2].copy() for c in columns]
-            yield from _star_rows(*columns, start, percent)
+            return _star_rows(*columns, start, percent)
+
+        for batch in batches:
+            columns = [batch.column(c).to_numpy() for c in names]
+            gram, salt = columns[:2]
+            if not len(gram):
+                continue
+            cut = np.flatnonzero((gram != gram[-1]) | (salt != salt[-1]))
+            cut = cut[-1] + 1 if len(cut) else 0
+            if cut or held and (held[0][0][0] != gram[0] or held[0][1][0] != salt[0]):
+                yield from lists([np.concatenate(c) for c in zip(*held, [c[:cut] for c in columns])])
+                held = []
+            held.append([c[cut:] for c in columns])
+        if held:
+            yield from lists([np.concatenate(c) for c in zip(*held)])
 
     return run
 
@@ -184,10 +195,10 @@ def _star_rows(gram, salt, own, n, pos, start, percent) -> Iterator[pa.RecordBat
     i = np.flatnonzero(rank > 0)
     i = i[passes(n[start[i]], pos[start[i]], n[i], pos[i], percent)]
     yield from rows(CANDIDATE, np.minimum(hub[i], own[i]), np.maximum(hub[i], own[i]), zero[i], zero[i])
-    # In a list of two the pair is all there is; longer ones say who may meet whom.
+    # Pairs with the hub are candidates; members beside it count if they may link with another.
     whole = salt == 0
-    third = np.flatnonzero(whole & (rank == 2))
-    more = np.concatenate((np.flatnonzero(whole & (rank >= 2)), third - 1, third - 2))
+    more = np.flatnonzero(whole & (rank > 0))
+    more = more[_may_link(start[more], n[more], pos[more], percent)]
     yield from rows(MEMBER, hub[more], own[more], zero[more], zero[more])
     i = np.flatnonzero(~whole)
     yield from rows(MEMBER, gram[i], own[i], zero[i], zero[i])
@@ -195,6 +206,25 @@ def _star_rows(gram, salt, own, n, pos, start, percent) -> Iterator[pa.RecordBat
     yield from rows(PART_HUB, gram[i], own[i], n[i], pos[i])
 
 
+def _may_link(of: np.ndarray, n: np.ndarray, pos: np.ndarray, percent: int) -> np.ndarray:
+    """Whether another row of the same list passes the filters with a row. In lists too long to try all others, whether the
+    next one by length is near enough."""
+    found = np.zeros(len(of), bool)
+    order = np.lexsort((n, of))
+    of, n, pos = of[order], n[order].astype("i8"), pos[order]
+    _, first, size = np.unique(of, return_index=True, return_counts=True)
+    long = np.repeat(size > NEIGHBOURS + 1, size)
+    for d in range(1, NEIGHBOURS + 1):
+        t = np.flatnonzero(of[d:] == of[:-d])
+        if not len(t):
+            break
+        t = t[passes(n[t], pos[t], n[t + d], pos[t + d], percent) | (long[t] & (100 * n[t] >= percent * n[t + d]))]
+        found[t] = found[t + d] = True
+    out = np.empty(len(of), bool)
+    out[order] = found
+    return out
+
+
 def passes(n: np.ndarray, i: np.ndarray, m: np.ndarray, j: np.ndarray, percent: int) -> np.ndarray:
     """Length filter, and position filter: with a common shingle at i and j, what may still be common is enough."""
     n, i, m, j = (x.astype("i8") for x in (n, i, m, j))
@@ -207,21 +237,13 @@ def passes(n: np.ndarray, i: np.ndarray, m: np.ndarray, j: np.ndarray, percent:
 
 def _verify(percent: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        probes = [np.uint64(k << 60) for k in range(1, 16)]
         for batch in batches:
             a, b, links = batch.column("a").to_pylist(), batch.column("b").to_pylist(), []
             for k, (x, y) in enumerate(zip(batch.column("set_a"), batch.column("set_b"))):
                 x, y = np.frombuffer(x.as_buffer(), "<u8"), np.frombuffer(y.as_buffer(), "<u8")
-                need = least_overlap(len(x), len(y), percent)
-                # Suffix filter: what both sets hold between fixed points of the order bounds their overlap.
-                if len(x) + len(y) > 256:
-                    cx = np.diff(np.searchsorted(x, probes), prepend=0, append=len(x))
-                    cy = np.diff(np.searchsorted(y, probes), prepend=0, append=len(y))
-                    if np.minimum(cx, cy).sum() < need:
-                        continue
                 both = np.concatenate((x, y))
                 both.sort(kind="stable")
-                if np.count_nonzero(both[1:] == both[:-1]) >= need:
+                if np.count_nonzero(both[1:] == both[:-1]) >= least_overlap(len(x), len(y), percent):
                     links.append(k)
             if links:
                 yield pa.record_batch([pa.array([a[k] for k in links], pa.int64()), pa.array([b[k] for k in links], pa.int64())], names=["a", "b"])
@@ -229,58 +251,68 @@ def _verify(percent: int):
     return run
 
 
-def _bit(ids: np.ndarray) -> np.ndarray:
-    return (mixed(ids.view("u8")) >> np.uint64(64 - SIEVE_BITS)).astype("i8")
-
+def _counts(width: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [shingle_set(t, width) for t in batch.column("text").to_pylist()]
+            columns = [pa.array([class_of(s) for s in sets], pa.int64()), pa.array([len(s) for s in sets], pa.int32()), pa.array([part_counts(s) for s in sets], pa.binary())]
+            yield pa.record_batch(columns, names=["class", "n", "counts"])
 
-def _sieve_parts(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    bits = np.zeros(_CHUNK, "u1")
-    for batch in batches:
-        bits[batch.column("bit").to_numpy() % _CHUNK] = 1
-    yield pa.record_batch([pa.array([key[0].as_py()], pa.int64()), pa.array([np.packbits(bits).tobytes()], pa.binary())], names=["chunk", "bits"])
+    return run
 
 
-def _hash_bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        bit = _bit(batch.column("doc_id").fill_null(0).to_numpy())
-        yield pa.record_batch([pa.array(bit // _CHUNK), pa.array(bit)], names=["chunk", "bit"])
+def _sets(width: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [shingle_set(t, width) for t in batch.column("text").to_pylist()]
+            yield pa.record_batch([pa.array([class_of(s) for s in sets], pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], names=["class", "grams"])
 
+    return run
 
-def _sieve(ids: DataFrame) -> np.ndarray:
-    """A bitmap of 2^SIEVE_BITS bits with those of the ids set: no wanted row is lost, a few others may pass."""
-    out = np.zeros(1 << SIEVE_BITS >> 3, "u1")
-    bits = ids.select("doc_id").mapInArrow(_hash_bits, "chunk long, bit long").distinct()
-    for r in bits.groupBy("chunk").applyInArrow(_sieve_parts, "chunk long, bits binary").collect():
-        out[r.chunk * _CHUNK >> 3 : (r.chunk + 1) * _CHUNK >> 3] = np.frombuffer(r.bits, "u1")
-    return out
 
+def _near(percent: int):
+    """The suffix filter: what both sets hold of each range of hashes bounds their overlap."""
 
-def _sets(width: int, sieve):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bits = sieve.value
         for batch in batches:
-            bit = _bit(batch.column("doc_id").fill_null(0).to_numpy())
-            wanted = np.flatnonzero(bits[bit >> 3] >> (7 - (bit & 7)).astype("u1") & 1)
-            sets = [shingle_set(t, width) for t in batch.column("text").take(pa.array(wanted)).to_pylist()]
-            if sets:
-                columns = [pa.array([class_of(s) for s in sets], pa.int64()), pa.array([len(s) for s in sets], pa.int32())]
-                yield pa.record_batch([*columns, pa.array([s.tobytes() for s in sets], pa.binary()), pa.array([part_counts(s) for s in sets], pa.binary())], names=["class", "n", "grams", "counts"])
+            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), "u1").reshape(-1, PARTS).astype("i2") for c in ("x", "y"))
+            total = batch.column("n").to_numpy().astype("i8")
+            ok = np.flatnonzero(np.abs(x - y).sum(1) <= total - 2 * -(-percent * total // (100 + percent)))
+            yield pa.record_batch([batch.column(c).take(pa.array(ok)) for c in ("a", "b")], names=["a", "b"])
 
     return run
 
 
-def _sets_of(rows: DataFrame, docs_of: DataFrame, wanted: DataFrame, width: int, stages: Stages) -> DataFrame:
-    """class, n, grams, counts of the wanted classes, built again from one document of each; only those are shingled."""
-    chosen = docs_of.where("n > 0").join(wanted.distinct(), "class", "left_semi").groupBy("class").agg(F.min("doc_id").alias("doc_id"))
-    sieve = rows.sparkSession.sparkContext.broadcast(_sieve(chosen))
-    return stages.write(rows.mapInArrow(_sets(width, sieve), "class long, n int, grams binary, counts binary"), "grams")
+class _Rows:
+    """The texts, led to by class: of each wanted class one document is read again, and only those are shingled."""
+
+    def __init__(self, rows: DataFrame, docs_of: DataFrame, width: int, stages: Stages):
+        self.rows, self.width, self.stages = rows, width, stages
+        # Copies meet in the tasks that read them, before they are dealt.
+        self.chosen = docs_of.where("n > 0").groupBy("class").agg(F.min(F.coalesce("doc_id", F.lit(0))).alias("doc_id"))
+
+    def _of(self, wanted: DataFrame) -> DataFrame:
+        ids = self.chosen.join(wanted.distinct(), "class", "left_semi").select(F.xxhash64("doc_id").alias("key"))
+        keyed = self.rows.withColumn("key", F.xxhash64(F.coalesce("doc_id", F.lit(0))))
+        return keyed.where(sieve(ids, self.stages, SIEVE_BITS)).select("text")
+
+    def counts(self, wanted: DataFrame) -> DataFrame:
+        """class, n, counts, once each."""
+        made = self.stages.write(self._of(wanted).mapInArrow(_counts(self.width), "class long, n int, counts binary"), "counts")
+        return made.dropDuplicates(["class"])
 
+    def links(self, pairs: DataFrame, counts: DataFrame, percent: int) -> DataFrame:
+        """Pairs that link: those that pass the suffix filter are verified, once each, beside their two sets."""
+        side = lambda s, c: counts.select(F.col("class").alias(s), F.col("n").alias(f"n_{s}"), F.col("counts").alias(c))
+        both = pairs.join(side("a", "x"), "a").join(side("b", "y"), "b").select("a", "b", (F.col("n_a") + F.col("n_b")).alias("n"), "x", "y")
+        return self.verified(self.stages.write(both.mapInArrow(_near(percent), "a long, b long"), "near"), percent)
 
-def _links(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Pairs that link; each is verified once, beside its two sets."""
-    a = sets.select(F.col("class").alias("a"), F.col("grams").alias("set_a"))
-    b = sets.select(F.col("class").alias("b"), F.col("grams").alias("set_b"))
-    return pairs.join(b, "b").join(a, "a").mapInArrow(_verify(percent), "a long, b long")
+    def verified(self, pairs: DataFrame, percent: int) -> DataFrame:
+        wanted = pairs.select(F.explode(F.array("a", "b")).alias("class"))
+        sets = self.stages.write(self._of(wanted).mapInArrow(_sets(self.width), "class long, grams binary"), "grams").dropDuplicates(["class"])
+        a = sets.select(F.col("class").alias("a"), F.col("grams").alias("set_a"))
+        b = sets.select(F.col("class").alias("b"), F.col("grams").alias("set_b"))
+        return self.stages.write(pairs.join(b, "b").join(a, "a").mapInArrow(_verify(percent), "a long, b long"), "links")
 
 
 def _crossing(percent: int):
@@ -327,7 +359,7 @@ def _crossing(percent: int):
     return run
 
 
-def _cells(members: DataFrame, sets: DataFrame, stages: Stages) -> DataFrame:
+def _cells(members: DataFrame, counts: DataFrame, stages: Stages) -> DataFrame:
     """members: group, class, component. Groups with several components, dealt in cells: a block of all members beside a
     block of those outside the largest component."""
     of = members.groupBy("group", "component").agg(F.count(F.lit(1)).alias("size"))
@@ -339,14 +371,12 @@ def _cells(members: DataFrame, sets: DataFrame, stages: Stages) -> DataFrame:
     kept = ("group", "class", "component", "main")
     base = rows.select(*kept, F.lit(False).alias("probe"), place("blocks").alias("block"), every("probe_blocks").alias("probes"))
     probe = rows.where("component <> main").select(*kept, F.lit(True).alias("probe"), every("blocks").alias("block"), place("probe_blocks").alias("probes"))
-    # Several documents may have built a set; it is the same.
-    known = sets.select("class", "n", "counts").dropDuplicates(["class"])
-    return base.unionByName(probe).join(known, "class")
+    return base.unionByName(probe).join(counts, "class")
 
 
-def _candidates(members: DataFrame, sets: DataFrame, percent: int, stages: Stages) -> DataFrame:
+def _candidates(members: DataFrame, counts: DataFrame, percent: int, stages: Stages) -> DataFrame:
     key = ("group", "block", "probes")
-    cells = _cells(members, sets, stages).repartition(partitions_for(members.sparkSession), *key).sortWithinPartitions(*key)
+    cells = _cells(members, counts, stages).repartition(partitions_for(members.sparkSession), *key).sortWithinPartitions(*key)
     return cells.mapInArrow(_crossing(percent), "a long, b long").distinct()
 
 
@@ -362,7 +392,7 @@ def _part_stars(hubs: DataFrame, percent: int) -> DataFrame:
 
 
 class _Starred:
-    """What the star round gives: docs_of (doc_id, class, n), candidate pairs, members of groups, and sets of both."""
+    """What the star round gives: docs_of (doc_id, class, n), candidate pairs, members of groups, and the counts of both."""
 
     def __init__(self, docs: DataFrame, percent: int, width: int, stages: Stages, long_list: int):
         spark, parts = docs.sparkSession, partitions_for(docs.sparkSession)
@@ -376,8 +406,8 @@ class _Starred:
         pairs = found.where(F.col("kind") == CANDIDATE).select("a", "b").unionByName(_part_stars(hubs, percent))
         self.pairs = stages.write(pairs.distinct(), "pairs")
         self.members = found.where(F.col("kind") == MEMBER).select(F.col("a").alias("group"), F.col("b").alias("class"))
-        wanted = self.pairs.select(F.explode(F.array("a", "b")).alias("class")).unionByName(self.members.select("class"))
-        self.sets = _sets_of(rows, self.docs_of, wanted, width, stages)
+        self.texts = _Rows(rows, self.docs_of, width, stages)
+        self.counts = self.texts.counts(self.pairs.select(F.explode(F.array("a", "b")).alias("class")).unionByName(self.members.select("class")))
 
 
 def near_pairs(docs: DataFrame, percent: int = 80, width: int = WIDTH, long_list: int = LONG_LIST) -> tuple[DataFrame, DataFrame]:
@@ -389,8 +419,8 @@ def near_pairs(docs: DataFrame, percent: int = 80, width: int = WIDTH, long_list
     stages = Stages(docs.sparkSession)
     s = _Starred(docs, percent, width, stages, long_list)
     # With each class as its own component every pair of a group crosses.
-    pairs = stages.write(s.pairs.unionByName(_candidates(s.members.withColumn("component", F.col("class")), s.sets, percent, stages)).distinct(), "pairs")
-    links = Stages(docs.sparkSession).write(_links(pairs, s.sets, percent).distinct(), "links")
+    pairs = stages.write(s.pairs.unionByName(_candidates(s.members.withColumn("component", F.col("class")), s.counts, percent, stages)).distinct(), "pairs")
+    links = Stages(docs.sparkSession).write(s.texts.links(pairs, s.counts, percent).distinct(), "links")
     sizes = s.docs_of.where("n > 0").groupBy("class").agg(F.count(F.lit(1)).alias("own"))
     both = links.select(F.col("a").alias("class"), F.col("b").alias("other")).unionByName(links.select(F.col("b").alias("class"), F.col("a").alias("other")))
     others = both.join(sizes.select(F.col("class").alias("other"), F.col("own").alias("size")), "other").groupBy("class").agg(F.sum("size").alias("linked"))
@@ -405,13 +435,13 @@ def _grouped(docs: DataFrame, percent: int, width: int, long_list: int = LONG_LI
     """(doc_id, n, class, group) of each row, group null without words; (group, least, least_class) of each group."""
     stages, kept = Stages(docs.sparkSession), Stages(docs.sparkSession)
     s = _Starred(docs, percent, width, stages, long_list)
-    of = components(stages.write(_links(s.pairs, s.sets, percent), "links"), stages)
+    of = components(s.texts.links(s.pairs, s.counts, percent), stages)
     label = of.select(F.col("node").alias("class"), "component")
     members = s.members.join(label, "class", "left").withColumn("component", F.coalesce("component", "class"))
     members = stages.write(members, "members")
-    crossing = stages.write(_candidates(members, s.sets, percent, stages).join(s.pairs, ["a", "b"], "left_anti"), "crossing")
+    crossing = stages.write(_candidates(members, s.counts, percent, stages).join(s.pairs, ["a", "b"], "left_anti"), "crossing")
     if crossing.take(1):
-        more = stages.write(_links(crossing, s.sets, percent), "links")
+        more = s.texts.verified(crossing, percent)
         of = components(of.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more), stages)
         label = of.select(F.col("node").alias("class"), "component")
     tagged = s.docs_of.join(label, "class", "left").withColumn("group", F.when(F.col("n") > 0, F.coalesce("component", "class")))

@@ -124,7 +124,6 @@ def test_packed_ids(docs, none, spark):
     tokenizers = pytest.importorskip("tokenizers")
     files = pytest.importorskip("public_tokenizers")
     lib = tokenizers.Tokenizer.from_file(files.path("byte_bpe_50k.json"))
-    lib.encode_special_tokens = True
     folder, manifest = bitpack.write_packed(docs)
     got = bitpack.read_packed(spark, folder, manifest).orderBy("start").collect()
     assert [r.doc_id for r in got] == sorted(i for i, _ in texts())
@@ -145,7 +144,6 @@ def test_best_fit(docs, none):
     tokenizers = pytest.importorskip("tokenizers")
     files = pytest.importorskip("public_tokenizers")
     lib = tokenizers.Tokenizer.from_file(files.path("word_bpe_49k.json"))
-    lib.encode_special_tokens = True
     got = best_fit.pack_documents(docs).collect()
     expected = collections.Counter()
     for i, t in texts():
