@@ -9,14 +9,14 @@ from congraph.checkpoints import cut
 from congraph.graph import CongruenceGraph
 
 
-def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
+def components(edges: DataFrame) -> DataFrame:
     """(id, rep) with rep the least id of the component, for ids other than rep; edges(a long, b long).
 
     Alternating stars: larger neighbours move to the least neighbour, then smaller ones do, until every edge
-    leads to a root. Two shuffles a round; the driver reads one flag a round.
+    leads to a root; rounds grow with the logarithm of the longest path. Two shuffles a round; the driver reads one flag a round.
     """
     edges = cut(edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct(), "edges")
-    for _ in range(max_rounds):
+    while True:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("u", "m"))
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
@@ -27,7 +27,6 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         chains = edges.join(edges.select(F.col("u").alias("v")), "v", "left_semi").select("u")
         if not forks.unionByName(chains).take(1):
             return edges.select(F.col("u").alias("id"), F.col("v").alias("rep"))
-    raise RuntimeError(f"components did not settle in {max_rounds} rounds")
 
 
 def canonicalise(nodes: DataFrame, find_map: DataFrame) -> DataFrame:
@@ -54,19 +53,26 @@ def merge(graph: CongruenceGraph, pairs: DataFrame) -> CongruenceGraph:
     return graph.with_nodes(graph.nodes, components(edges), congruent=False)
 
 
-def rebuild(graph: CongruenceGraph, max_rounds: int = 50) -> CongruenceGraph:
+def rebuild(graph: CongruenceGraph) -> CongruenceGraph:
     """The congruence closure: canonical ids throughout, each (sym, args) in one class. The representative is the
-    least id of a class, so the order of merges doesn't matter."""
+    least id of a class, so the order of merges doesn't matter. Congruence climbs one level a round, for as many rounds as
+    terms are deep; each round has fewer classes than the one before, so it ends."""
     if graph.find_map is None:
-        return graph if graph.congruent else rebuild(graph.with_nodes(graph.nodes, graph.spark.createDataFrame([], "id long, rep long"), False), max_rounds)
+        return graph if graph.congruent else rebuild(graph.with_nodes(graph.nodes, graph.spark.createDataFrame([], "id long, rep long"), False))
     find, nodes = graph.find_map, graph.nodes
-    for _ in range(max_rounds):
+    while True:
         nodes = cut(canonicalise(nodes, find), "nodes")
         new = cut(congruent_pairs(nodes), "pairs")
         if not new.take(1):
             return graph.with_nodes(nodes, find)
         find = components(new.unionByName(find.select(F.col("id").alias("a"), F.col("rep").alias("b"))))
-    raise RuntimeError(f"no closure in {max_rounds} rounds")
+
+
+def insert_terms(graph: CongruenceGraph, terms: DataFrame) -> CongruenceGraph:
+    """The graph with ground terms (value, s-expressions) in it; a term that it represents keeps its class."""
+    from congraph.sources.files import term_nodes_of
+
+    return rebuild(insert_nodes(graph, cut(term_nodes_of(terms).withColumn("ver", F.lit(graph.version + 1)), "terms")))
 
 
 def insert_nodes(graph: CongruenceGraph, wanted: DataFrame) -> CongruenceGraph:

@@ -12,6 +12,7 @@ from collections.abc import Iterable, Mapping
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from congraph.checkpoints import cut
 from congraph.terms import App, Pattern, Var, as_pattern
 
 NODES = "sym string, cls long, args array<long>, ver int"
@@ -64,6 +65,11 @@ class CongruenceGraph:
         kinds = self._nodes.select("sym", F.size("args").alias("k")).distinct().collect()
         return {r.sym: self.rel(r.sym, r.k) for r in kinds}
 
+    def relations_delta(self, since: int) -> dict[str, DataFrame]:
+        """Of each symbol the rows of nodes made after version `since`: what a rebuild added to the database."""
+        new = self.nodes.where(F.col("ver") > since)
+        return CongruenceGraph(self.spark, nodes=new, congruent=self.congruent, version=self.version).relations()
+
     # -- statistics --------------------------------------------------------------------------------------
     def sizes(self, symbols: Iterable[tuple[str, int]]) -> dict[tuple[str, int], int]:
         """Rows by (symbol, arity), counted once for each graph and in one job for all that are missing."""
@@ -100,6 +106,30 @@ class CongruenceGraph:
         row = df.first()
         return None if row is None else row.id
 
+    def represented(self, terms: DataFrame) -> DataFrame:
+        """value, cls: the class of each ground term (value, an s-expression) or null if the graph doesn't represent it.
+
+        All terms at once, a level of arguments a round: a node whose arguments have classes is looked up under them.
+        """
+        from congraph.sources.files import term_nodes_of, term_roots
+
+        todo = cut(term_nodes_of(terms).select("sym", F.col("cls").alias("own"), "args"), "terms")
+        leaf = todo.where(F.size("args") == 0).select("own", "sym", F.col("args").alias("at"))
+        known = None
+        while True:
+            found = cut(leaf.join(self.nodes.select("sym", F.col("args").alias("at"), "cls"), ["sym", "at"]).groupBy("own").agg(F.min("cls").alias("cls")), "found")
+            known = found if known is None else known.unionByName(found)
+            if not found.take(1):
+                return term_roots(terms).join(known, "own", "left").select("value", "cls")
+            # Nodes that hold a term of this round and whose arguments are all known now.
+            rows = todo.join(known.select("own"), "own", "left_anti").select("own", "sym", F.size("args").alias("k"), F.posexplode("args").alias("pos", "arg"))
+            rows = rows.join(known.select(F.col("own").alias("arg"), "cls"), "arg")
+            # As many rows as the symbol has arguments.
+            ready = rows.groupBy("own", "sym", "k").agg(F.array_sort(F.collect_list(F.struct("pos", "cls"))).alias("r")).where(F.size("r") == F.col("k"))
+            tried = cut(ready.select("own", "sym", F.transform("r", lambda x: x["cls"]).alias("at")), "ready")
+            todo = cut(todo.join(tried.select("own"), "own", "left_anti"), "terms")
+            leaf = tried
+
     # -- views and lookups -------------------------------------------------------------------------------
     def members(self) -> DataFrame:
         """cls, nodes: for inspection, as a class may hold any number of nodes."""

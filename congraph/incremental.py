@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from collections.abc import Mapping
+import json
+from collections.abc import Mapping, Sequence
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.errors import AnalysisException
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from congraph.checkpoints import cut
@@ -27,7 +29,7 @@ def _settled(df: DataFrame) -> DataFrame:
 
 
 def match_delta(cq: ConjunctiveQuery, old: Mapping[str, DataFrame], delta: Mapping[str, DataFrame]) -> DataFrame:
-    """Changes of the matches for changes (same columns and w) of relations by symbol.
+    """Changes of the matches for changes (same columns and w) of relations by symbol; old: rows with their weights.
 
     One term for each atom that changes: atoms before it are new, it is the change, those after it are old; the
     split is by atom, so a symbol that occurs twice is counted right. Each term starts from the change.
@@ -43,7 +45,7 @@ def match_delta(cq: ConjunctiveQuery, old: Mapping[str, DataFrame], delta: Mappi
             if k == i:
                 part = delta[a.sym]
             else:
-                part = weighted(old[a.sym])
+                part = old[a.sym]
                 if k < i and a.sym in delta:
                     part = part.unionByName(delta[a.sym])
             names = columns_of(a.arity)
@@ -72,38 +74,104 @@ def frame_of_weighted(rel: DataFrame, atom) -> DataFrame:
     return rel.select(*[F.col(c).alias(v) for v, c in first.items()], WEIGHT)
 
 
+class Log:
+    """A table as a list of written changes, each row with its weight; appending writes the change alone.
+
+    Once RUNS changes have come they are summed into one, so that a read meets few tables and a row is written anew only
+    once in RUNS batches.
+    """
+
+    RUNS = 8
+
+    def __init__(self, spark: SparkSession, schema: str, parts: Sequence[DataFrame] = ()):
+        self.spark, self.schema, self.parts = spark, schema, list(parts)
+
+    def append(self, change: DataFrame) -> None:
+        self.parts.append(change)
+        if len(self.parts) > self.RUNS:
+            self.parts = [cut(_settled(self.weighted), "run")]
+
+    @property
+    def weighted(self) -> DataFrame:
+        if not self.parts:
+            return weighted(self.spark.createDataFrame([], self.schema))
+        out = self.parts[0]
+        for p in self.parts[1:]:
+            out = out.unionByName(p)
+        return out
+
+    @property
+    def rows(self) -> DataFrame:
+        return _settled(self.weighted).drop(WEIGHT)
+
+
 @dataclass
 class MatchState:
-    """Relations and matches so far; `advance` takes a change and brings both up to date."""
+    """Relations and matches so far; `advance` takes a change and brings both up to date by writing what changed.
+
+    folder: where the state is kept as well (`resume` reads it), so that a batch that comes again after a restart is known.
+    """
 
     cq: ConjunctiveQuery
-    relations: dict[str, DataFrame]
-    matches: DataFrame | None = None
+    relations: dict[str, Log]
+    found: Log
     version: int = 0
     seen: set[int] = field(default_factory=set)
+    folder: str | None = None
 
     @staticmethod
-    def empty(graph: CongruenceGraph, pattern) -> MatchState:
+    def empty(graph: CongruenceGraph, pattern, folder: str | None = None) -> MatchState:
         cq = compiled(pattern)
-        none = {a.sym: graph.spark.createDataFrame([], ", ".join(f"{c} long" for c in columns_of(a.arity))) for a in cq.atoms}
-        return MatchState(cq, none)
+        logs = {a.sym: Log(graph.spark, ", ".join(f"{c} long" for c in columns_of(a.arity))) for a in cq.atoms}
+        return MatchState(cq, logs, Log(graph.spark, ", ".join(f"`{v}` long" for v in cq.head)), folder=folder)
+
+    @property
+    def matches(self) -> DataFrame:
+        return self.found.rows
 
     def advance(self, delta: Mapping[str, DataFrame], batch: int | None = None) -> DataFrame | None:
         """The change of the matches; a batch number that was seen before changes nothing."""
         if batch is not None and batch in self.seen:
             return None
-        delta = {s: cut(d, "delta") for s, d in delta.items() if s in self.relations}
-        change = cut(match_delta(self.cq, self.relations, delta), "change")
+        delta = {s: cut(d.toDF(*columns_of(len(d.columns) - 2), WEIGHT), "delta") for s, d in delta.items() if s in self.relations}
+        change = cut(match_delta(self.cq, {s: log.weighted for s, log in self.relations.items()}, delta), "change")
         for s, d in delta.items():
-            both = weighted(self.relations[s]).toDF(*d.columns).unionByName(d)
-            self.relations[s] = cut(_settled(both).drop(WEIGHT), "relation")
-        base = change if self.matches is None else weighted(self.matches).unionByName(change)
-        self.matches = cut(_settled(base).drop(WEIGHT), "matches")
+            self.relations[s].append(d)
+        self.found.append(change)
         self.version += 1
         if batch is not None:
             self.seen.add(batch)
+        if self.folder is not None:
+            self._keep()
         return change
 
+    def _keep(self) -> None:
+        """One row: the files of every log and the batches seen. Written last, so a batch counts wholly or not at all."""
+        logs = {**{f"rel:{s}": log for s, log in self.relations.items()}, "found": self.found}
+        state = {"version": self.version, "seen": sorted(self.seen), "logs": {k: [p.inputFiles() for p in log.parts] for k, log in logs.items()}}
+        spark = self.found.spark
+        spark.createDataFrame([(self.version, json.dumps(state))], "version int, value string").coalesce(1).write.mode("append").parquet(self.folder)
+
+    @staticmethod
+    def resume(graph: CongruenceGraph, pattern, folder: str) -> MatchState:
+        """The state as the last finished batch left it; an empty one if there is none."""
+        out, spark = MatchState.empty(graph, pattern, folder), graph.spark
+        try:
+            last = spark.read.schema("version int, value string").parquet(folder).orderBy(F.desc("version")).first()
+        except AnalysisException:  # nothing is there yet
+            return out
+        if last is None:
+            return out
+        state = json.loads(last.value)
+
+        def log(key: str, old: Log) -> Log:
+            schema = f"{old.schema}, {WEIGHT} long"
+            return Log(spark, old.schema, [spark.read.schema(schema).parquet(*files) if files else spark.createDataFrame([], schema) for files in state["logs"][key]])
+
+        out.relations = {s: log(f"rel:{s}", old) for s, old in out.relations.items()}
+        out.found, out.version, out.seen = log("found", out.found), state["version"], set(state["seen"])
+        return out
+
 
 def canonical_delta(relation: DataFrame, find_map: DataFrame) -> DataFrame:
     """The change that new representatives make to a relation: -1 for rows with a stale id, +1 for what they become."""

@@ -49,12 +49,6 @@ class PrefixIndex:
         """bound, _n: continuations new under each prefix bound."""
         return self._keep((atom.alias, tuple(bound), tuple(new)), lambda: self.level(atom, [*bound, *new]).groupBy(*bound).agg(F.count(F.lit(1)).alias("_n")))
 
-    def residual(self, atom: Atom, **given) -> DataFrame:
-        df = self.rows[atom.alias]
-        for v, x in given.items():
-            df = df.where(F.col(v) == x)
-        return df.drop(*given)
-
 
 def build_index(df: DataFrame, order: Sequence[str]) -> list[DataFrame]:
     """Trie levels of one relation: for each d, its distinct prefixes of length d and the continuations under each."""
@@ -72,47 +66,47 @@ def extend_round(prefixes: DataFrame | None, bound: list[str], group: VarGroup,
     holders = [a for a in cq.atoms if set(group) & set(a.vars)]
     on = {a.alias: [v for v in a.distinct if v in bound] for a in holders}
 
-    def joined(df: DataFrame | None, a: Atom, how: str = "inner", columns: Sequence[str] | None = None) -> DataFrame:
-        level = index.level(a, [*on[a.alias], *new])
-        if df is None:
-            return level
-        keys = list(columns if columns is not None else on[a.alias])
-        return df.join(level, keys, how) if keys else df.crossJoin(level)  # no key: parts of the query that share nothing
-
-    def filtered(df: DataFrame, chosen: Atom) -> DataFrame:
+    def filtered(df: DataFrame, name: str, others: list[Atom]) -> DataFrame:
         if trace is not None:
-            trace.append((group, chosen.alias, df))
-        for a in holders:
-            if a is not chosen:
-                df = joined(df, a, "left_semi", [*on[a.alias], *new])
+            trace.append((group, name, df))
+        for a in others:
+            keys = [*on[a.alias], *new]
+            df = df.join(index.level(a, keys), keys, "left_semi")
         return df
 
-    if len(holders) == 1:
-        return filtered(joined(prefixes, holders[0]), holders[0])
+    def extended(df: DataFrame | None, chosen: Atom) -> DataFrame:
+        keys, level = on[chosen.alias], index.level(chosen, [*on[chosen.alias], *new])
+        others = [a for a in holders if a is not chosen]
+        # No key: a part of the query that shares nothing with what is bound.
+        return filtered(level if df is None else df.join(level, keys) if keys else df.crossJoin(level), chosen.alias, others)
+
     fixed = [a for a in holders if cq.keyed and new == [a.vars[0]] and set(a.vars[1:]) <= set(bound)]
-    if fixed and prefixes is not None:
-        return filtered(joined(prefixes, fixed[0]), fixed[0])
-    smallest = min(holders, key=lambda a: (bool(prefixes is not None and not on[a.alias]), sizes[a.alias]))
-    if prefixes is None or choice == "static":
-        return filtered(joined(prefixes, smallest), smallest)
-    counted, names = prefixes, []
-    for a in holders:
-        if on[a.alias]:
-            counted = counted.join(index.counts(a, on[a.alias], new).withColumnRenamed("_n", f"_n_{a.alias}"), on[a.alias])
-            names.append((a, F.col(f"_n_{a.alias}")))
-        else:
-            # Nothing of the atom is bound: one number for all prefixes, at most its size.
-            names.append((a, F.lit(sizes[a.alias])))
-    least = F.least(*[n for _, n in names])
-    which = F.lit(len(names) - 1)
-    for k in range(len(names) - 2, -1, -1):
-        which = F.when(names[k][1] == least, F.lit(k)).otherwise(which)
-    counted = counted.withColumn("_which", which).drop(*[f"_n_{a.alias}" for a, _ in names])
-    out = None
-    for k, (a, _) in enumerate(names):
-        part = filtered(joined(counted.where(F.col("_which") == k).drop("_which"), a), a)
-        out = part if out is None else out.unionByName(part)
-    return out
+    if prefixes is not None and fixed:
+        return extended(prefixes, fixed[0])
+    tied = [a for a in holders if on[a.alias]]
+    smallest = min(tied or holders, key=lambda a: sizes[a.alias])
+    if prefixes is None or choice == "static" or len(tied) < 2:
+        return extended(prefixes, smallest)
+    # Each prefix takes the atom with the fewest continuations. The chosen atom is a column, and the levels of all atoms
+    # stand in one table under that column, so that the prefixes occur once in the plan, however many atoms there are.
+    counted = prefixes
+    for k, a in enumerate(tied):
+        counted = counted.join(index.counts(a, on[a.alias], new).withColumnRenamed("_n", f"_count{k}"), on[a.alias])
+    least = F.least(*[F.col(f"_count{k}") for k in range(len(tied))])
+    which = F.coalesce(*[F.when(F.col(f"_count{k}") == least, F.lit(k)) for k in range(len(tied))])
+    width = max(len(on[a.alias]) for a in tied)
+    # Place j of the key: the j-th bound variable of the chosen atom, 0 beyond its last.
+    place = lambda a, j: F.col(on[a.alias][j]) if j < len(on[a.alias]) else F.lit(0).cast("long")
+    counted = counted.withColumn("_which", which)
+    for j in range(width):
+        counted = counted.withColumn(f"_k{j}", F.coalesce(*[F.when(F.col("_which") == k, place(a, j)) for k, a in enumerate(tied)]))
+    counted = counted.drop(*[f"_count{k}" for k in range(len(tied))])
+    levels = None
+    for k, a in enumerate(tied):
+        level = index.level(a, [*on[a.alias], *new]).select(F.lit(k).alias("_which"), *[place(a, j).alias(f"_k{j}") for j in range(width)], *new)
+        levels = level if levels is None else levels.unionByName(level)
+    names = ["_which", *[f"_k{j}" for j in range(width)]]
+    return filtered(counted.join(levels, names).drop(*names), "+".join(a.alias for a in tied), holders)
 
 
 def extension_join(cq: ConjunctiveQuery, frames: Frames, order: Sequence[VarGroup], sizes: Mapping[str, int], choice: str = "per_prefix", index: PrefixIndex | None = None, after=None, trace: list | None = None) -> DataFrame:

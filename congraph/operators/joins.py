@@ -7,9 +7,11 @@ from dataclasses import replace
 from functools import reduce
 
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from congraph.operators.atoms import Frames
 from congraph.operators.extension import extension_join
+from congraph.operators.topdown import barrier
 from congraph.plans.compile import ConjunctiveQuery
 from congraph.plans.order import order_variables
 from congraph.plans.shape import join_tree
@@ -78,11 +80,37 @@ def reduced_join(cq: ConjunctiveQuery, frames: Frames) -> DataFrame:
     out = reduced[cq.atoms[todo[0]].alias]
     for k, i in enumerate(todo[1:], 2):
         out = natural_join(out, reduced[cq.atoms[i].alias])
+        if not cq.keyed:
+            continue
         later = {v for j in todo[k:] for v in cq.atoms[j].vars} | set(cq.head) | {v for c in cq.conditions for v in c.over}
         out = out.select(*[c for c in out.columns if c in later])
     return out
 
 
+#: Rows up to which `cartesian_match` takes a relation.
+SMALL = 200
+
+
+def cartesian_match(cq: ConjunctiveQuery, frames: Frames, sizes: Mapping[str, int]) -> DataFrame:
+    """The definition taken literally: the product of all relations, and equality tests behind a barrier. For tiny inputs."""
+    if any(sizes[a.alias] > SMALL for a in cq.atoms):
+        raise ValueError(f"a relation has more than {SMALL} rows")
+    out, place = None, {}
+    tests = []
+    for a in cq.atoms:
+        names = {v: f"{a.alias}_{v}" for v in a.distinct}
+        one = frames[a.alias].select(*[F.col(v).alias(c) for v, c in names.items()])
+        out = one if out is None else out.crossJoin(one)
+        for v, c in names.items():
+            if v in place:
+                tests.append((place[v], c))
+            place.setdefault(v, c)
+    out = barrier(out)
+    for x, y in tests:
+        out = out.where(F.col(x) == F.col(y))
+    return out.select(*[F.col(c).alias(v) for v, c in place.items()])
+
+
 def hybrid_join(cq: ConjunctiveQuery, frames: Frames, sizes: Mapping[str, int], **options) -> DataFrame:
     """The cyclic core by the extension join, its relations first reduced by the ears; then the ears joined on."""
     tree = join_tree(cq)

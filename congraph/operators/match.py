@@ -8,16 +8,17 @@ from dataclasses import replace
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from congraph.checkpoints import cut
 from congraph.graph import CongruenceGraph
 from congraph.operators.atoms import Frames, atom_frames, fold_constants, frame_of, project_head, push_conditions, test_of
 from congraph.operators.extension import PrefixIndex, extension_join
-from congraph.operators.joins import binary_join, hybrid_join, reduced_join, scan
+from congraph.operators.joins import binary_join, cartesian_match, hybrid_join, reduced_join, scan
 from congraph.operators.shares import shares_join
-from congraph.operators.topdown import topdown_match
-from congraph.plans.compile import ConjunctiveQuery, compile_multi, compile_pattern
+from congraph.operators.topdown import barrier, topdown_match
+from congraph.plans.compile import Atom, ConjunctiveQuery, compile_multi, compile_pattern
 from congraph.plans.order import order_variables
 from congraph.plans.planner import MatchPlan, choose, explain_match
-from congraph.terms import Cond, Pattern, as_pattern
+from congraph.terms import App, Cond, Pattern, Var, as_pattern, format_pattern
 
 
 def compiled(pattern: Pattern | str | Sequence[Pattern | str] | ConjunctiveQuery, where: Sequence[Cond] = (), canonical: bool = True) -> ConjunctiveQuery:
@@ -46,10 +47,11 @@ def _empty(graph: CongruenceGraph, cq: ConjunctiveQuery) -> DataFrame:
     return graph.spark.createDataFrame([], ", ".join(f"`{v}` long" for v in cq.head))
 
 
-def match(graph: CongruenceGraph, pattern, strategy: str = "auto", where: Sequence[Cond] = (), pushdown: bool = True, policy: str = "paper", fd: str = "soft", batch: bool = True, order: Sequence[str] | None = None, index: PrefixIndex | None = None, frames: Frames | None = None, hint: str | None = None, tree: Sequence[int] | None = None, cells: int = 64, trie: str = "hash", trace: list | None = None, visited: list | None = None) -> DataFrame:
+def match(graph: CongruenceGraph, pattern, strategy: str = "auto", where: Sequence[Cond] = (), pushdown: bool = True, policy: str = "bound", fd: str = "soft", batch: bool = True, order: Sequence[str] | None = None, index: PrefixIndex | None = None, frames: Frames | None = None, hint: str | None = None, tree: Sequence[int] | None = None, cells: int = 64, trie: str = "hash", trace: list | None = None, visited: list | None = None, counted: dict[str, int] | None = None) -> DataFrame:
     """Root and variable columns of every match; one pattern, a list of them (a multi-pattern) or a query.
 
-    frames: relations by atom alias instead of the graph's own. order: an explicit order of variables.
+    frames: relations by atom alias instead of the graph's own; counted: rows of those that the graph lacks. order: an explicit
+    order of variables.
     """
     cq = compiled(pattern, where)
     if not cq.atoms:
@@ -63,7 +65,7 @@ def match(graph: CongruenceGraph, pattern, strategy: str = "auto", where: Sequen
         for c in cq.conditions:
             df = df.where(test_of(graph, c))
         return df if graph.congruent else df.distinct()
-    sizes = _sizes(graph, cq)
+    sizes = _sizes(graph, replace(cq, atoms=tuple(a for a in cq.atoms if a.alias not in (counted or {})))) | (counted or {})
     unique = graph.congruent and cq.keyed or set(cq.head) == set(cq.vars)
     frames = frames or atom_frames(graph, cq)
     cq, frames, possible = fold_constants(graph, cq, frames)
@@ -92,42 +94,112 @@ def match(graph: CongruenceGraph, pattern, strategy: str = "auto", where: Sequen
         df = reduced_join(cq, frames)
     elif chosen.strategy == "hybrid":
         df = hybrid_join(cq, frames, sizes)
+    elif chosen.strategy == "cartesian":
+        df = cartesian_match(cq, frames, sizes)
     elif chosen.strategy == "shares":
         df = shares_join(cq, frames, chosen.order, sizes, cells, trie)
     else:
         df = extension_join(cq, frames, chosen.order, sizes, "static" if chosen.strategy == "static" else "per_prefix", index, after, trace)
+    if waiting and not pushdown:
+        df = barrier(df, visited)  # else Catalyst would push them
     for c in waiting:
         df = df.where(test_of(graph, c))
     return project_head(df, cq, unique)
 
 
+def _inner(p: App) -> list[App]:
+    """Applications below p that hold an application themselves."""
+    out = []
+    for a in p.args:
+        if isinstance(a, App):
+            if any(isinstance(x, App) for x in a.args):
+                out.append(a)
+            out.extend(_inner(a))
+    return out
+
+
+def _renamed(p: Pattern, names: dict[str, str]) -> Pattern:
+    """p with its variables named by order of occurrence; names gets old to new."""
+    if isinstance(p, Var):
+        return Var(names.setdefault(p.name, f"s{len(names)}"))
+    return App(p.sym, tuple(_renamed(a, names) for a in p.args))
+
+
+def _with_views(cq: ConjunctiveQuery, views: dict[Pattern, DataFrame]) -> tuple[ConjunctiveQuery, dict[str, DataFrame]]:
+    """cq with one atom for each shared inner application instead of its own atoms; frames of these atoms."""
+    atoms, frames = [], {}
+    inner = dict(zip(cq.aux, range(len(cq.aux))))
+    by_root = {a.vars[0]: a for a in cq.atoms}
+
+    def term(v: str) -> Pattern:
+        return App(by_root[v].sym, tuple(term(x) for x in by_root[v].vars[1:])) if v in inner else Var(v)
+
+    def visit(a: Atom) -> None:
+        names: dict[str, str] = {}
+        key = _renamed(term(a.vars[0]), names) if a.vars[0] in inner else None
+        if key in views:
+            alias = f"s{len(atoms)}"
+            atoms.append(Atom(format_pattern(key), (a.vars[0], *names), alias))
+            frames[alias] = views[key].select(F.col("root").alias(a.vars[0]), *[F.col(new).alias(old) for old, new in names.items()])
+            return
+        if a not in atoms:
+            atoms.append(a)
+        for v in a.vars[1:]:
+            if v in inner:
+                visit(by_root[v])
+
+    for a in cq.atoms:
+        if a.vars[0] not in inner:
+            visit(a)
+    kept = {v for a in atoms for v in a.vars}
+    return replace(cq, atoms=tuple(atoms), aux=tuple(v for v in cq.aux if v in kept)), frames
+
+
 def match_many(graph: CongruenceGraph, patterns: Sequence, share_prefix: bool = True, **options) -> list[DataFrame]:
-    """A DataFrame for each pattern. share_prefix: patterns share the frames of their relations; each is joined from the start."""
+    """A DataFrame for each pattern. share_prefix: an inner application of two levels or more that several patterns have, up to
+    the names of variables, is matched once, written, and stands as one relation in each of them."""
     if not share_prefix:
         return [match(graph, p, **options) for p in patterns]
-    shared: dict[tuple[str, int], DataFrame] = {}
+    queries = [compiled(p) for p in patterns]
+    seen: dict[Pattern, int] = {}
+    for cq in queries:
+        for key in {_renamed(x, {}) for p in cq.patterns if isinstance(p, App) for x in _inner(p)}:
+            seen[key] = seen.get(key, 0) + 1
+    views = {key: cut(match(graph, key, **options), "shared") for key, n in seen.items() if n > 1}
+    sizes = {key: view.count() for key, view in views.items()}
     out = []
-    for p in patterns:
-        cq = compiled(p)
-        frames = {}
-        for a in cq.atoms:
-            rel = shared.setdefault((a.sym, a.arity), graph.rel(a.sym, a.arity))
-            frames[a.alias] = frame_of(rel, a)
-        out.append(match(graph, cq, frames=frames, **options))
+    for cq in queries:
+        own, shared = _with_views(cq, views) if views else (cq, {})
+        frames = {a.alias: shared[a.alias] if a.alias in shared else frame_of(graph.rel(a.sym, a.arity), a) for a in own.atoms}
+        counted = {a.alias: sizes[as_pattern(a.sym)] for a in own.atoms if a.alias in shared}
+        out.append(match(graph, own, frames=frames, counted=counted, **options))
     return out
 
 
 def match_stale(graph: CongruenceGraph, pattern, find_map: DataFrame) -> DataFrame:
-    """Matches on a graph whose ids aren't canonical, by one more join through the map of ids for each inner
-    application and each further occurrence of a variable; roots and variables are representatives."""
-    cq = compiled(pattern, canonical=True)
-    df = None
+    """Matches on a graph whose ids aren't canonical: each atom keeps the ids it holds, and the query's equalities between
+    representatives, one for each inner application, are joins through the map of ids. So are further occurrences of a variable.
+    Roots and variables are representatives."""
+    cq = compiled(pattern, canonical=False)
+
+    def rep(df: DataFrame, column: str, name: str) -> DataFrame:
+        found = find_map.select(F.col("id").alias(column), F.col("rep").alias("_r"))
+        return df.join(found, column, "left").withColumn(name, F.coalesce("_r", column)).drop("_r")
+
+    equal = {stale: inner for stale, inner in cq.same}
+    df, roots = None, {inner for _, inner in cq.same}
     for a in cq.atoms:
-        rel = graph.rel(a.sym, a.arity)
-        for c in rel.columns:
-            found = find_map.select(F.col("id").alias(c), F.col("rep").alias("_r"))
-            rel = rel.join(found, c, "left").withColumn(c, F.coalesce("_r", c)).drop("_r")
-        one = frame_of(rel.select(*graph.rel(a.sym, a.arity).columns), a)
+        names = [f"{a.alias}_{k}" for k in range(len(a.vars))]
+        one = graph.rel(a.sym, a.arity).toDF(*names)
+        met: dict[str, str] = {}
+        for v, c in zip(a.vars, names):
+            # What an equality or another place asks for is the representative; a class id that nothing asks for stays as it is.
+            name = equal.get(v, v)
+            one = rep(one, c, f"{c}_r")
+            if name in met:
+                one = one.where(F.col(met[name]) == F.col(f"{c}_r"))
+            met.setdefault(name, f"{c}_r")
+        one = one.select(*[F.col(c).alias(v) for v, c in met.items()])
         keys = [] if df is None else [c for c in df.columns if c in one.columns]
         df = one if df is None else df.join(one, keys) if keys else df.crossJoin(one)
     return df.select(*cq.head).distinct()

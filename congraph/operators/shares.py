@@ -58,12 +58,19 @@ class HashTrie:
 
 
 class SortedTrie:
-    """Sorted rows; a node is a range of rows and a depth."""
+    """Sorted rows; a node is a range of rows and a depth. The number of next values under a node is counted once."""
 
     def __init__(self, rows: Sequence[tuple], width: int):
         self.rows = sorted(set(rows))
         self.columns = [[r[k] for r in self.rows] for k in range(width)]
         self.top = (0, len(self.rows), 0)
+        # For each depth, how many rows begin a new value there under an equal beginning.
+        self.fresh = []
+        for k in range(width):
+            total = [0]
+            for i, r in enumerate(self.rows):
+                total.append(total[-1] + (i == 0 or r[: k + 1] != self.rows[i - 1][: k + 1]))
+            self.fresh.append(total)
 
     def values(self, node) -> Iterator[int]:
         at, stop, depth = node
@@ -73,7 +80,11 @@ class SortedTrie:
             at = bisect.bisect_right(column, column[at], at, stop)
 
     def count(self, node) -> int:
-        return node[1] - node[0]
+        at, stop, depth = node
+        if depth >= len(self.fresh):
+            return 0
+        # The first row of a range begins a value, whether or not it differs from the row before.
+        return self.fresh[depth][stop] - self.fresh[depth][at + 1] + 1 if stop > at else 0
 
     def step(self, node, value):
         at, stop, depth = node

@@ -17,20 +17,26 @@ from congraph.plans.compile import ConjunctiveQuery
 from congraph.terms import App, Var
 
 
+def barrier(frame: DataFrame, visited: list[Observation] | None = None) -> DataFrame:
+    """frame, with a count that filters do not pass; visited: gets the counter."""
+    watch = Observation(f"visited_{uuid.uuid4().hex}")
+    if visited is not None:
+        visited.append(watch)
+    return frame.observe(watch, F.count(F.lit(1)).alias("visited"))
+
+
 def topdown_match(graph: CongruenceGraph, cq: ConjunctiveQuery, check: str = "late", visited: list[Observation] | None = None) -> DataFrame:
-    """check `late`: equality at the end; `eager`: once the second occurrence is bound. visited: gets the counters."""
+    """check `late`: equality at the end; `eager`: once the second occurrence is bound. visited: gets the counters.
+
+    Each further root of a multi-pattern starts a search of its own: `late` takes all pairs of its nodes and the matches so
+    far, `eager` begins with the nodes that hold a bound variable where the pattern has it, if the root has one.
+    """
     if check not in ("late", "eager"):
         raise ValueError(check)
     df: DataFrame | None = None
     seen: dict[str, list[str]] = {}
     n = 0
 
-    def barrier(frame: DataFrame) -> DataFrame:
-        watch = Observation(f"visited_{uuid.uuid4().hex}")
-        if visited is not None:
-            visited.append(watch)
-        return frame.observe(watch, F.count(F.lit(1)).alias("visited"))
-
     def visit(p: App, column: str) -> None:
         """Joins the nodes of p's symbol to the class in column, then goes down from left to right."""
         nonlocal df, n
@@ -40,12 +46,21 @@ def topdown_match(graph: CongruenceGraph, cq: ConjunctiveQuery, check: str = "la
             names.append(f"x{n}")
             n += 1
         rel = graph.rel(p.sym, arity).toDF(column, *names)
-        df = rel if df is None else df.join(rel, column) if column in df.columns else df.crossJoin(rel)
+        held = {a.name: c for a, c in reversed(list(zip(p.args, names))) if isinstance(a, Var) and a.name in seen}
+        if df is None:
+            df = rel
+        elif column in df.columns:
+            df = df.join(rel, column)
+        elif check == "eager" and held:
+            name, at = next((a.name, held[a.name]) for a in p.args if isinstance(a, Var) and a.name in held)
+            df = df.join(rel, F.col(seen[name][0]) == F.col(at))
+        else:
+            df = df.crossJoin(rel)
         for a, c in zip(p.args, names):
             if isinstance(a, Var):
                 seen.setdefault(a.name, []).append(c)
                 if check == "eager" and len(seen[a.name]) > 1:
-                    df = barrier(df).where(F.col(seen[a.name][0]) == F.col(c))
+                    df = barrier(df, visited).where(F.col(seen[a.name][0]) == F.col(c))
         for a, c in zip(p.args, names):
             if isinstance(a, App):
                 visit(a, c)
@@ -53,7 +68,7 @@ def topdown_match(graph: CongruenceGraph, cq: ConjunctiveQuery, check: str = "la
     roots = [h for h in cq.head if h.startswith("root")]
     for p, root in zip(cq.patterns, roots):
         visit(p, root)
-    df = barrier(df)
+    df = barrier(df, visited)
     if check == "late":
         for columns in seen.values():
             for c in columns[1:]:

@@ -32,7 +32,8 @@ _TABLE: tuple[tuple, ...] = (
     ("A22", "(pow (mul ?a ?b) ?c)", "(mul (pow ?a ?c) (pow ?b ?c))"),
     ("A23", "(d ?x (add ?a ?b))", "(add (d ?x ?a) (d ?x ?b))"),
     ("A24", "(d ?x (mul ?a ?b))", "(add (mul ?a (d ?x ?b)) (mul ?b (d ?x ?a)))"),
-    ("A25", "(d ?x (pow ?a ?n))", "(mul (mul ?n (pow ?a (sub ?n one))) (d ?x ?a))"),
+    # The exponent may depend on the variable too.
+    ("A25", "(d ?x (pow ?a ?n))", "(mul (pow ?a ?n) (add (mul (d ?x ?a) (div ?n ?a)) (mul (d ?x ?n) (ln ?a))))", differs("?a", "zero"), differs("?n", "zero")),
     ("A26", "(d ?x (sin ?x))", "(cos ?x)"),
     ("A27", "(d ?x (cos ?x))", "(neg (sin ?x))"),
     ("A28", "(d ?x (ln ?x))", "(div one ?x)"),

@@ -115,15 +115,16 @@ def st7_chain(spark, sf):
             spark.conf.set("spark.sql.streaming.stateStore.providerClass", old)
 
 
-def match_stream(stream: DataFrame, graph: CongruenceGraph, pattern, deltas: Callable[[DataFrame], dict[str, DataFrame]]) -> MatchState:
+def match_stream(stream: DataFrame, graph: CongruenceGraph, pattern, deltas: Callable[[DataFrame], dict[str, DataFrame]], folder: str | None = None) -> MatchState:
     """Matches kept up to date by micro-batches; deltas(batch): new rows of relations by symbol. A batch that comes
-    again after a failure is known by its number."""
-    state = MatchState.empty(graph, pattern)
+    again after a failure is known by its number; folder: of an earlier run, from which it goes on."""
+    folder = folder or fresh_path(stream.sparkSession, "maintained")
+    state = MatchState.resume(graph, pattern, f"{folder}/state")
 
     def take(batch: DataFrame, number: int) -> None:
         state.advance({s: weighted(d) for s, d in deltas(batch).items()}, number)
 
-    stream.writeStream.foreachBatch(take).option("checkpointLocation", fresh_path(stream.sparkSession, "progress")).trigger(availableNow=True).start().awaitTermination()
+    stream.writeStream.foreachBatch(take).option("checkpointLocation", f"{folder}/progress").trigger(availableNow=True).start().awaitTermination()
     return state
 
 

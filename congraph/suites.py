@@ -29,15 +29,15 @@ def price_terms(spark: SparkSession, sf_dir: str, orders: int | None = None) ->
     return df.select(text.alias("value")).distinct()
 
 
-def binding_terms(spark: SparkSession, sf_dir: str, parts: int | None = None) -> DataFrame:
-    """A part's brand bound in an application of two words of its name."""
+def binding_terms(spark: SparkSession, sf_dir: str, parts: int | None = None, swapped: bool = False) -> DataFrame:
+    """A part's brand bound in an application of two words of its name, the last and the first; swapped: the other way round."""
     df = read_table(spark, sf_dir, "part")
     if parts is not None:
         df = df.where(F.col("p_partkey") < parts)
     word = lambda c: F.regexp_replace(c, "[^A-Za-z0-9]", "_")
     words = F.split("p_name", " ")
     brand = F.concat(F.lit("v_"), word(F.col("p_brand")))
-    body = F.concat(F.lit("(app (lam "), brand, F.lit(" (app (var "), brand, F.lit(") w_"), word(F.element_at(words, -1)), F.lit(")) w_"), word(words[0]), F.lit(")"))
+    body = F.concat(F.lit("(app (lam "), brand, F.lit(" (app (var "), brand, F.lit(") w_"), word(words[0] if swapped else F.element_at(words, -1)), F.lit(")) w_"), word(F.element_at(words, -1) if swapped else words[0]), F.lit(")"))
     return df.select(body.alias("value")).distinct()
 
 

@@ -24,32 +24,27 @@ Pattern = Var | App
 
 
 def parse_pattern(text: str) -> Pattern:
-    tokens = re.findall(r"[()]|[^\s()]+", text)
-    at = 0
-
-    def term() -> Pattern:
-        nonlocal at
-        if at >= len(tokens):
-            raise ValueError(f"unfinished term: {text!r}")
-        token = tokens[at]
-        at += 1
-        if token == ")":
-            raise ValueError(f"unexpected ) in {text!r}")
-        if token != "(":
-            return Var(token[1:]) if token.startswith("?") else App(token)
-        sym, args = tokens[at], []
-        at += 1
-        while at < len(tokens) and tokens[at] != ")":
-            args.append(term())
-        if at >= len(tokens):
-            raise ValueError(f"unfinished term: {text!r}")
-        at += 1
-        return App(sym, tuple(args))
-
-    out = term()
-    if at != len(tokens):
-        raise ValueError(f"text after the term: {text!r}")
-    return out
+    """A stack of open applications instead of recursion, so that a term may be of any depth."""
+    open_: list[list] = [[]]  # what an application has so far, its symbol first; the outermost holds the whole term
+    for token in re.findall(r"[()]|[^\s()]+", text):
+        if len(open_) == 1 and open_[0]:
+            raise ValueError(f"text after the term: {text!r}")
+        if token == "(":
+            open_.append([])
+        elif token == ")":
+            if len(open_) == 1 or not open_[-1]:
+                raise ValueError(f"unexpected ) in {text!r}")
+            sym, *args = open_.pop()
+            open_[-1].append(App(sym, tuple(args)))
+        elif len(open_) > 1 and not open_[-1]:
+            open_[-1].append(token)
+        else:
+            open_[-1].append(Var(token[1:]) if token.startswith("?") else App(token))
+        if len(open_) > 1 and open_[-1] and not isinstance(open_[-1][0], str):
+            raise ValueError(f"an application begins with a symbol: {text!r}")
+    if len(open_) > 1 or not open_[0]:
+        raise ValueError(f"unfinished term: {text!r}")
+    return open_[0][0]
 
 
 def format_pattern(p: Pattern) -> str:

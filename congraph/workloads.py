@@ -10,16 +10,17 @@ from pyspark.sql import functions as F
 
 from congraph import suites
 from congraph.checkpoints import cut
-from congraph.closure import rebuild
+from congraph.closure import insert_terms, rebuild
 from congraph.graph import CongruenceGraph
 from congraph.incremental import MatchState, weighted
-from congraph.intern import hash_id, key_of, tag
+from congraph.intern import hash_id, key_id, key_of, tag
 from congraph.operators.atoms import atom_frames
 from congraph.operators.extension import PrefixIndex
-from congraph.operators.match import compiled, match, match_order, match_stale
+from congraph.operators.match import compiled, match, match_many, match_order, match_stale
 from congraph.plans.compile import ConjunctiveQuery, query
-from congraph.plans.cover import agm_bound, fd_bound, integral_cover_bound, product_bound
+from congraph.plans.cover import agm_bound, fd_bound, integral_cover_bound, output_bound, product_bound
 from congraph.sources import lifts
+from congraph.sources.files import term_nodes_of
 from congraph.sources.markup import tree_search
 from congraph.sources.tables import read_table
 from congraph.sql_engine import SqlEngine
@@ -54,6 +55,10 @@ def _ship(df):
 def w02(spark, sf, **o):
     g = lifts.lift_trade(spark, sf)
     df = match(g, "(ship ?s (home ?s))", **o)
+    return _homes(g, df)
+
+
+def _homes(g, df):
     homes = g.rel("home", 1).select(F.col("a1").alias("s"), F.col("id").alias("n"))
     return _ship(df.join(homes, "s"))
 
@@ -183,18 +188,67 @@ def w23(spark, sf, **o):
     return df.join(F.broadcast(sources), "s").select(key_of(F.col("d")).alias("doc"), key_of(F.col("i")).alias("item_id"), "source")
 
 
+def w30(spark, sf, **o):
+    """A cycle with a chain that hangs on it: the hybrid's core is five atoms of eight, and three ears are joined on."""
+    g = lifts.lift_trade(spark, sf)
+    df = match(g, ["(lane (home (payer ?l)) (home (vendor ?l)))", "(zone (home (payer ?l)))"], **o)
+    return _with_line(g, df, r_regionkey="root1:int", zone="root2:int")
+
+
+def shared_many(spark, sf, share_prefix):
+    """Three patterns of which two have the same inner applications, matched together."""
+    g = lifts.lift_trade(spark, sf)
+    patterns = ["(zone (home (buyer ?o)))", "(lane (home (buyer ?o)) ?m)", "(lane ?m (home (buyer ?x)))"]
+    found = match_many(g, patterns, share_prefix=share_prefix, strategy="binary")
+    rows = None
+    for p, df in zip(patterns, found):
+        one = df.agg(F.count(F.lit(1)).alias("n")).select(F.lit(p).alias("pattern"), "n")
+        rows = one if rows is None else rows.unionByName(one)
+    return rows
+
+
 def w25(spark, sf, fd):
-    return w03(spark, sf, strategy="extension", fd=fd)
+    return w03(spark, sf, strategy="extension", policy="paper", fd=fd)
 
 
-def w27(spark, sf):
+def prebuilt(g, pattern):
     """Matches with an index that was built before and is used again: rows of the second use."""
-    g = lifts.lift_trade(spark, sf)
-    cq = compiled("(lane (home (payer ?l)) (home (vendor ?l)))")
+    cq = compiled(pattern)
     frames = atom_frames(g, cq)
     index = PrefixIndex(frames, cq.keyed, written=True)
     match(g, cq, strategy="extension", frames=frames, index=index).count()
-    return _with_line(g, match(g, cq, strategy="extension", frames=frames, index=index), r_regionkey="root:int")
+    return match(g, cq, strategy="extension", frames=frames, index=index)
+
+
+def w27(spark, sf):
+    g = lifts.lift_trade(spark, sf)
+    return _with_line(g, prebuilt(g, "(lane (home (payer ?l)) (home (vendor ?l)))"), r_regionkey="root:int")
+
+
+def w27_ship(spark, sf):
+    g = lifts.lift_trade(spark, sf)
+    return _homes(g, prebuilt(g, "(ship ?s (home ?s))"))
+
+
+def w27_kin(spark, sf):
+    g = lifts.lift_trade(spark, sf)
+    return _with_line(g, prebuilt(g, "(kin (payer ?l) (vendor ?l))"), n_nationkey="root:int")
+
+
+def w27_zone(spark, sf):
+    return keys(prebuilt(lifts.lift_trade(spark, sf), "(zone (home (buyer ?o)))"), o_orderkey="o", r_regionkey="root:int")
+
+
+def w27_home(spark, sf):
+    return keys(prebuilt(lifts.lift_trade(spark, sf), "(home (buyer ?o))"), o_orderkey="o", n_nationkey="root:int")
+
+
+def w27_triangle(spark, sf):
+    return keys(prebuilt(lifts.lift_projections(spark, sf), TRIANGLE), s_suppkey="s", p_partkey="p", o_orderkey="o")
+
+
+def w27_hub(spark, sf):
+    return prebuilt(lifts.lift_hub(spark, sf), HUB)
 
 
 def w21_events(spark, sf, slices=5):
@@ -209,6 +263,55 @@ def w21_events(spark, sf, slices=5):
     return state.matches.select(F.col("root").alias("id")).join(places, "id").select("user_id", (F.col("k") - 2).alias("k"))
 
 
+def w21_orders(spark, sf, slices=10):
+    """w02 maintained over slices of orders: a pair of supplier and nation comes with the first order that makes it."""
+    g = lifts.lift_trade(spark, sf)
+    lines, orders, customers = (read_table(spark, sf, t) for t in ("lineitem", "orders", "customer"))
+    lo, hi = orders.agg(F.min("o_orderkey"), F.max("o_orderkey")).first()
+    width = max(1, -(-(hi - lo + 1) // slices)) if lo is not None else 1
+    first = lines.select("l_orderkey", "l_suppkey").distinct().join(orders.select(F.col("o_orderkey").alias("l_orderkey"), "o_custkey"), "l_orderkey")
+    first = first.join(customers.select(F.col("c_custkey").alias("o_custkey"), "c_nationkey"), "o_custkey").groupBy("l_suppkey", "c_nationkey").agg(F.min("l_orderkey").alias("o"))
+    ship = first.select(hash_id("ship", F.col("l_suppkey"), F.col("c_nationkey")).alias("id"), key_id("supplier", F.col("l_suppkey")).alias("a1"), key_id("nation", F.col("c_nationkey")).alias("a2"), F.floor((F.col("o") - F.lit(lo)) / F.lit(width)).alias("slice"))
+    ship = cut(ship, "ships")
+    state = MatchState.empty(g, "(ship ?s (home ?s))")
+    for i in range(slices):
+        new = {"ship": weighted(ship.where(F.col("slice") == i).drop("slice"))}
+        state.advance(new | ({"home": weighted(g.rel("home", 1))} if i == 0 else {}), i)
+    return _homes(g, state.matches)
+
+
+def g_insert_terms(spark, sf):
+    """Nodes by symbol after the terms of all parts went into a graph that holds others."""
+    start = spark.createDataFrame([("(app (lam x (var x)) y)",), ("true",)], "value string")
+    g = insert_terms(CongruenceGraph(spark, nodes=cut(term_nodes_of(start), "start")), suites.binding_terms(spark, sf))
+    return g.nodes.where("sym in ('app', 'lam', 'var')").groupBy(F.col("sym").alias("symbol")).agg(F.count(F.lit(1)).alias("n"))
+
+
+def g_represented(spark, sf):
+    """Which parts' terms, with the two words changed over, the graph of all parts' terms represents."""
+    g = CongruenceGraph(spark, nodes=cut(term_nodes_of(suites.binding_terms(spark, sf)), "start"))
+    swapped = suites.binding_terms(spark, sf, swapped=True)
+    found = g.represented(swapped)
+    return found.agg(F.count(F.lit(1)).alias("terms"), F.count("cls").alias("represented"))
+
+
+def g_delta(spark, sf):
+    """Rows that the database gains by one more version of the graph: the insertion of all parts' terms."""
+    start = spark.createDataFrame([("(app (lam x (var x)) y)",)], "value string")
+    old = CongruenceGraph(spark, nodes=cut(term_nodes_of(start), "start"))
+    new = insert_terms(old, suites.binding_terms(spark, sf)).relations_delta(old.version)
+    return new["app"].agg(F.count(F.lit(1)).alias("n"))
+
+
+def w29_insert(spark, sf):
+    """Insertion by the SQL engine: lines that the graph has are not added again."""
+    g = lifts.lift_trade(spark, sf)
+    flat = lambda df: df.select(F.lit("line").alias("sym"), F.col("id").alias("cls"), "a1", "a2", "a3")
+    line = flat(g.rel("line", 3))
+    both = SqlEngine(spark, 3).insert(line, line.unionByName(line.select("sym", (F.col("cls") + 1).alias("cls"), F.col("a2").alias("a1"), F.col("a1").alias("a2"), "a3")))
+    return both.agg(F.count(F.lit(1)).alias("n"))
+
+
 def w29_running(spark, sf):
     """The running example by the SQL engine."""
     nodes = lifts.lift_star(spark, sf).nodes.select("sym", "cls", F.get("args", F.lit(0)).alias("a1"), F.get("args", F.lit(1)).alias("a2"))
@@ -272,6 +375,42 @@ def m_orders(spark, sf):
     return spark.createDataFrame(rows, "workload string, round int, variables string")
 
 
+def visited_by_search(spark, sf):
+    """What the top-down search enumerates before its tests, against the matches, for patterns of several shapes."""
+    rows = []
+    trade = lifts.lift_trade(spark, sf)
+    for name, g, p in (("w01", lifts.lift_star(spark, sf), "(f ?a (g ?a))"), ("w02", trade, "(ship ?s (home ?s))"), ("w04", trade, "(zone (home (buyer ?o)))"), ("w05", trade, "(home (buyer ?o))")):
+        watch: list = []
+        n = match(g, p, strategy="topdown", visited=watch).count()
+        rows.append((name, watch[-1].get["visited"], n))
+    return spark.createDataFrame(rows, "workload string, visited long, n_matches long")
+
+
+def c_output(spark, sf):
+    """The bound from the size of the output, sqrt(matches * product of relations), for the patterns of c_bounds."""
+    rows = []
+    trade, sides = lifts.lift_trade(spark, sf), lifts.lift_projections(spark, sf)
+    for name, g, p in (("w03", trade, "(kin (payer ?l) (vendor ?l))"), ("w04", trade, "(zone (home (buyer ?o)))"), ("w07", sides, TRIANGLE)):
+        cq = compiled(p)
+        found = g.sizes([(a.sym, a.arity) for a in cq.atoms])
+        n = {a.alias: found[a.sym, a.arity] for a in cq.atoms}
+        rows.append((name, float(f"{output_bound(cq, n, match(g, cq, strategy='binary').count()):.6g}")))
+    return spark.createDataFrame(rows, "workload string, value double")
+
+
+def c_candidates(spark, sf):
+    """Rows that the extension join enumerates on the cyclic pattern, its largest round against its matches, by order."""
+    g, p = lifts.lift_trade(spark, sf), "(lane (home (payer ?l)) (home (vendor ?l)))"
+    lines = match(g, p, strategy="binary").count()
+    rows = []
+    for policy, fd in (("bound", "soft"), ("paper", "strict")):
+        trace: list = []
+        match(g, p, strategy="extension", policy=policy, fd=fd, trace=trace)
+        most = max(df.count() for _, _, df in trace)
+        rows.append((f"{policy}_{fd}", most <= 2 * lines, lines))
+    return spark.createDataFrame(rows, "policy string, within_twice boolean, n_matches long")
+
+
 def visited_counts(spark, sf):
     """Tuples that each matcher enumerates on the running example before its last test: N^2 against N."""
     g = lifts.lift_star(spark, sf)
@@ -294,10 +433,11 @@ WORKLOADS: dict[str, tuple[Callable, tuple[str, ...]]] = {
     "w04_linear_chain": (w04, _ACYCLIC),
     "w05_nested_unary": (w05, ("extension", "binary", "reduced", "topdown")),
     "w06_multi_count": (w06, ("extension", "binary", "reduced")),
-    "w06b_four_roots": (w06b, ("extension", "binary", "reduced", "topdown")),
-    "w06c_cyclic_multi": (w06c, ("extension", "binary", "hybrid", "topdown")),
+    # Independent roots: the late search takes all pairs of roots, and without a shared variable at the root the eager one does.
+    "w06b_four_roots": (w06b, ("extension", "binary", "reduced", "topdown_eager")),
+    "w06c_cyclic_multi": (w06c, ("extension", "binary", "hybrid")),
     "w07_triangle": (w07, ("extension", "static", "binary", "shares")),
-    "w08_hub_triangle": (w08, ("extension", "shares")),
+    "w08_hub_triangle": (w08, ("extension", "shares", "binary")),
     "w09_scan": (w09_scan, ("scan", "extension")),
     "w09_scan_filter": (w09_filter, ("scan", "extension")),
     "w10_condition": (w10, ("extension", "binary", "reduced", "topdown")),
@@ -307,6 +447,7 @@ WORKLOADS: dict[str, tuple[Callable, tuple[str, ...]]] = {
     "w20_events": (w20, ("extension", "binary", "hybrid", "shares", "topdown")),
     "w22_vectors": (w22, ("extension", "binary", "topdown")),
     "w23_contamination": (w23, ("extension", "binary")),
+    "w30_cycle_with_ears": (w30, ("extension", "hybrid", "binary")),
 }
 
 
@@ -344,6 +485,22 @@ def workload_queries() -> tuple[dict[str, Query], dict[str, str]]:
         "w25_fd_off": (partial(w25, fd="off"), "w03_cyclic"),
         "w27_prebuilt_index": (w27, "w03b_cyclic_small_outer"),
         "w28_stale_ids": (w28, "w17_quality"),
+        "w21_incremental_orders": (w21_orders, "w02_trade_nonlinear"),
+        "w27_prebuilt_ship": (w27_ship, "w02_trade_nonlinear"),
+        "w27_prebuilt_kin": (w27_kin, "w03_cyclic"),
+        "w27_prebuilt_zone": (w27_zone, "w04_linear_chain"),
+        "w27_prebuilt_home": (w27_home, "w05_nested_unary"),
+        "w27_prebuilt_triangle": (w27_triangle, "w07_triangle"),
+        "w27_prebuilt_hub": (w27_hub, "w08_hub_triangle"),
+        "w29_sql_insert": (w29_insert, "w29_sql_insert"),
+        "b4_shared_applications": (partial(shared_many, share_prefix=True), "b4_many"),
+        "b4_unshared": (partial(shared_many, share_prefix=False), "b4_many"),
+        "g_insert_terms": (g_insert_terms, "g_insert_terms"),
+        "g_represented": (g_represented, "g_represented"),
+        "g_relations_delta": (g_delta, "g_relations_delta"),
+        "c_visited_by_search": (visited_by_search, "c_visited_by_search"),
+        "c_output_bound": (c_output, "c_output_bound"),
+        "c_candidates": (c_candidates, "c_candidates"),
     }
     for k, (f, b) in extra.items():
         out[k], base[k] = f, b
@@ -354,10 +511,19 @@ def workload_queries() -> tuple[dict[str, Query], dict[str, str]]:
         out[f"w24_order_running_{k}"], base[f"w24_order_running_{k}"] = partial(w01, strategy="extension", order=order), "w01_running_example"
     for k, order in enumerate(permutations(["s", "p", "o"])):
         out[f"w24_order_triangle_{k}"], base[f"w24_order_triangle_{k}"] = partial(w07, strategy="extension", order=order), "w07_triangle"
+    for k, order in enumerate(permutations(["root", "_n0", "_n1", "o"])):
+        out[f"w24_order_linear_{k:02d}"], base[f"w24_order_linear_{k:02d}"] = partial(w04, strategy="extension", order=order), "w04_linear_chain"
+    # Of the 720 orders of the cyclic pattern those that go round the cycle, from every variable and both ways.
+    ring = ["l", "_n1", "_n0", "root", "_n2", "_n3"]
+    for k in range(6):
+        for way, turn in (("there", ring[k:] + ring[:k]), ("back", (ring[k:] + ring[:k])[::-1])):
+            out[f"w24_order_cyclic_{k}_{way}"], base[f"w24_order_cyclic_{k}_{way}"] = partial(w03b, strategy="extension", order=turn), "w03b_cyclic_small_outer"
     return out, base
 
 
 _TRIPLES = "t AS (SELECT DISTINCT l_orderkey AS o, l_partkey AS p, l_suppkey AS s FROM lineitem)"
+_WORD = "regexp_replace({}, '[^A-Za-z0-9]', '_', 'g')"
+_PARTS = f"p AS (SELECT DISTINCT {_WORD.format('p_brand')} AS b, {_WORD.format("string_split(p_name, ' ')[-1]")} AS l, {_WORD.format("string_split(p_name, ' ')[1]")} AS f FROM part)"
 _SHIP = """SELECT DISTINCT s_suppkey, n_nationkey FROM (
     SELECT DISTINCT l_suppkey, c_nationkey FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey)
     JOIN supplier ON l_suppkey = s_suppkey AND c_nationkey = s_nationkey JOIN nation ON n_nationkey = s_nationkey"""
@@ -370,6 +536,27 @@ ORACLES: dict[str, str] = {
     "g_members_trade": "SELECT n AS n_nationkey, count(*) AS n FROM (SELECT c_nationkey AS n FROM customer UNION ALL SELECT s_nationkey FROM supplier) x(n) GROUP BY 1",
     "g_count_terms": "SELECT CAST(0 AS BIGINT) AS which, count(*) AS terms FROM part UNION ALL SELECT CAST(1 AS BIGINT), count(*) * count(*) FROM part",
     "g_violations": "SELECT CAST(0 AS BIGINT) AS n",
+    "w29_sql_insert": f"WITH {_TRIPLES}, m AS (SELECT o, p, s FROM t UNION SELECT p + (2::BIGINT << 56) - (3::BIGINT << 56), o + (3::BIGINT << 56) - (2::BIGINT << 56), s FROM t) SELECT count(*) AS n FROM m",
+    "b4_many": """WITH n AS (SELECT count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey), m AS (SELECT count(*) AS m FROM nation)
+        SELECT '(zone (home (buyer ?o)))' AS pattern, n FROM n UNION ALL SELECT '(lane (home (buyer ?o)) ?m)', n * m FROM n, m UNION ALL SELECT '(lane ?m (home (buyer ?x)))', n * m FROM n, m""",
+    "g_insert_terms": f"""WITH {_PARTS} SELECT 'app' AS symbol, count(DISTINCT (b, l, f)) + count(DISTINCT (b, l)) + 1 AS n FROM p UNION ALL SELECT 'lam', count(DISTINCT (b, l)) + 1 FROM p UNION ALL SELECT 'var', count(DISTINCT b) + 1 FROM p""",
+    "g_represented": f"WITH {_PARTS}, q AS (SELECT DISTINCT b, f AS l, l AS f FROM p) SELECT count(*) AS terms, count(*) FILTER (EXISTS (SELECT 1 FROM p WHERE p.b = q.b AND p.l = q.l AND p.f = q.f)) AS represented FROM q",
+    "g_relations_delta": f"WITH {_PARTS} SELECT count(DISTINCT (b, l, f)) + count(DISTINCT (b, l)) AS n FROM p",
+    "c_visited_by_search": f"""WITH ship AS (SELECT DISTINCT l_suppkey AS s, c_nationkey AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey),
+        home AS (SELECT c_nationkey AS n FROM customer UNION ALL SELECT s_nationkey FROM supplier), b AS (SELECT count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey)
+        SELECT 'w01' AS workload, count(*) * count(*) AS visited, count(*) AS n_matches FROM part
+        UNION ALL SELECT 'w02', (SELECT count(*) FROM ship JOIN home USING (n)), (SELECT count(*) FROM ({_SHIP}))
+        UNION ALL SELECT 'w04', n, n FROM b UNION ALL SELECT 'w05', n, n FROM b""",
+    "c_output_bound": f"""WITH {_TRIPLES}, c AS (SELECT (SELECT count(*) FROM t)::DOUBLE AS l, (SELECT count(*) FROM customer JOIN supplier ON c_nationkey = s_nationkey)::DOUBLE AS kin,
+            (SELECT count(*) FROM nation)::DOUBLE AS zone, (SELECT count(*) FROM orders)::DOUBLE AS buyer, ((SELECT count(*) FROM customer) + (SELECT count(*) FROM supplier))::DOUBLE AS home,
+            (SELECT count(*) FROM t JOIN orders ON o = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON s = s_suppkey AND s_nationkey = c_nationkey)::DOUBLE AS q3,
+            (SELECT count(*) FROM orders JOIN customer ON o_custkey = c_custkey)::DOUBLE AS q4,
+            (SELECT count(*) FROM (SELECT DISTINCT s, p FROM t))::DOUBLE AS rr, (SELECT count(*) FROM (SELECT DISTINCT p, o FROM t))::DOUBLE AS ss, (SELECT count(*) FROM (SELECT DISTINCT o, s FROM t))::DOUBLE AS tt,
+            (SELECT count(*) FROM (SELECT DISTINCT s, p FROM t) JOIN (SELECT DISTINCT p, o FROM t) USING (p) JOIN (SELECT DISTINCT o, s FROM t) USING (o, s))::DOUBLE AS q7),
+        v AS (SELECT 'w03' AS workload, sqrt(q3 * kin * l * l) AS x FROM c UNION ALL SELECT 'w04', sqrt(q4 * zone * home * buyer) FROM c UNION ALL SELECT 'w07', sqrt(q7 * rr * ss * tt) FROM c)
+        SELECT workload, CAST(format('{{:.6g}}', x) AS DOUBLE) AS value FROM v""",
+    "c_candidates": f"WITH {_TRIPLES}, q AS (SELECT count(*) AS n FROM t JOIN orders ON o = o_orderkey JOIN customer ON o_custkey = c_custkey) SELECT 'bound_soft' AS policy, true AS within_twice, n AS n_matches FROM q UNION ALL SELECT 'paper_strict', true, n FROM q",
+    "w30_cycle_with_ears": f"WITH {_TRIPLES} SELECT o AS o_orderkey, p AS p_partkey, s AS s_suppkey, n_regionkey AS r_regionkey, n_regionkey AS zone FROM t JOIN orders ON o = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey",
     "c_bounds": """WITH line AS (SELECT DISTINCT l_orderkey, l_partkey, l_suppkey FROM lineitem),
         c AS (SELECT (SELECT count(*) FROM line)::DOUBLE AS l, (SELECT count(*) FROM customer JOIN supplier ON c_nationkey = s_nationkey)::DOUBLE AS kin,
             (SELECT count(*) FROM nation)::DOUBLE AS zone, (SELECT count(*) FROM orders)::DOUBLE AS buyer,
