@@ -83,6 +83,13 @@ def doc_text(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
     )
 
 
+def slices(batches, rows: int = 1000):
+    """The batches in pieces of so many rows: what a worker holds as Python objects at a time."""
+    for batch in batches:
+        for a in range(0, batch.num_rows, rows):
+            yield batch.slice(a, rows)
+
+
 def dense(sparse: DataFrame, bits: int, stages: Stages) -> Column:
     """(slot, n) as one array of 2^bits numbers, 0 where a slot is missing; a scalar that every task gets."""
     every = sparse.sparkSession.range(1 << bits).select(F.col("id").cast("int").alias("slot"))

@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from congraph.llm.common import Stages, doc_text, odd_ids, partitions_for, sieve
+from congraph.llm.common import Stages, doc_text, odd_ids, partitions_for, sieve, slices
 from congraph.llm.components import components
 from congraph.llm.shingles import WIDTH, mixed, shingle_set
 
@@ -85,7 +85,7 @@ def _count(width: int):
         sketch, seen = np.zeros(1 << SKETCH_BITS, "<u4"), set()
         none = lambda n, t: pa.nulls(n, t)
         names = [x.split()[0] for x in _SETS.split(", ")]
-        for batch in batches:
+        for batch in slices(batches):
             classes, sizes = [], []
             for text in batch.column("text").to_pylist():
                 grams = shingle_set(text, width)
@@ -127,7 +127,7 @@ def rarity_sketch(chunks: DataFrame) -> np.ndarray:
 def _prefixes(sketch, width: int, percent: int, long_list: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts, seen = sketch.value, set()
-        for batch in batches:
+        for batch in slices(batches):
             out: list[list[np.ndarray]] = [[], [], [], [], []]
             for text in batch.column("text").to_pylist():
                 grams = shingle_set(text, width)
@@ -237,7 +237,7 @@ def passes(n: np.ndarray, i: np.ndarray, m: np.ndarray, j: np.ndarray, percent:
 
 def _verify(percent: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches, 200):
             a, b, links = batch.column("a").to_pylist(), batch.column("b").to_pylist(), []
             for k, (x, y) in enumerate(zip(batch.column("set_a"), batch.column("set_b"))):
                 x, y = np.frombuffer(x.as_buffer(), "<u8"), np.frombuffer(y.as_buffer(), "<u8")
@@ -253,7 +253,7 @@ def _verify(percent: int):
 
 def _counts(width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             sets = [shingle_set(t, width) for t in batch.column("text").to_pylist()]
             columns = [pa.array([class_of(s) for s in sets], pa.int64()), pa.array([len(s) for s in sets], pa.int32()), pa.array([part_counts(s) for s in sets], pa.binary())]
             yield pa.record_batch(columns, names=["class", "n", "counts"])
@@ -263,7 +263,7 @@ def _counts(width: int):
 
 def _sets(width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             sets = [shingle_set(t, width) for t in batch.column("text").to_pylist()]
             yield pa.record_batch([pa.array([class_of(s) for s in sets], pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], names=["class", "grams"])
 
@@ -274,7 +274,7 @@ def _near(percent: int):
     """The suffix filter: what both sets hold of each range of hashes bounds their overlap."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches, 500):
             x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), "u1").reshape(-1, PARTS).astype("i2") for c in ("x", "y"))
             total = batch.column("n").to_numpy().astype("i8")
             ok = np.flatnonzero(np.abs(x - y).sum(1) <= total - 2 * -(-percent * total // (100 + percent)))
