@@ -2,11 +2,19 @@
 
 from __future__ import annotations
 
+import uuid
+
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
+from congraph.checkpoints import cut, fresh_path
+from congraph.graph import term_nodes
+from congraph.intern import key_of
 from congraph.sources.tables import read_table as t
+from congraph.terms import format_pattern, parse_pattern
 
 
 def o_p3_comparisons(spark, sf):
@@ -103,6 +111,31 @@ def o_a3_rollup(spark, sf):
     return n.rollup("r_name", "n_name").agg(F.count(F.lit(1)).alias("n")).select(F.coalesce("r_name", F.lit("*")).alias("region"), F.coalesce("n_name", F.lit("*")).alias("nation"), "n")
 
 
+def o_a3_sets(spark, sf):
+    """Grouping sets named one by one: by status, by priority, and all."""
+    o = t(spark, sf, "orders")
+    g = o.groupingSets([("o_orderstatus",), ("o_orderpriority",), ()], "o_orderstatus", "o_orderpriority").agg(F.count(F.lit(1)).alias("n"), F.grouping_id().alias("level"))
+    return g.select(F.coalesce("o_orderstatus", F.lit("*")).alias("status"), F.coalesce("o_orderpriority", F.lit("*")).alias("priority"), F.col("level").cast("long").alias("level"), "n")
+
+
+def _suppliers_of_orders(spark, sf, key, on):
+    """The list aggregate with one of Spark's settings on or off, written under it, as plans are made when they run."""
+    old = spark.conf.get(key)
+    spark.conf.set(key, on)
+    try:
+        return cut(o_a5_lists(spark, sf), "lists")
+    finally:
+        spark.conf.set(key, old)
+
+
+def o_a7_object_hash(spark, sf):
+    return _suppliers_of_orders(spark, sf, "spark.sql.execution.useObjectHashAggregateExec", "true")
+
+
+def o_a7_sort(spark, sf):
+    return _suppliers_of_orders(spark, sf, "spark.sql.execution.useObjectHashAggregateExec", "false")
+
+
 def o_a4_means(spark, sf):
     x = F.col("l_quantity")
     df = t(spark, sf, "lineitem").groupBy("l_returnflag").agg(F.round(F.count(F.lit(1)) / F.sum(1 / x), 6).alias("hmean"), F.round(F.exp(F.avg(F.log(x))), 6).alias("gmean"), F.median(x).alias("median"), F.percentile(x, F.lit(0.9)).alias("p90"))
@@ -173,6 +206,19 @@ def o_l2_sets(spark, sf):
     return tag(a.union(b).distinct(), "union").unionByName(tag(a.intersect(b), "intersect")).unionByName(tag(a.subtract(b), "except")).unionByName(tag(a.exceptAll(b), "except_all"))
 
 
+def o_l2_intersect_all(spark, sf):
+    """Bags: nations of customers and of suppliers, common ones as often as both have them."""
+    c = t(spark, sf, "customer").select(F.col("c_nationkey").alias("n"))
+    s = t(spark, sf, "supplier").select(F.col("s_nationkey").alias("n"))
+    return c.intersectAll(s).select(F.lit("both").alias("op"), "n").unionByName(c.exceptAll(s).select(F.lit("rest").alias("op"), "n"))
+
+
+def o_l1_sorted_within(spark, sf):
+    """Rows sorted inside each task, without a total order: the first of each run of a key is its least."""
+    o = t(spark, sf, "orders").repartition("o_custkey").sortWithinPartitions("o_custkey", "o_orderkey")
+    return o.groupBy("o_custkey").agg(F.min("o_orderkey").alias("first"))
+
+
 def o_f1_strings(spark, sf):
     p = F.col("p_name")
     return t(spark, sf, "part").select("p_partkey", F.upper(F.trim(p)).alias("up"), F.length(p).cast("long").alias("n"), F.substring(p, 1, 3).alias("head"), F.levenshtein(p, F.col("p_brand")).cast("long").alias("dist"), F.regexp_extract(p, "([a-z]+)$", 1).alias("tail"), F.concat_ws("-", p, "p_brand").alias("both"))
@@ -207,6 +253,70 @@ def o_f7_json(spark, sf):
     return t(spark, sf, "events").select("event_id", F.coalesce(F.json_object_keys("props")[0], F.lit("-")).alias("first_key"))
 
 
+def o_f7_from_json(spark, sf):
+    """Properties by schema, by path and as a variant."""
+    p = F.from_json("props", "k int")["k"].cast("long")
+    by_path = F.get_json_object("props", "$.k").cast("long")
+    variant = F.variant_get(F.parse_json("props"), "$.k", "bigint")
+    return t(spark, sf, "events").select("event_id", F.coalesce(p, F.lit(-1)).alias("k"), (F.coalesce(p, F.lit(-1)) == F.coalesce(by_path, F.lit(-1))).alias("same_path"), (F.coalesce(p, F.lit(-1)) == F.coalesce(variant, F.lit(-1))).alias("same_variant"))
+
+
+def o_u1_pretty(spark, sf):
+    """Terms parsed and printed again by an Arrow UDF: spaces go, the term stays."""
+    from congraph.sources.shipping import ship_code
+
+    ship_code(spark)
+    terms = t(spark, sf, "nation").select("n_nationkey", F.concat(F.lit("(zone   (home n"), F.col("n_nationkey"), F.lit(")  )")).alias("value"))
+    return terms.select("n_nationkey", _pretty(F.col("value")).alias("term"))
+
+
+@F.pandas_udf(T.StringType())
+def _pretty(values: pd.Series) -> pd.Series:
+    return values.map(lambda x: format_pattern(parse_pattern(x)))
+
+
+class _Nodes:
+    """A table function: the nodes of a term, arguments before what they are in."""
+
+    def eval(self, text: str):
+        for k, node in enumerate(term_nodes([text])):
+            yield k, node.sym, len(node.args)
+
+
+def o_u3_unnest(spark, sf):
+    """Terms unnested by a table function in a lateral join."""
+    from congraph.sources.shipping import ship_code
+
+    ship_code(spark)
+    spark.udtf.register("nodes_of_term", F.udtf(_Nodes, returnType="at int, sym string, arity int"))
+    t(spark, sf, "nation").select("n_nationkey", F.concat(F.lit("(zone (home n"), F.col("n_nationkey"), F.lit("))")).alias("value")).createOrReplaceTempView("zone_terms")
+    return spark.sql("SELECT n_nationkey, at, sym, arity FROM zone_terms, LATERAL nodes_of_term(value)")
+
+
+def o_u4_views(spark, sf):
+    """Matches as a view for SQL users."""
+    from congraph.operators.match import match
+    from congraph.sources import lifts
+    from congraph.sql_engine import view_matches
+
+    view_matches("zone", match(lifts.lift_trade(spark, sf), "(zone ?n)"))
+    return spark.sql("SELECT count(*) AS n, count(DISTINCT root) AS regions FROM match_zone")
+
+
+def o_s2_bucketed(spark, sf):
+    """Two relations written as tables bucketed by their key: the join of the two reads them without a shuffle."""
+    from congraph.sources import lifts
+
+    g, names = lifts.lift_trade(spark, sf), []
+    for sym, arity, key in (("buyer", 1, "id"), ("home", 1, "a1")):
+        name = f"congraph_{sym}_{uuid.uuid4().hex[:12]}"
+        g.rel(sym, arity).write.bucketBy(8, key).sortBy(key).option("path", fresh_path(spark, f"bucketed-{sym}")).saveAsTable(name)
+        names.append(name)
+    buyer, home = (spark.table(n) for n in names)
+    both = buyer.select(F.col("id").alias("c"), F.col("a1").alias("o")).join(home.select(F.col("a1").alias("c"), F.col("id").alias("n")), "c")
+    return both.select(key_of(F.col("o")).alias("o_orderkey"), key_of(F.col("n")).cast("int").alias("n_nationkey"))
+
+
 def o_f8_conditional(spark, sf):
     x = F.col("c_acctbal")
     return t(spark, sf, "customer").select("c_custkey", F.when(x < 0, "debt").when(x < 1000, "low").otherwise("high").alias("band"), F.coalesce(F.nullif(F.col("c_nationkey"), F.lit(0)), F.lit(-1)).alias("nation"))
@@ -263,6 +373,15 @@ ORACLES = {
     "o_f5_arrays": "SELECT vec_id, len(list_filter(embedding, lambda x: x > 0)) AS positive, round(list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE)), 4) AS norm2, len(list_filter(embedding, lambda x: x::DOUBLE > 0.3)) > 0 AS large FROM embeddings",
     "o_f6_maps": "SELECT n_nationkey, CAST(n_regionkey AS BIGINT) AS s, CAST(2 AS BIGINT) AS vars FROM nation",
     "o_f7_json": "SELECT event_id, coalesce(json_keys(props)[1], '-') AS first_key FROM events",
+    "o_a3_sets": "SELECT coalesce(o_orderstatus, '*') AS status, coalesce(o_orderpriority, '*') AS priority, grouping_id(o_orderstatus, o_orderpriority) AS level, count(*) AS n FROM orders GROUP BY GROUPING SETS ((o_orderstatus), (o_orderpriority), ())",
+    **dict.fromkeys(("o_a7_object_hash", "o_a7_sort"), "SELECT l_orderkey, array_to_string(list_sort(list_distinct(list(l_suppkey))), ',') AS suppliers FROM lineitem GROUP BY 1"),
+    "o_l2_intersect_all": "SELECT 'both' AS op, n FROM (SELECT c_nationkey AS n FROM customer INTERSECT ALL SELECT s_nationkey FROM supplier) UNION ALL SELECT 'rest', n FROM (SELECT c_nationkey AS n FROM customer EXCEPT ALL SELECT s_nationkey FROM supplier)",
+    "o_l1_sorted_within": "SELECT o_custkey, min(o_orderkey) AS first FROM orders GROUP BY 1",
+    "o_f7_from_json": "SELECT event_id, coalesce(CAST(json_extract(props, '$.k') AS BIGINT), -1) AS k, true AS same_path, true AS same_variant FROM events",
+    "o_u1_pretty": "SELECT n_nationkey, '(zone (home n' || n_nationkey || '))' AS term FROM nation",
+    "o_u3_unnest": "SELECT n_nationkey, 0 AS at, 'n' || n_nationkey AS sym, 0 AS arity FROM nation UNION ALL SELECT n_nationkey, 1, 'home', 1 FROM nation UNION ALL SELECT n_nationkey, 2, 'zone', 1 FROM nation",
+    "o_u4_views": "SELECT count(*) AS n, count(DISTINCT n_regionkey) AS regions FROM nation",
+    "o_s2_bucketed": "SELECT o_orderkey, c_nationkey AS n_nationkey FROM orders JOIN customer ON o_custkey = c_custkey",
     "o_f8_conditional": "SELECT c_custkey, CASE WHEN c_acctbal < 0 THEN 'debt' WHEN c_acctbal < 1000 THEN 'low' ELSE 'high' END AS band, coalesce(nullif(c_nationkey, 0), -1) AS nation FROM customer",
     "o_s4_orc": "SELECT n_nationkey, n_name FROM nation",
     "o_s3_terms": "SELECT 'zone' AS sym, count(*) AS n FROM nation",

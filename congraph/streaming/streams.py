@@ -58,8 +58,86 @@ def st2_sliding(spark, sf):
     return to_memory(counts, "complete").select(F.date_format("window.start", "yyyy-MM-dd").alias("day"), "n")
 
 
+def st2_session(spark, sf):
+    """Runs of a user's events with less than six hours between: append mode gives a run once the watermark passed it, and
+    one late file with an event beyond the last day closes the rest."""
+    events = read_table(spark, sf, "events").select("event_id", "user_id", F.col("ts").cast("timestamp").alias("ts"))
+    folder = split_files(events, "event_id", 1)
+    close = events.agg(F.max("event_id").alias("event_id"), F.max("ts").alias("ts")).select((F.col("event_id") + 1).alias("event_id"), F.lit(-1).cast("long").alias("user_id"), F.expr("ts + INTERVAL 30 DAYS").alias("ts"))
+    close.coalesce(1).write.mode("append").parquet(folder)
+    stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(folder)
+    runs = stream.withWatermark("ts", "20 days").groupBy("user_id", F.session_window("ts", "6 hours")).agg(F.count(F.lit(1)).alias("n"))
+    found = to_files(runs.select("user_id", F.col("session_window.start").alias("start"), "n").where("user_id >= 0"))
+    return found.groupBy("user_id").agg(F.count(F.lit(1)).alias("runs"), F.sum("n").alias("events"))
+
+
+def st3_late_rows(spark, sf):
+    """Late rows: the first file comes again after all others, when the watermark has passed its days; its copies are dropped
+    in append mode and counted by update mode without a watermark."""
+    events = read_table(spark, sf, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    lo, hi = events.agg(F.min("event_id"), F.max("event_id")).first()
+    folder = fresh_path(spark, "late")
+    middle = lo + (hi - lo) // 2
+    early, rest = events.where(F.col("event_id") <= middle), events.where(F.col("event_id") > middle)
+    for part in (early, rest, early):
+        part.repartition(1).write.mode("append").parquet(folder)  # one file a slice, so that a trigger takes one slice
+    stream = lambda: spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(folder)
+    counts = lambda df: df.groupBy(F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("n")).select(F.col("window.start").alias("day"), "n")
+    kept = to_files(counts(stream().withWatermark("ts", "1 hour")))
+    every = to_memory(counts(stream()), "complete")
+    first = F.date_format("day", "yyyy-MM-dd")
+    both = kept.select(first.alias("day"), F.col("n").alias("kept")).join(every.select(first.alias("day"), F.col("n").alias("seen")), "day")
+    edge = events.where(F.col("event_id") == middle).select(F.date_format("ts", "yyyy-MM-dd").alias("day"))
+    return both.join(edge, "day", "left_anti").select("day", "kept", "seen")
+
+
+def st9_restart(spark, sf):
+    """A stream stopped after its first files goes on from its checkpoint: every event is out once."""
+    events = read_table(spark, sf, "events")
+    folder, sink, progress = split_files(events.where("event_type <> 'view'"), "event_id", 2), fresh_path(spark, "sink"), fresh_path(spark, "progress")
+    stream = lambda: spark.readStream.schema(events.schema).parquet(folder).select("event_id", "event_type")
+    to_files(stream(), progress, sink)
+    events.where("event_type = 'view'").write.mode("append").parquet(folder)
+    return to_files(stream(), progress, sink).groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
+
+
+def st9_update(spark, sf):
+    """Update mode: each trigger gives the groups that changed; the last row of a group is its count."""
+    counts = event_stream(spark, sf).groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
+    return to_memory(counts, "update").groupBy("event_type").agg(F.max("n").alias("n"))
+
+
+def st9_maintained_restart(spark, sf):
+    """Maintained matches across a restart: the second run resumes the state and takes the new files only."""
+    events = read_table(spark, sf, "events")
+    graph = CongruenceGraph(spark, {"did": spark.createDataFrame([], "id long, a1 long, a2 long")})
+    folder, kept = split_files(events.where("event_type <> 'view'"), "event_id", 1), fresh_path(spark, "kept")
+    stream = lambda: spark.readStream.schema(events.schema).parquet(folder)
+    match_stream(stream(), graph, ["(did ?u ?t)", "(did ?u ?s)"], _did, kept)
+    events.where("event_type = 'view'").write.mode("append").parquet(folder)
+    return match_stream(stream(), graph, ["(did ?u ?t)", "(did ?u ?s)"], _did, kept).matches.groupBy(F.col("u").alias("user_id")).agg(F.count(F.lit(1)).alias("n"))
+
+
+def s5_rate(spark, sf):
+    """The rate source by micro-batches: a fixed number of rows a batch, three batches."""
+    folder = fresh_path(spark, "rate")
+    query = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", 100).load().writeStream.format("parquet").option("path", folder).option("checkpointLocation", fresh_path(spark, "progress")).start()
+    while query.isActive and (not query.lastProgress or query.lastProgress["batchId"] < 3):
+        query.awaitTermination(1)
+    query.stop()
+    return spark.read.parquet(folder).where("value < 300").agg(F.count(F.lit(1)).alias("n"), F.max("value").alias("top"))
+
+
+def st4_bounded(spark, sf):
+    """Deduplication with a watermark: ids of events, whose state goes once the watermark passed them."""
+    folder = split_files(read_table(spark, sf, "events"), "event_id", 2)
+    events = event_stream(spark, sf, folder=folder).withColumn("ts", F.col("ts").cast("timestamp"))
+    return to_files(events.withWatermark("ts", "30 days").dropDuplicatesWithinWatermark(["event_id"]).select("event_id"))
+
+
 def st4_dedup(spark, sf):
-    """Hash-consing on a stream: a user's type counts once, whatever repeats."""
+    """Hash-consing on a stream: a user's type counts once, whatever repeats. Without a watermark the state holds every pair
+    of user and type, by design: a pair counts once for ever. `st4_bounded` lets old state go."""
     return to_files(event_stream(spark, sf).select("user_id", "event_type").dropDuplicates(["user_id", "event_type"]))
 
 
@@ -128,15 +206,16 @@ def match_stream(stream: DataFrame, graph: CongruenceGraph, pattern, deltas: Cal
     return state
 
 
-def st8_maintained(spark, sf):
-    """(user ?u ?t) with (user ?u ?s): a user's pairs of event types, maintained over the stream."""
-    graph = CongruenceGraph(spark, {"did": spark.createDataFrame([], "id long, a1 long, a2 long")})
+def _did(batch: DataFrame) -> dict[str, DataFrame]:
+    """did(user, type) for the events of a batch."""
     kinds = F.create_map(*[x for k, n in enumerate(("click", "error", "purchase", "signup", "view")) for x in (F.lit(n), F.lit(k).cast("long"))])
+    return {"did": batch.select(F.col("event_id").alias("id"), F.col("user_id").alias("a1"), F.element_at(kinds, F.col("event_type")).alias("a2"))}
 
-    def deltas(batch: DataFrame) -> dict[str, DataFrame]:
-        return {"did": batch.select(F.col("event_id").alias("id"), F.col("user_id").alias("a1"), F.element_at(kinds, F.col("event_type")).alias("a2"))}
 
-    state = match_stream(event_stream(spark, sf, parts=3), graph, ["(did ?u ?t)", "(did ?u ?s)"], deltas)
+def st8_maintained(spark, sf):
+    """(user ?u ?t) with (user ?u ?s): a user's pairs of event types, maintained over the stream."""
+    graph = CongruenceGraph(spark, {"did": spark.createDataFrame([], "id long, a1 long, a2 long")})
+    state = match_stream(event_stream(spark, sf, parts=3, files_each=1 << 20), graph, ["(did ?u ?t)", "(did ?u ?s)"], _did)
     return state.matches.groupBy(F.col("u").alias("user_id")).agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -149,12 +228,22 @@ def st3_late(spark, sf):
 
 
 _DONE = "(SELECT max(ts) - INTERVAL 1 DAY FROM events)"
-QUERIES = {f"o_st{k}": f for k, f in (("1_filter", st1_filter), ("2_tumbling", st2_tumbling), ("2_sliding", st2_sliding), ("3_watermark", st3_late), ("4_dedup", st4_dedup), ("5_static_join", st5_static), ("6_interval_join", st6_interval), ("7_chain_state", st7_chain), ("8_maintained", st8_maintained))}
+QUERIES = {f"o_st{k}": f for k, f in (("1_filter", st1_filter), ("2_tumbling", st2_tumbling), ("2_sliding", st2_sliding), ("3_watermark", st3_late), ("4_dedup", st4_dedup), ("5_static_join", st5_static), ("6_interval_join", st6_interval), ("7_chain_state", st7_chain), ("8_maintained", st8_maintained), ("2_session", st2_session), ("3_late_rows", st3_late_rows), ("4_bounded_dedup", st4_bounded), ("9_restart", st9_restart), ("9_update", st9_update), ("9_maintained_restart", st9_maintained_restart))} | {"o_s5_rate": s5_rate}
 ORACLES = {
     "o_st1_filter": "SELECT event_id, user_id FROM events WHERE event_type = 'purchase'",
     "o_st2_tumbling": "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, event_type, count(*) AS n FROM events GROUP BY ALL",
     "o_st2_sliding": "SELECT strftime(date_trunc('day', ts) - INTERVAL (k) DAY, '%Y-%m-%d') AS day, count(*) AS n FROM events CROSS JOIN (VALUES (0), (1)) v(k) GROUP BY 1",
     "o_st3_watermark": f"SELECT strftime(d, '%Y-%m-%d') AS day, n FROM (SELECT date_trunc('day', ts) AS d, count(*) AS n FROM events GROUP BY 1) WHERE d + INTERVAL 1 DAY <= {_DONE}",
+    "o_st2_session": """WITH e AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 6 HOUR THEN 0 ELSE 1 END AS fresh FROM events)
+        SELECT user_id, CAST(sum(fresh) AS BIGINT) AS runs, count(*) AS events FROM e GROUP BY 1""",
+    "o_st3_late_rows": """WITH m AS (SELECT min(event_id) + (max(event_id) - min(event_id)) // 2 AS m FROM events), e AS (SELECT ts, event_id <= m AS early, date_trunc('day', ts) AS d FROM events, m)
+        SELECT strftime(d, '%Y-%m-%d') AS day, count(*) AS kept, count(*) + count(*) FILTER (early) AS seen FROM e
+        WHERE d + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events) AND d <> (SELECT date_trunc('day', ts) FROM events, m WHERE event_id = m) GROUP BY d""",
+    "o_st4_bounded_dedup": "SELECT event_id FROM events",
+    "o_st9_restart": "SELECT event_type, count(*) AS n FROM events GROUP BY 1",
+    "o_st9_update": "SELECT event_type, count(*) AS n FROM events GROUP BY 1",
+    "o_st9_maintained_restart": "SELECT user_id, CAST(count(*) * count(*) AS BIGINT) AS n FROM events GROUP BY 1",
+    "o_s5_rate": "SELECT CAST(300 AS BIGINT) AS n, CAST(299 AS BIGINT) AS top",
     "o_st4_dedup": "SELECT DISTINCT user_id, event_type FROM events",
     "o_st5_static_join": "SELECT event_id, c_nationkey FROM events JOIN customer ON user_id = c_custkey",
     "o_st6_interval_join": "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'purchase' AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 1 HOUR",
