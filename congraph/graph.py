@@ -31,11 +31,14 @@ class CongruenceGraph:
         self.find_map, self.congruent, self.version = find_map, congruent, version
         self._sizes: dict[tuple[str, int], int] = {}
         self._constants: dict[str, int | None] = {}
+        self._stored: dict[tuple[str, int], DataFrame] = {}
 
     # -- forms -------------------------------------------------------------------------------------------
     def rel(self, sym: str, arity: int) -> DataFrame:
         """id, a1 .. ak; a symbol that the graph lacks gives no rows."""
         names = columns_of(arity)
+        if (sym, arity) in self._stored:
+            return self._stored[sym, arity]
         if self._nodes is None:
             df = self._relations.get(sym)
             if df is None or len(df.columns) != arity + 1:
@@ -44,6 +47,13 @@ class CongruenceGraph:
         at = self._nodes.where((F.col("sym") == sym) & (F.size("args") == arity))
         return at.select(F.col("cls").alias("id"), *[F.col("args")[k].alias(f"a{k + 1}") for k in range(arity)])
 
+    def store(self, symbols: Iterable[tuple[str, int]]) -> None:
+        """Writes the relations that a lift derives, once for each graph: what reads them often then reads files. Relations of
+        a graph of nodes are filters of a written table already."""
+        for sym, arity in symbols:
+            if self._nodes is None and sym in self._relations and (sym, arity) not in self._stored:
+                self._stored[sym, arity] = cut(self.rel(sym, arity), f"rel-{sym}")
+
     @property
     def nodes(self) -> DataFrame:
         if self._nodes is not None:

@@ -5,12 +5,14 @@ from itertools import product
 
 import pytest
 
+from congraph.operators.shares import HashTrie, SortedTrie
 from congraph.plans.compile import compile_multi, compile_pattern, query
-from congraph.plans.cover import agm_bound, fd_bound, fractional_cover, integral_cover_bound, output_bound, product_bound
+from congraph.plans.cover import agm_bound, fd_bound, fractional_cover, integral_cover_bound, output_bound, prefix_bound, product_bound
 from congraph.plans.order import order_variables
 from congraph.plans.shape import classify, fd_graph, join_tree
 from congraph.rules_algebra import PATTERNS as ALGEBRA
 from congraph.rules_binding import PATTERNS as BINDER
+from congraph.sources.files import _ident
 from congraph.terms import depth, format_pattern, occurrences, parse_pattern
 
 TRIANGLE = query("xyz", [("R", "xy"), ("S", "yz"), ("T", "zx")])
@@ -79,6 +81,40 @@ def test_orders():
     assert strict == [("a",), ("_n0",), ("_n1",), ("root",)]
 
 
+def test_order_by_bound_keeps_prefixes_within_the_output():
+    """The cyclic pattern on relations of unequal sizes: no prefix may exceed the lines, and none crosses what shares nothing."""
+    cq = compile_pattern("(lane (home (payer ?l)) (home (vendor ?l)))")
+    sizes = {a.alias: {"lane": 625, "home": 1600}.get(a.sym, 60_000) for a in cq.atoms}
+    bound: list[str] = []
+    for (v,) in order_variables(cq, sizes):
+        assert not bound or any(v in a.vars and set(a.vars) & set(bound) for a in cq.atoms)
+        bound.append(v)
+        assert prefix_bound(cq, sizes, bound) <= 60_000 * 1.001
+    paper = [v for g in order_variables(cq, sizes, policy="paper") for v in g]
+    assert max(prefix_bound(cq, sizes, paper[: k + 1]) for k in range(len(paper))) > 60_000
+
+
+def test_terms_of_any_depth():
+    text = "o"
+    for k in range(5000):
+        text = f"(add {text} o{k})"
+    found: dict = {}
+    _ident(parse_pattern(text), found)
+    assert len(found) == 10_001
+
+
+@pytest.mark.parametrize("trie", [HashTrie, SortedTrie])
+def test_tries_count_next_values(trie):
+    rows = [(a, b, c) for a in range(3) for b in range(a + 1) for c in range(5)]
+    t = trie(rows, 3)
+    assert t.count(t.top) == 3
+    for a in range(3):
+        under = t.step(t.top, a)
+        assert t.count(under) == a + 1 == len(list(t.values(under)))
+        assert t.count(t.step(under, 0)) == 5
+    assert t.step(t.top, 9) is None
+
+
 def test_batching_lowers_rounds():
     cq = query("xyzw", [("R", "xya"), ("S", "azw")])
     sizes = {"r0": 9, "r1": 9}

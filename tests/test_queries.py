@@ -8,7 +8,7 @@ import pytest
 import __spark_entry__ as entry
 
 SF = "/root/testdata/sf0.001"
-NAMES = ["w01_running_example_shares", "w02_trade_nonlinear_extension", "w03_cyclic_hybrid", "w04_linear_chain_reduced", "w07_triangle", "w08_hub_triangle", "w10_condition_extension", "w18_dialog", "w20_events_binary", "w29_sql_running", "o_j8_range", "o_j9_asof", "o_a3_cube", "o_st4_dedup", "g_count_terms", "c_visited"]
+NAMES = ["w01_running_example_shares", "w02_trade_nonlinear_extension", "w03_cyclic_hybrid", "w04_linear_chain_reduced", "w07_triangle", "w08_hub_triangle", "w10_condition_extension", "w18_dialog", "w20_events_binary", "w29_sql_running", "o_j8_range", "o_j9_asof", "o_a3_cube", "o_st4_dedup", "g_count_terms", "c_visited", "w30_cycle_with_ears_hybrid", "b4_shared_applications", "g_represented", "g_insert_terms", "c_candidates", "w21_incremental_orders", "o_st9_maintained_restart"]
 pytestmark = pytest.mark.skipif(not os.path.isdir(SF), reason="given tables are absent")
 
 
