@@ -10,7 +10,6 @@ from urllib.parse import urlparse
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from congraph.sources.shipping import ship_code
 
@@ -128,19 +127,16 @@ def bucket_bounds(df: DataFrame, id_col: str, buckets: int) -> list[int]:
 
 
 def bucket_of(col: Column, bounds: list[int]) -> Column:
-    """Number of bounds that lie below the id, so that buckets follow the order of ids."""
-    if not bounds:
-        return F.lit(0)
-    width = len(bounds)
+    """Number of bounds that lie below the id, so that buckets follow the order of ids; null ids come last. A search tree of
+    comparisons, as deep as the logarithm of the number of bounds."""
 
-    @F.pandas_udf(T.IntegerType())
-    def find(ids):
-        import numpy as np
-        import pandas as pd
+    def between(lo: int, hi: int) -> Column:
+        if lo == hi:
+            return F.lit(lo)
+        mid = (lo + hi) // 2
+        return F.when(col <= F.lit(bounds[mid]), between(lo, mid)).otherwise(between(mid + 1, hi))
 
-        return pd.Series(np.searchsorted(np.asarray(bounds), ids.to_numpy(), side="left").astype("int32"))
-
-    return F.when(F.lit(width > 0), find(col))
+    return between(0, len(bounds))
 
 
 def bucket_index(value: int, bounds: list[int]) -> int:

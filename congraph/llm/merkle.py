@@ -1,23 +1,24 @@
 """Merkle fingerprints of documents: sections, paragraphs, segments.
 
 Paragraphs are lines; a section is a run of paragraphs that ends where a paragraph's hash says so (one in four
-on average) or at a blank line, so that an insertion shifts no later section. Segments, the leaves, are
-sentences cut into runs of at most four words. Every byte is in a leaf, so equal roots mean equal texts, and
-comparing trees from the top finds the branches that differ.
+on average) or at a blank line. Segments, the leaves, are runs of words that end where a word's own bytes say so
+(four words on average), so that an insertion shifts no later segment, paragraph or section. Every byte is in a leaf, so
+equal roots mean equal texts, and comparing trees from the top finds the branches that differ.
 
-A fingerprint is `root.tree`: 32 hex digits of the root, then, in base 64, the short hashes of the leaves under
-their paragraphs and sections. Likeness is the share of leaves, as multisets, that two trees have in common.
+A fingerprint is `root.tree`: 32 hex digits of the root, then, in base 64, short hashes of the sections, of their
+paragraphs and of the leaves below. Likeness descends two trees: sections that both have count with all their leaves, of
+the others the paragraphs that both have do, and only what then differs is compared leaf by leaf, as multisets.
 
 Cases: null text = empty text, a tree without leaves; two empty trees are alike (1.0), an empty and another
 are not (0.0); repeated doc_ids are ordered by text, each with the next row as its next document; a table of one row has
-itself as next; an empty table gives no rows; further columns are left alone.
+itself as next; a text whose words all look alike may have long segments; an empty table gives no rows; further columns are
+left alone.
 """
 
 from __future__ import annotations
 
 import base64
 import hashlib
-import re
 from collections import Counter
 from collections.abc import Iterator
 
@@ -28,40 +29,46 @@ from pyspark.sql import functions as F
 
 from congraph.llm.common import bucket_bounds, bucket_of, doc_text, partitions_for
 
-#: Words of a segment at most; a section ends after a paragraph whose hash is 0 in this modulus.
-SEGMENT_WORDS, SECTION_EVERY = 4, 4
-_NODE = 16
+#: A segment ends after a word, a section after a paragraph, whose hash is 0 in this modulus.
+SEGMENT_EVERY, SECTION_EVERY = 4, 4
+_NODE, _SHORT = 16, 4
 
 Tree = list[list[list[bytes]]]
 
 
-def _segments(paragraph: str) -> list[str]:
-    """The paragraph in pieces that join to it again."""
-    out = []
-    for sentence in re.split(r"(?<=[.!?])(?= )", paragraph):
-        words = sentence.split(" ")
-        if len(words) <= SEGMENT_WORDS:
-            out.append(sentence)
-        else:
-            out.extend(" ".join(words[a : a + SEGMENT_WORDS]) + " " * (a + SEGMENT_WORDS < len(words)) for a in range(0, len(words), SEGMENT_WORDS))
-    return out
+def segments(data: bytes) -> list[bytes]:
+    """The text in pieces that join to it again: cut at line ends, and after words by their last two bytes and length."""
+    points = np.frombuffer(data, "u1")
+    stops = np.flatnonzero((points == 0x20) | (points == 0x0A))
+    if not len(stops):
+        return [data] if data else []
+    size = np.diff(stops, prepend=-1)
+    last, before = (points[np.maximum(stops - k, 0)].astype("u4") for k in (1, 2))
+    hashed = (last * 0x9E3779B1 + before * 0x85EBCA77 + size.astype("u4") * 0xC2B2AE3D).astype("u4") >> np.uint32(16)
+    # A word of one or two bytes would look back into another.
+    hashed = np.where(size > 2, hashed, np.where(size > 1, last * np.uint32(7) + np.uint32(1), np.uint32(1)))
+    cut = [0, *(stops[(hashed % SEGMENT_EVERY == 0) | (points[stops] == 0x0A)] + 1).tolist()]
+    if cut[-1] < len(data):
+        cut.append(len(data))
+    return [data[a:b] for a, b in zip(cut, cut[1:])]
 
 
 def merkle_tree(text: str) -> Tree:
     """Leaf digests by paragraph by section."""
     sections: Tree = []
-    if not text:
-        return sections
     section: list[list[bytes]] = []
+    leaves: list[bytes] = []
     blake = hashlib.blake2b
-    for paragraph in re.split(r"(?<=\n)", text):
-        if not paragraph:
-            continue
-        leaves = [blake(x.encode("utf-8", "surrogatepass"), digest_size=_NODE).digest() for x in _segments(paragraph)]
+    for piece in segments(text.encode("utf-8", "surrogatepass")):
+        leaves.append(blake(piece, digest_size=_NODE).digest())
+        if piece[-1] == 0x0A:
+            section.append(leaves)
+            if leaves[-1][0] % SECTION_EVERY == 0 or piece == b"\n" and len(leaves) == 1:
+                sections.append(section)
+                section = []
+            leaves = []
+    if leaves:
         section.append(leaves)
-        if paragraph == "\n" or leaves[-1][0] % SECTION_EVERY == 0:
-            sections.append(section)
-            section = []
     if section:
         sections.append(section)
     return sections
@@ -78,59 +85,97 @@ def node_digests(tree: Tree) -> tuple[bytes, list[bytes], list[list[bytes]]]:
     return _join(b"r", sections), sections, paragraphs
 
 
+class Mark:
+    """A fingerprint's tree: short hashes of sections, paragraphs and leaves, with the paragraphs of each section and the
+    leaves of each paragraph as ranges."""
+
+    __slots__ = ("root", "sections", "paragraphs", "leaves", "_counted")
+
+    def __init__(self, root: str, sections: list[tuple[bytes, int, int]], paragraphs: list[tuple[bytes, int, int]], leaves: np.ndarray):
+        self.root, self.sections, self.paragraphs, self.leaves = root, sections, paragraphs, leaves
+        self._counted = None
+
+    @staticmethod
+    def of(tree: Tree) -> Mark:
+        root, sections, paragraphs = node_digests(tree)
+        out, rows, data, n = [], [], [], 0
+        for digest, section, own in zip(sections, tree, paragraphs):
+            out.append((digest[:_SHORT], len(rows), len(rows) + len(section)))
+            for d, leaves in zip(own, section):
+                rows.append((d[:_SHORT], n, n + len(leaves)))
+                n += len(leaves)
+                data.extend(x[:_SHORT] for x in leaves)
+        return Mark(root.hex(), out, rows, np.frombuffer(b"".join(data), "<u4"))
+
+    def text(self) -> str:
+        """`root.tree`, from which `parse` makes the mark again."""
+        head = [len(self.sections), *(b - a for _, a, b in self.sections), *(b - a for _, a, b in self.paragraphs)]
+        nodes = b"".join(d for d, _, _ in (*self.sections, *self.paragraphs))
+        return f"{self.root}.{base64.b64encode(np.array(head, '<u4').tobytes() + nodes + self.leaves.tobytes()).decode()}"
+
+    @staticmethod
+    def parse(print_: str) -> Mark:
+        root, _, tree = print_.partition(".")
+        data = base64.b64decode(tree)
+        number = lambda at, n: np.frombuffer(data, "<u4", n, 4 * at).tolist()
+        k = number(0, 1)[0]
+        wide = number(1, k)
+        long = number(1 + k, sum(wide))
+        at = 4 * (1 + k + len(long))
+
+        def ranges(sizes: list[int], at: int) -> list[tuple[bytes, int, int]]:
+            ends = np.cumsum(sizes, dtype="i8").tolist()
+            return [(data[at + _SHORT * i : at + _SHORT * (i + 1)], e - n, e) for i, (n, e) in enumerate(zip(sizes, ends))]
+
+        sections, paragraphs = ranges(wide, at), ranges(long, at + _SHORT * k)
+        return Mark(root, sections, paragraphs, np.frombuffer(data, "<u4", offset=at + _SHORT * (k + len(long))))
+
+    def counted(self, rows: list[tuple[bytes, int, int]]) -> tuple[np.ndarray, np.ndarray]:
+        """Distinct leaves of some paragraphs and how often each occurs."""
+        if len(rows) < len(self.paragraphs):
+            return np.unique(np.concatenate([self.leaves[a:b] for _, a, b in rows] or [self.leaves[:0]]), return_counts=True)
+        if self._counted is None:
+            self._counted = np.unique(self.leaves, return_counts=True)
+        return self._counted
+
+
 def fingerprint(tree: Tree) -> str:
-    """Root and short leaf hashes; a count opens each paragraph, its top bit marks a new section."""
-    root, _, _ = node_digests(tree)
-    out = bytearray()
-    for section in tree:
-        for k, leaves in enumerate(section):
-            n = len(leaves)
-            out += bytes([0x80 * (k == 0) + min(n, 127)]) + (n.to_bytes(4, "little") if n >= 127 else b"")
-            out += b"".join(x[:4] for x in leaves)
-    return f"{root.hex()}.{base64.b64encode(bytes(out)).decode()}"
-
-
-def leaf_hashes(print_: str) -> list[list[list[bytes]]]:
-    """Short leaf hashes of a fingerprint, by paragraph by section."""
-    data, at, out = base64.b64decode(print_.partition(".")[2]), 0, []
-    while at < len(data):
-        n, fresh = data[at] & 0x7F, data[at] & 0x80
-        at += 1
-        if n == 127:
-            n, at = int.from_bytes(data[at : at + 4], "little"), at + 4
-        if fresh:
-            out.append([])
-        out[-1].append([data[at + 4 * k : at + 4 * k + 4] for k in range(n)])
-        at += 4 * n
-    return out
+    return Mark.of(tree).text()
 
 
-def _flat(print_: str) -> np.ndarray:
-    data = base64.b64decode(print_.partition(".")[2])
-    at, parts = 0, []
-    while at < len(data):
-        n = data[at] & 0x7F
-        at += 1
-        if n == 127:
-            n, at = int.from_bytes(data[at : at + 4], "little"), at + 4
-        parts.append(data[at : at + 4 * n])
-        at += 4 * n
-    return np.frombuffer(b"".join(parts), "<u4")
+def _without(own: list[tuple[bytes, int, int]], other: list[tuple[bytes, int, int]]) -> list[tuple[bytes, int, int]]:
+    """Nodes of `own` that `other` lacks, each as often as it lacks it."""
+    held = Counter(d for d, _, _ in other)
+    if not any(d in held for d, _, _ in own):
+        return own
+    out = []
+    for node in own:
+        if held[node[0]] > 0:
+            held[node[0]] -= 1
+        else:
+            out.append(node)
+    return out
 
 
-def likeness(a: str, b: str) -> float:
-    """0 to 1: common leaves, as multisets, of all leaves of both; from the fingerprints alone."""
-    if a == b:
+def alike(x: Mark, y: Mark) -> float:
+    """0 to 1: leaves in branches and leaves that both trees have, of all leaves of both."""
+    if x.root == y.root:
         return 1.0
-    return _alike(*(np.unique(_flat(x), return_counts=True) for x in (a, b)))
+    total = len(x.leaves) + len(y.leaves)
+    parts = []
+    for own, other in ((x, y), (y, x)):
+        open_ = _without(own.sections, other.sections)
+        parts.append(own.paragraphs if open_ is own.sections else [p for _, a, b in open_ for p in own.paragraphs[a:b]])
+    parts = [_without(parts[0], parts[1]), _without(parts[1], parts[0])]
+    differing = sum(b - a for _, a, b in (*parts[0], *parts[1]))
+    (u, n), (v, m) = (mark.counted(rows) for mark, rows in zip((x, y), parts))
+    _, i, j = np.intersect1d(u, v, assume_unique=True, return_indices=True)
+    return (total - differing + 2 * int(np.minimum(n[i], m[j]).sum())) / total
 
 
-def _alike(x: tuple[np.ndarray, np.ndarray], y: tuple[np.ndarray, np.ndarray]) -> float:
-    total = int(x[1].sum() + y[1].sum())
-    if not total:
-        return 1.0
-    _, i, j = np.intersect1d(x[0], y[0], assume_unique=True, return_indices=True)
-    return 2.0 * int(np.minimum(x[1][i], y[1][j]).sum()) / total
+def likeness(a: str, b: str) -> float:
+    """Likeness of two fingerprints, from the fingerprints alone."""
+    return 1.0 if a == b else alike(Mark.parse(a), Mark.parse(b))
 
 
 def edits(a: Tree, b: Tree) -> list[tuple[int, int]]:
@@ -161,13 +206,12 @@ def _prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     held, rows = None, []
 
     def row(now, after):
-        (doc, text, mark, leaves), (_, next_text, next_mark, next_leaves) = now, after
+        (doc, text, mark, shown), (_, next_text, next_mark, _) = now, after
         half = len(text) // 2
         edited = text[: len(text) - half] + next_text[:half]
-        edited_mark = mark if edited == text else fingerprint(merkle_tree(edited))
-        near = 1.0 if edited_mark == mark else _alike(leaves, np.unique(_flat(edited_mark), return_counts=True))
-        beside = 1.0 if next_mark == mark else _alike(leaves, next_leaves)
-        return doc, len(text), hashlib.sha256(edited.encode()).hexdigest(), mark, edited_mark, near, beside, mark[:32]
+        edited_mark = mark if edited == text else Mark.of(merkle_tree(edited))
+        edited_shown = shown if edited_mark is mark else edited_mark.text()
+        return doc, len(text), hashlib.sha256(edited.encode()).hexdigest(), shown, edited_shown, alike(mark, edited_mark), alike(mark, next_mark), mark.root
 
     def batch():
         types = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64(), pa.string())
@@ -176,8 +220,8 @@ def _prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for got in batches:
         for doc, text, guest in zip(*(got.column(c).to_pylist() for c in ("doc_id", "text", "guest"))):
             text = text.decode()
-            mark = fingerprint(merkle_tree(text))
-            now = (doc, text, mark, np.unique(_flat(mark), return_counts=True))
+            mark = Mark.of(merkle_tree(text))
+            now = (doc, text, mark, mark.text())
             if held is not None:
                 rows.append(row(held, now))
             held = None if guest else now

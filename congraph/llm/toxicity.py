@@ -145,32 +145,38 @@ class Restorer:
             got = self.kept[token] = decode(token, self.model)
         return got
 
-    def readings(self, text: str) -> list[str]:
-        """text: in lower case."""
-        out = []
-        for token in set(text.split()):
-            if token.isalpha() or token[:-1].isalpha() and token[-1] not in LEET:
-                continue
-            # A sign at either end may be a mark or a stand-in, so both cores are read.
-            body = token.lstrip("\"'[")
-            for core in {x.lstrip("\"'([") if cut else x for x in (_TAIL.sub("", body), body.rstrip(".,;:?\"')]")) for cut in (True, False)}:
-                if core.isalpha() or not core:
-                    continue
-                if any(c in LEET or c in _FILL for c in core) and any(c in LEET or c.isalpha() for c in core):
-                    out.append(self.reading(core))
-        if _DRAWN.search(text):
-            out.extend(self.reading(w) for w in {m.group() for m in _WORD.finditer(text)} if _DRAWN.search(w))
-        out.extend(self.reading(m.group()) for m in _APART.finditer(text))
-        return out
+    def cores(self, token: str) -> set[str]:
+        """What a disguised token may hold: a sign at either end may be a mark or a stand-in, so both are read. None: plain."""
+        if token.isalpha() or token[:-1].isalpha() and token[-1] not in LEET:
+            return set()
+        body = token.lstrip("\"'[")
+        cores = {x.lstrip("\"'([") if cut else x for x in (_TAIL.sub("", body), body.rstrip(".,;:?\"')]")) for cut in (True, False)}
+        return {c for c in cores if c and not c.isalpha() and any(x in LEET or x in _FILL for x in c) and any(x in LEET or x.isalpha() for x in c)}
 
     def words(self, text: str) -> set[str]:
-        """Distinct words of the restored text."""
-        text = text.lower()
-        words = set(_WORD.findall(text))
-        for x in self.readings(text):
-            words.update(_WORD.findall(x))
+        """Distinct words of the restored text: disguised tokens and runs of spaced letters stand as what they are read as."""
+        text, words = text.lower(), set()
+        apart = [m.group() for m in _APART.finditer(text)]
+        for run in apart:
+            words.update(_WORD.findall(self.reading(run)))
+        for token in set((_APART.sub(" ", text) if apart else text).split()):
+            if cores := self.cores(token):
+                for core in cores:
+                    words.update(_WORD.findall(self.reading(core)))
+            elif _DRAWN.search(token):
+                words.update(x for w in _WORD.findall(token) for x in _WORD.findall(self.reading(w) if _DRAWN.search(w) else w))
+            else:
+                words.update((token,) if token.isalpha() else _WORD.findall(token))
         return words
 
+    def readings(self, text: str) -> list[str]:
+        """text: in lower case. What its disguised parts are read as."""
+        out = [self.reading(m.group()) for m in _APART.finditer(text)]
+        for token in set(text.split()):
+            out.extend(self.reading(c) for c in self.cores(token))
+        out.extend(self.reading(w) for w in {m.group() for m in _WORD.finditer(text)} if _DRAWN.search(w))
+        return out
+
 
 def features_of(words: set[str]) -> set[str]:
     out = {"=" + w for w in words}
@@ -261,10 +267,9 @@ def held_out(doc_id: Column) -> Column:
     return F.crc32(doc_id.cast("string").cast("binary")) % 5 == 0
 
 
-def score_toxicity(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
-    """doc_id, held_out, score, predicted, one row for each row of docs."""
-    spark = docs.sparkSession
-    rows = doc_text(docs)
+def _fitted(rows: DataFrame, labels: DataFrame, sample: int) -> tuple | None:
+    """Broadcast character model, features and weights; None without labels."""
+    spark = rows.sparkSession
     model = spark.sparkContext.broadcast(character_model(rows))
     known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("label")).where("doc_id is not null and label in (0, 1)")
     known = known.where(~held_out(F.col("doc_id"))).orderBy(F.xxhash64("doc_id"), "doc_id", "label").limit(sample)
@@ -272,7 +277,7 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) ->
     train = written(rows.join(F.broadcast(known), "doc_id").select("text", "label"), "labelled").repartition(max(1, spark.sparkContext.defaultParallelism))
     sizes = {r.label: r.n for r in train.groupBy("label").agg(F.count(F.lit(1)).alias("n")).collect()}
     if not sizes:
-        return rows.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), F.lit(0.0).alias("score"), F.lit(0).alias("predicted"))
+        return None
     counted = train.mapInArrow(_count_features(model), "feature string, clean long, toxic long").groupBy("feature").agg(F.sum("clean").alias("clean"), F.sum("toxic").alias("toxic"))
     g2 = _g2(F.col("clean"), F.col("toxic"), sizes.get(0, 0), sizes.get(1, 0))
     best = counted.where("clean + toxic >= 5").withColumn("g2", g2).where(F.col("g2") >= LEAST_G2).orderBy(F.desc("g2"), "feature").limit(FEATURES)
@@ -280,11 +285,35 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) ->
     vocabulary = spark.sparkContext.broadcast(index)
     seen = train.mapInArrow(_presence(model, vocabulary), "label int, found array<int>").collect()
     weights = spark.sparkContext.broadcast(fit([r.found for r in seen], np.array([r.label for r in seen], "f8"), len(index)))
-    scored = rows.mapInArrow(_score(model, vocabulary, weights), "doc_id long, score double")
+    return model, vocabulary, weights
+
+
+def score_toxicity(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
+    """doc_id, held_out, score, predicted, one row for each row of docs."""
+    rows = doc_text(docs)
+    fitted = _fitted(rows, labels, sample)
+    if fitted is None:
+        scored = rows.select("doc_id", F.lit(0.0).alias("score"))
+    else:
+        scored = rows.mapInArrow(_score(*fitted), "doc_id long, score double")
     return scored.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
-def drop_toxic(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """docs without the rows that are predicted toxic."""
-    bad = score_toxicity(docs, labels).where("predicted = 1").select(F.col("doc_id").alias("_bad_id"))
-    return docs.join(bad, docs["doc_id"].cast("long") == bad["_bad_id"], "left_anti")
+def drop_toxic(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
+    """docs without the rows that are predicted toxic. Each row goes by its own text, whatever id it has."""
+    rows = doc_text(docs)
+    fitted = _fitted(rows, labels, sample)
+    if fitted is None:
+        return docs
+    name = next(x for x in (f"_text{k}" for k in range(len(docs.columns) + 1)) if x not in docs.columns)
+    score, columns = _score(*fitted), docs.columns
+
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            own = pa.record_batch([pa.nulls(batch.num_rows, pa.int64()), batch.column(name)], names=["doc_id", "text"])
+            for marks in score(iter([own])):
+                mask = pa.array(marks.column("score").to_numpy() < 0.5)
+                yield pa.record_batch([batch.column(c) for c in columns], names=columns).filter(mask)
+
+    text = F.coalesce(F.col("text").cast("string"), F.lit("")).cast("binary")
+    return docs.withColumn(name, text).mapInArrow(keep, docs.schema)

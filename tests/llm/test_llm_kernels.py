@@ -127,20 +127,65 @@ def test_filters_lose_no_link():
         assert np.abs(p - q).sum() <= len(a) + len(b) - 2 * ngram_join.least_overlap(len(a), len(b), 80)
 
 
+def prose(n, seed=3):
+    r = random.Random(seed)
+    words = ["".join(r.choice("abcdefghiklmnoprstu") for _ in range(r.randrange(2, 9))) for _ in range(400)]
+    return "\n".join(" ".join(r.choice(words) for _ in range(r.randrange(5, 60))) + "." for _ in range(n))
+
+
 def test_merkle_equality_edits_and_likeness():
-    text = "One two three. Four five six seven eight nine.\nSecond line here.\n\nThird part, a b c d e f g."
+    text = prose(40)
     tree = merkle.merkle_tree(text)
-    assert "".join("".join(merkle._segments(p)) for p in re.split(r"(?<=\n)", text)) == text
+    assert b"".join(merkle.segments(text.encode())) == text.encode()
     mark = merkle.fingerprint(tree)
     assert merkle.likeness(mark, mark) == 1.0 and merkle.edits(tree, tree) == []
-    other = text.replace("Second", "Other")
-    assert 0.5 < merkle.likeness(mark, merkle.fingerprint(merkle.merkle_tree(other))) < 1
-    assert len(merkle.edits(merkle.merkle_tree(other), tree)) == 1
+    at = text.index(" ", len(text) // 2)
+    other = merkle.merkle_tree(text[:at] + " inserted" + text[at:])
+    assert 0.95 < merkle.likeness(mark, merkle.fingerprint(other)) < 1
+    assert len(merkle.edits(other, tree)) == 1
+    # A word in front of a sentence of twelve shifts none of its later segments.
+    short = "The river runs below the old bridge where market people carry stones"
+    assert merkle.likeness(merkle.fingerprint(merkle.merkle_tree(short)), merkle.fingerprint(merkle.merkle_tree("Now " + short))) > 0.5
     assert merkle.likeness(mark, merkle.fingerprint(merkle.merkle_tree(""))) == 0.0
-    assert merkle.merkle_tree("") == []
-    assert [len(p) for s in merkle.leaf_hashes(mark) for p in s] == [len(p) for s in tree for p in s]
-    long = merkle.fingerprint(merkle.merkle_tree("w " * 4000))
-    assert sum(len(p) for s in merkle.leaf_hashes(long) for p in s) == len(merkle._flat(long)) > 127
+    assert merkle.merkle_tree("") == [] and merkle.likeness(merkle.fingerprint([]), merkle.fingerprint([])) == 1.0
+    back = merkle.Mark.parse(mark)
+    assert back.text() == mark and len(back.leaves) == sum(len(p) for s in tree for p in s)
+    assert [b - a for _, a, b in back.paragraphs] == [len(p) for s in tree for p in s]
+
+
+def test_likeness_is_the_common_leaves():
+    """Against the definition: of every shared section all leaves, of the rest shared paragraphs, then shared leaves."""
+    for seed in range(60):
+        r = random.Random(seed)
+        lines = prose(12, seed % 5).split("\n")
+        x, y = ("\n".join(r.choice(lines[:8]) for _ in range(r.randrange(1, 9))) for _ in range(2))
+        a, b = merkle.merkle_tree(x), merkle.merkle_tree(y)
+        key = lambda z: repr(z)
+        common, left = 0, []
+        sections = Counter(map(key, a)) & Counter(map(key, b))
+        for tree in (a, b):
+            held, rest = Counter(sections), []
+            for s in tree:
+                if held[key(s)]:
+                    held[key(s)] -= 1
+                    common += sum(map(len, s))
+                else:
+                    rest += s
+            left.append(rest)
+        shared = Counter(map(key, left[0])) & Counter(map(key, left[1]))
+        leaves = []
+        for rest in left:
+            held, out = Counter(shared), Counter()
+            for p in rest:
+                if held[key(p)]:
+                    held[key(p)] -= 1
+                    common += len(p)
+                else:
+                    out.update(p)
+            leaves.append(out)
+        common += 2 * sum((leaves[0] & leaves[1]).values())
+        total = sum(len(p) for t in (a, b) for s in t for p in s)
+        assert merkle.likeness(merkle.fingerprint(a), merkle.fingerprint(b)) == pytest.approx(common / total if total else 1.0)
 
 
 def brute_cut(odds, edges):

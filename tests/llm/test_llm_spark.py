@@ -30,6 +30,10 @@ def none(docs):
     return docs.limit(0)
 
 
+def spark_of(df):
+    return df.sparkSession
+
+
 def texts():
     return [(r[0], r[1] or "") for r in ROWS]
 
@@ -180,6 +184,14 @@ def test_shards(docs, none):
     assert set(slots) <= set(range(4)) and all(sorted(s) == list(range(len(s))) for s in slots.values())
     assert kd_shards.shard_documents(none).count() == 0
     total = sum(r.size for r in got)
+    assert {r.law for r in got} == {"bytes"}
+    # Cuts lie at weighted medians: a cut puts a half apart by one row's size at most, and three cuts lie above a shard at eight leaves.
+    even = [(3 * k, "w" * (5 + k * 7 % 90)) for k in range(400)]
+    sizes = collections.Counter()
+    for r in kd_shards.shard_documents(spark_of(docs).createDataFrame(even, "doc_id long, text string"), leaves=8).collect():
+        sizes[r.shard] += r.size
+    whole = sum(sizes.values())
+    assert len(sizes) == 8 and max(sizes.values()) - min(sizes.values()) <= 0.1 * whole / 8
     assert len({r.shard for r in kd_shards.shard_documents(docs, leaves=None, target_bytes=total // 3).collect()}) >= 3
 
 
@@ -251,18 +263,31 @@ def test_toxicity(docs, none, spark):
 
 
 def test_pipeline_stages_on_each_others_rows(spark, tmp_path):
+    """Toxic rows, copies, near copies and repeated ids, with columns of names that the stages use; then no rows at all."""
     import corpus_pipeline
 
-    spark.createDataFrame(ROWS, NAMES).write.parquet(f"{tmp_path}/documents.parquet")
-    spark.createDataFrame([(r[0], 1, 0) for r in ROWS], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    mild = ["the weather is mild and the sea is calm today", "we read a book about birds in the garden"]
+    rude = ["you are such an idiot and everyone here knows it", "what an idiot that man is they all said"]
+    marked = [(10_000 + k, (rude if k % 4 == 1 else mild)[k // 2 % 2 if k % 4 != 1 else k // 4 % 2] + f" number {k} " + " ".join(f"u{k}x{j}" for j in range(9))) for k in range(240)]
+    rows = [(r[0], r[1]) for r in ROWS if r[1] != "another text under one id"] + marked + [(20_000, "Y0u are an 1d10t my friend"), (20_000, "a calm sea and a mild wind")]
+    table = spark.createDataFrame(rows, "doc_id long, text string").withColumn("class", F.lit("x")).withColumn("score", F.lit(0.1)).withColumn("n", F.lit(3)).withColumn("_text0", F.lit(1))
+    table.write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(10_000 + k, 1, int(k % 4 == 1)) for k in range(240)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
     out = corpus_pipeline.run(spark, str(tmp_path)).collect()
     norm = lambda t: re.sub("[\x20\x09-\x0d]+", " ", t)
     first = {}
-    for i, t in sorted(texts()):
-        first.setdefault(norm(t), (i, t))
-    rows = sorted(set(first.values()))
-    _, find = brute_components(rows)
-    assert {r.doc_id for r in out} == {i for i, _ in rows if find(i) == i}
+    for i, t in sorted((i, t or "") for i, t in rows):
+        if "idiot" not in t and "1d10t" not in t:
+            first.setdefault(norm(t), (i, t))
+    stay = sorted(set(first.values()))
+    _, find = brute_components(stay)
+    expected = {i for i, _ in stay if find(i) == i}
+    assert {r.doc_id for r in out} == expected and 20_000 in expected and not any(10_000 + k in expected for k in range(1, 240, 4))
+    assert collections.Counter(r.doc_id for r in out if r.piece == 0) == collections.Counter(expected)
+    empty = tmp_path / "empty"
+    table.limit(0).write.parquet(f"{empty}/documents.parquet")
+    spark.read.parquet(f"{tmp_path}/labels.parquet").limit(0).write.parquet(f"{empty}/labels.parquet")
+    assert corpus_pipeline.run(spark, str(empty)).count() == 0
 
 
 def test_null_ids_lose_no_row(spark):
