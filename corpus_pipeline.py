@@ -1,4 +1,10 @@
-"""A corpus pipeline: toxic documents go, then copies, then near copies; what stays is packed."""
+"""A corpus pipeline: toxic documents go, then copies, then near copies; what stays is packed.
+
+Cases, as in the operators: a null text is the empty one; a row is scored by its own text; of equal texts one row stays, that of
+the least doc_id, also among rows that repeat an id; of near copies likewise; rows without words link with nothing; rows with a
+null id are told apart by their texts; very long texts are read whole; an empty table gives no rows; further columns, whatever
+their names, go along up to the packing.
+"""
 
 from __future__ import annotations
 
