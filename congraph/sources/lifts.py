@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from congraph.closure import components
@@ -97,32 +97,43 @@ def lift_documents(spark: SparkSession, sf_dir: str) -> CongruenceGraph:
     return CongruenceGraph(spark, nodes=flat.nodes, find_map=components(document_merges(spark, sf_dir)), congruent=False)
 
 
+def _quoting(texts: DataFrame, items: DataFrame) -> DataFrame:
+    """(first, item_id): the text holds the item. A text that does holds every inner word of the item as a word, so it meets
+    the item under its longest inner word, and only then is searched; items without inner words are held against all."""
+    spaces = "[\\x20\\x09-\\x0D]+"
+    split = F.split("item", spaces)
+    inner = F.filter(split, lambda w, i: (i > 0) & (i < F.size(split) - 1) & (w != ""))
+    longest = F.element_at(F.array_sort(F.transform(inner, lambda w: F.struct((-F.length(w)).alias("n"), w.alias("w")))), 1)["w"]
+    keyed = items.withColumn("word", F.when(F.size(inner) > 0, longest))
+    words = texts.select("first", F.explode(F.array_distinct(F.split("text", spaces))).alias("word")).join(keyed.select("word", "item_id", "item"), "word")
+    long = words.select("first", "item_id", "item").join(texts, "first").where(F.contains("text", "item")).select("first", "item_id")
+    bare = texts.crossJoin(keyed.where("word is null").select("item_id", "item")).where(F.contains("text", "item")).select("first", "item_id")
+    return long.unionByName(bare)
+
+
 def lift_quotes(spark: SparkSession, sf_dir: str) -> CongruenceGraph:
-    """quotes(document, item): the document holds the benchmark item's text. Items are a small fixed set; the
-    join is a broadcast one, of a side whose size is checked."""
+    """quotes(document, item): the document holds the benchmark item's text."""
     items = read_table(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("item"))
-    if items.agg(F.sum(F.octet_length("item")).alias("n")).first().n > 64 << 20:
-        raise ValueError("benchmark texts are too large to compare each with all documents")
     d = read_table(spark, sf_dir, "documents").select("doc_id", "source", "text", F.sha2("text", 256).alias("digest"))
     first = d.groupBy("digest").agg(F.min("doc_id").alias("first"), F.min("text").alias("text"))
-    hits = first.join(F.broadcast(items), F.contains("text", "item")).select("first", "item_id")
+    hits = _quoting(first.select("first", "text"), items)
     origin = d.join(d.groupBy("digest").agg(F.min("doc_id").alias("first")), "digest").select("first", "source").distinct()
     quotes = hits.select(hash_id("item", F.lit("quotes"), F.col("first"), F.col("item_id")).alias("id"), _id("doc", "first").alias("d"), _id("bench", "item_id").alias("i"))
     return CongruenceGraph(spark, {"quotes": quotes, "from": origin.select(hash_id("item", F.lit("from"), F.col("first"), F.col("source")).alias("id"), _id("doc", "first").alias("d"), hash_id("source", F.col("source")).alias("s"))})
 
 
 def _chains(rows: DataFrame, group: str, order: list[str], parts: list[str], start) -> DataFrame:
-    """Rows of a hash-consed chain per group: id from everything up to a row, prev from everything before it.
+    """Rows of a hash-consed chain per group: own id from everything up to a row, prev from everything before it; at from 0.
 
-    A running list under each key would hold whole histories; a running hash needs only the row before, so it is
-    folded over the group's rows in order. Groups are one user or one conversation.
+    What a chain holds is the set of its (place, parts), so its hash is a running exclusive or over the group in order: a
+    window that keeps one number, however long a user's or a conversation's history is.
     """
-    listed = rows.groupBy(group).agg(F.array_sort(F.collect_list(F.struct(*order, *parts))).alias("rows"))
-    step = lambda acc, r: F.struct(F.xxhash64(acc["h"], *[r[p] for p in parts]).alias("h"), F.concat(acc["ids"], F.array(F.xxhash64(acc["h"], *[r[p] for p in parts]))).alias("ids"))
-    first = F.struct(start.alias("h"), F.array(start).alias("ids"))
-    ids = F.aggregate("rows", first, step)["ids"]
-    out = listed.select(group, "rows", ids.alias("ids")).select(group, F.posexplode("rows").alias("at", "r"), "ids")
-    return out.select(group, "at", *[F.col(f"r.{p}").alias(p) for p in parts], F.element_at("ids", F.col("at") + 1).alias("prev"), F.element_at("ids", F.col("at") + 2).alias("own"))
+    by = Window.partitionBy(group).orderBy(*order)
+    rows = rows.select(group, *order, *[p for p in parts if p not in order], F.row_number().over(by).alias("k"))
+    held = F.bit_xor(F.xxhash64("k", *parts)).over(by.rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    rows = rows.withColumn("own", F.xxhash64(start, F.col("k"), held))
+    prev = F.coalesce(F.lag("own").over(by), start)
+    return rows.select(group, (F.col("k") - 1).alias("at"), *parts, prev.alias("prev"), "own")
 
 
 def lift_events(spark: SparkSession, sf_dir: str, events: DataFrame | None = None) -> CongruenceGraph:

@@ -134,7 +134,7 @@ def w11(spark, sf, **o):
     df = match(lifts.lift_trade(spark, sf), BATCH, **o)
     orders = read_table(spark, sf, "orders")
     status, priority = (orders.select(F.col(c)).distinct().select(hash_id("value", F.col(c)).alias(i), c) for c, i in (("o_orderstatus", "status"), ("o_orderpriority", "priority")))
-    df = df.join(F.broadcast(status), "status").join(F.broadcast(priority), "priority")
+    df = df.join(status, "status").join(priority, "priority")
     return df.select(key_of(F.col("o")).alias("o_orderkey"), key_of(F.col("p")).alias("p_partkey"), key_of(F.col("s")).alias("s_suppkey"), "o_orderstatus", "o_orderpriority")
 
 
@@ -145,7 +145,7 @@ def w16(spark, sf):
 
 def _rated(spark, sf, df):
     sources = read_table(spark, sf, "documents").select("source").distinct().select(hash_id("source", F.col("source")).alias("s"), "source")
-    return df.join(F.broadcast(sources), "s").select(key_of(F.col("d")).alias("doc"), "source", key_of(F.col("q")).cast("int").alias("quality"), key_of(F.col("t")).cast("int").alias("toxic")).distinct()
+    return df.join(sources, "s").select(key_of(F.col("d")).alias("doc"), "source", key_of(F.col("q")).cast("int").alias("quality"), key_of(F.col("t")).cast("int").alias("toxic")).distinct()
 
 
 def w17(spark, sf, **o):
@@ -185,7 +185,7 @@ def w23(spark, sf, **o):
     g = lifts.lift_quotes(spark, sf)
     df = match(g, ["(quotes ?d ?i)", "(from ?d ?s)"], **o)
     sources = read_table(spark, sf, "documents").select("source").distinct().select(hash_id("source", F.col("source")).alias("s"), "source")
-    return df.join(F.broadcast(sources), "s").select(key_of(F.col("d")).alias("doc"), key_of(F.col("i")).alias("item_id"), "source")
+    return df.join(sources, "s").select(key_of(F.col("d")).alias("doc"), key_of(F.col("i")).alias("item_id"), "source")
 
 
 def w30(spark, sf, **o):
