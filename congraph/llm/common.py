@@ -41,10 +41,25 @@ def _remove_local(path: str) -> None:
 def written(df: DataFrame, name: str) -> DataFrame:
     """The rows of df, written once to the shared folder: a lost executor recomputes nothing before it."""
     path = work_dir(df.sparkSession, name)
-    df.write.parquet(path)
+    save(df, path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+#: Spark's setting that removes a plan's shuffle files when it has run.
+_CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
+def save(df: DataFrame, path: str) -> None:
+    """Writes df as Parquet. What it shuffled goes at once, as the rows now stand in the table; the setting is put back."""
+    conf = df.sparkSession.conf
+    old = conf.get(_CLEAN, None)
+    conf.set(_CLEAN, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        conf.unset(_CLEAN) if old is None else conf.set(_CLEAN, old)
+
+
 class Stages:
     """Written stages of one run; `clear` deletes them once what was built from them is written too."""
 
@@ -53,7 +68,7 @@ class Stages:
 
     def write(self, df: DataFrame, name: str) -> DataFrame:
         path = work_dir(self.spark, name)
-        df.write.parquet(path)
+        save(df, path)
         self.paths.append(path)
         return self.spark.read.schema(df.schema).parquet(path)
 
