@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from congraph.llm.common import SPACE_BYTES, doc_text, odd_ids, partitions_for, written
+from congraph.llm.common import SPACE_BYTES, doc_text, odd_ids, partitions_for, slices, written
 from congraph.llm.patricia import PatriciaTrie
 
 _TO_SPACE = bytes(0x20 if b in SPACE_BYTES else b for b in range(256))
@@ -46,7 +46,7 @@ def _column(batch: pa.RecordBatch, name: str) -> list:
 
 
 def _digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in slices(batches):
         texts = [normalised(t) for t in _column(batch, "text")]
         yield pa.record_batch(
             [
@@ -86,7 +86,7 @@ def _emit(trie: PatriciaTrie, rows: int = 2000, most: int = 16 << 20) -> Iterato
 def _merge_in_task(budget: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         trie = PatriciaTrie(1 << 62)
-        for batch in batches:
+        for batch in slices(batches):
             for doc, raw in zip(_column(batch, "doc_id"), _column(batch, "text")):
                 text = normalised(raw)
                 trie.insert(text, doc, 1, hashlib.sha256(text).digest())
@@ -100,7 +100,7 @@ def _merge_in_task(budget: int):
 def _owners(budget: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         trie = PatriciaTrie(budget)
-        for batch in batches:
+        for batch in slices(batches):
             for row in zip(*(_column(batch, c) for c in ("text", "owner", "n", "digest"))):
                 trie.insert(*row)
         out: list[tuple] = []
@@ -158,10 +158,12 @@ def drop_copies(docs: DataFrame) -> DataFrame:
     Rows whose doc_id repeats or is null are told apart by their texts.
     """
     classes = written(exact_classes(docs), "copies")
-    odd = odd_ids(classes).select(F.col("doc_id").alias("_id"))
+    odd = written(odd_ids(classes).select(F.col("doc_id").alias("_id")), "odd")
     own_id = docs["doc_id"].cast("long")
     plain = classes.where("kept").select(F.col("doc_id").alias("_id")).join(odd, "_id", "left_anti")
     known = docs.join(plain, own_id == plain["_id"], "left_semi")
+    if not odd.take(1):
+        return known
     text = F.coalesce(F.col("text").cast("string"), F.lit("")).cast("binary")
     rest = docs.join(odd, own_id.eqNullSafe(odd["_id"]), "left_semi").withColumn("_own_text", _digest_of(text))
     owners = classes.select("keep_id", F.col("text_sha256").alias("_owned")).distinct()

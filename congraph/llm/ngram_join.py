@@ -476,14 +476,16 @@ def drop_near_copies(docs: DataFrame, percent: int = 80, width: int = WIDTH) ->
     Rows whose doc_id repeats or is null are told apart by their sets.
     """
     tagged, least = _grouped(docs, percent, width)
-    odd = odd_ids(tagged)
+    odd = Stages(docs.sparkSession).write(odd_ids(tagged).select(F.col("doc_id").alias("_id")), "odd")
     wordless = tagged.where("n = 0").select("doc_id", F.col("class").alias("own"))
     chosen = least.select(F.col("least").alias("doc_id"), F.col("least_class").alias("own"))
-    plain = chosen.unionByName(wordless).select(F.col("doc_id").alias("_id")).where("_id is not null").join(odd.select(F.col("doc_id").alias("_id")), "_id", "left_anti")
+    plain = chosen.unionByName(wordless).select(F.col("doc_id").alias("_id")).where("_id is not null").join(odd, "_id", "left_anti")
     own_id = docs["doc_id"].cast("long")
     known = docs.join(plain, own_id == plain["_id"], "left_semi")
+    if not odd.take(1):
+        return known
     text = F.coalesce(F.col("text").cast("string"), F.lit("")).cast("binary")
-    rest = docs.join(odd.select(F.col("doc_id").alias("_id")), own_id.eqNullSafe(F.col("_id")), "left_semi").withColumn("_own", _class_of_text(width)(text))
+    rest = docs.join(odd, own_id.eqNullSafe(F.col("_id")), "left_semi").withColumn("_own", _class_of_text(width)(text))
     empty = F.col("_own") == class_of(np.empty(0, "u8"))
     one = rest.where(~empty).join(chosen, F.col("_own").eqNullSafe(chosen["own"]) & rest["doc_id"].cast("long").eqNullSafe(chosen["doc_id"]), "left_semi").dropDuplicates(["doc_id", "_own"])
     return known.unionByName(one.unionByName(rest.where(empty)).select(*docs.columns))

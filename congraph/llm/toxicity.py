@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from congraph.llm.common import doc_text, written
+from congraph.llm.common import doc_text, slices, written
 
 #: Most labelled rows that fitting reads.
 SAMPLE = 40_000
@@ -74,7 +74,7 @@ def trigram_counts(text: str) -> np.ndarray:
 
 def _count_trigrams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     total = np.zeros(LETTERS**3, "i8")
-    for batch in batches:
+    for batch in slices(batches):
         for text in batch.column("text").to_pylist():
             total += np.bincount(trigram_counts(text.decode()), minlength=LETTERS**3) if len(text) > 1 << 18 else 0
             if len(text) <= 1 << 18:
@@ -195,7 +195,7 @@ def _count_features(model):
             counts.clear()
             return pa.record_batch(columns, names=["feature", "clean", "toxic"])
 
-        for batch in batches:
+        for batch in slices(batches):
             for text, label in zip(batch.column("text").to_pylist(), batch.column("label").to_pylist()):
                 for x in features_of(restorer.words(text.decode())):
                     counts.setdefault(x, [0, 0])[label] += 1
@@ -210,7 +210,7 @@ def _count_features(model):
 def _presence(model, vocabulary):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         restorer, index = Restorer(model.value), vocabulary.value
-        for batch in batches:
+        for batch in slices(batches):
             rows = [sorted(index[x] for x in features_of(restorer.words(t.decode())) if x in index) for t in batch.column("text").to_pylist()]
             yield pa.record_batch([batch.column("label"), pa.array(rows, pa.list_(pa.int32()))], names=["label", "found"])
 
@@ -241,7 +241,7 @@ def _score(model, vocabulary, weights):
         restorer, index, w = Restorer(model.value), vocabulary.value, weights.value
         least = min(HEADS)
         heads = {x.lstrip("=")[:least] for x in index}
-        for batch in batches:
+        for batch in slices(batches):
             scores = []
             for text in batch.column("text").to_pylist():
                 words = {x for x in restorer.words(text.decode()) if x[:least] in heads}
@@ -305,15 +305,15 @@ def drop_toxic(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Data
     fitted = _fitted(rows, labels, sample)
     if fitted is None:
         return docs
-    name = next(x for x in (f"_text{k}" for k in range(len(docs.columns) + 1)) if x not in docs.columns)
-    score, columns = _score(*fitted), docs.columns
+    score = _score(*fitted)
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            own = pa.record_batch([pa.nulls(batch.num_rows, pa.int64()), batch.column(name)], names=["doc_id", "text"])
+        for batch in slices(batches):
+            text = batch.column("text")
+            text = (text if pa.types.is_string(text.type) else text.cast(pa.string())).fill_null("").cast(pa.binary())
+            own = pa.record_batch([pa.nulls(batch.num_rows, pa.int64()), text], names=["doc_id", "text"])
             for marks in score(iter([own])):
-                mask = pa.array(marks.column("score").to_numpy() < 0.5)
-                yield pa.record_batch([batch.column(c) for c in columns], names=columns).filter(mask)
+                yield batch.filter(pa.array(marks.column("score").to_numpy() < 0.5))
 
-    text = F.coalesce(F.col("text").cast("string"), F.lit("")).cast("binary")
-    return docs.withColumn(name, text).mapInArrow(keep, docs.schema)
+    # The rows pass whole; a slice of them at a time is looked at.
+    return docs.mapInArrow(keep, docs.schema)
