@@ -368,11 +368,12 @@ def c_bounds(spark, sf):
 
 
 def m_orders(spark, sf):
-    """Chosen orders as rows."""
+    """Chosen orders as rows: by the bounds of prefixes, and by occurrence and size."""
     g, rows = lifts.lift_trade(spark, sf), []
     for name, p in (("w02", "(ship ?s (home ?s))"), ("w03", "(kin (payer ?l) (vendor ?l))"), ("w04", "(zone (home (buyer ?o)))"), ("w11", BATCH)):
-        rows += [(name, k, " ".join(group)) for k, group in enumerate(match_order(g, p))]
-    return spark.createDataFrame(rows, "workload string, round int, variables string")
+        for policy in ("bound", "paper"):
+            rows += [(name, policy, k, " ".join(group)) for k, group in enumerate(match_order(g, p, policy=policy))]
+    return spark.createDataFrame(rows, "workload string, policy string, round int, variables string")
 
 
 def visited_by_search(spark, sf):
@@ -528,7 +529,16 @@ _SHIP = """SELECT DISTINCT s_suppkey, n_nationkey FROM (
     SELECT DISTINCT l_suppkey, c_nationkey FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey)
     JOIN supplier ON l_suppkey = s_suppkey AND c_nationkey = s_nationkey JOIN nation ON n_nationkey = s_nationkey"""
 
+#: By occurrence: variables of two atoms before those of one, ties by the smaller relation. By bound: no prefix larger than it need be.
+_ORDERS = {
+    ("w02", "bound"): "s,_n0,root", ("w02", "paper"): "s,_n0,root", ("w03", "bound"): "_n0,_n1,root,l", ("w03", "paper"): "_n0,_n1,l,root",
+    ("w04", "bound"): "_n0,root,_n1,o", ("w04", "paper"): "_n0,_n1,root,o", ("w11", "bound"): "o,status priority d,p s l", ("w11", "paper"): "o,status priority d,p s l",
+}
+
 ORACLES: dict[str, str] = {
+    "m_orders": "SELECT workload, policy, round, variables FROM (VALUES "
+    + ", ".join(f"('{w}', '{p}', {k}, '{v}')" for (w, p), order in _ORDERS.items() for k, v in enumerate(order.split(",")))
+    + ") v(workload, policy, round, variables)",
     # A chain of n orders has n - 1 sums; chains that begin alike share theirs, and a sum of a sum is a match.
     "w15_associativity": "WITH o AS (SELECT o_custkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderkey) AS k FROM orders) SELECT count(*) AS n FROM o WHERE k >= 3",
     "g_find_documents": "SELECT doc_id, rep FROM (SELECT doc_id, min(doc_id) OVER (PARTITION BY text) AS rep FROM documents) WHERE doc_id <> rep",

@@ -68,3 +68,19 @@ def test_a_chain_of_over_a_million_orders(spark, tmp_path):
     orders = spark.range(n + 3).selectExpr("id o_orderkey", f"case when id < {n} then 1 else 2 end o_custkey")
     orders.write.parquet(f"{tmp_path}/orders.parquet")
     assert entry.queries()["w15_associativity"](spark, str(tmp_path)).first().n == n - 2 + 1
+
+
+def test_tree_search_counts(spark, tmp_path):
+    """Classes of pages hold one node each, so both patterns can be counted node by node."""
+    from congraph.sources.markup import page_nodes, tree_search
+
+    pages = ["<ul><li><a>x</a></li><li><a>x</a></li><li>y</li></ul>", "<p>a</p><p>a</p><p>a</p>", None, "<div><br><br><li><a>q</a><b>z</b></li></div>"]
+    spark.createDataFrame([(k, h) for k, h in enumerate(pages)], "page_id long, html string").write.parquet(f"{tmp_path}/pages.parquet")
+    nodes = {}
+    for h in pages:
+        nodes.update(page_nodes(h or ""))
+    twice = sum(sym == "cons" and nodes[args[1]][0] == "cons" and nodes[args[1]][1][0] == args[0] for sym, args in nodes.values())
+    linked = sum(sym == "el_li" and nodes[args[0]][0] == "cons" and nodes[nodes[args[0]][1][0]][0] == "el_a" for sym, args in nodes.values())
+    for strategy in ("extension", "binary", "topdown"):
+        got = {r.pattern: r.n for r in tree_search(spark, str(tmp_path), strategy).collect()}
+        assert got == {"(cons ?a (cons ?a ?rest))": twice, "(el_li (cons (el_a ?x) ?r))": linked} and twice > 2 and linked == 2
