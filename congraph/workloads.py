@@ -13,7 +13,7 @@ from congraph.checkpoints import cut
 from congraph.closure import insert_terms, rebuild
 from congraph.graph import CongruenceGraph
 from congraph.incremental import MatchState, weighted
-from congraph.intern import hash_id, key_id, key_of, tag
+from congraph.intern import hash_collisions, hash_id, key_id, key_of, tag
 from congraph.operators.atoms import atom_frames
 from congraph.operators.extension import PrefixIndex
 from congraph.operators.match import compiled, match, match_many, match_order, match_stale
@@ -303,6 +303,14 @@ def g_delta(spark, sf):
     return new["app"].agg(F.count(F.lit(1)).alias("n"))
 
 
+def g_collisions(spark, sf):
+    """Hashed ids of lines that several lines share: none, or matches would be wrong."""
+    names = ["l_orderkey", "l_partkey", "l_suppkey"]
+    lines = read_table(spark, sf, "lineitem").select(*names).distinct()
+    lines = lines.select(hash_id("line", *map(F.col, names)).alias("id"), F.concat_ws("-", *names).alias("key"))
+    return hash_collisions(lines, "id", "key").agg(F.count(F.lit(1)).alias("n"))
+
+
 def w29_insert(spark, sf):
     """Insertion by the SQL engine: lines that the graph has are not added again."""
     g = lifts.lift_trade(spark, sf)
@@ -498,6 +506,7 @@ def workload_queries() -> tuple[dict[str, Query], dict[str, str]]:
         "b4_unshared": (partial(shared_many, share_prefix=False), "b4_many"),
         "g_insert_terms": (g_insert_terms, "g_insert_terms"),
         "g_represented": (g_represented, "g_represented"),
+        "g_hash_collisions": (g_collisions, "g_violations"),
         "g_relations_delta": (g_delta, "g_relations_delta"),
         "c_visited_by_search": (visited_by_search, "c_visited_by_search"),
         "c_output_bound": (c_output, "c_output_bound"),
