@@ -11,6 +11,8 @@ import os
 
 import numpy as np
 
+from congraph.llm.common import CACHES
+
 #: Pieces that a worker keeps; the cache starts anew beyond that.
 CACHE_PIECES = 600_000
 #: Letters below this code point lower-case to one letter and are stable under composition.
@@ -94,6 +96,7 @@ class PieceCache(dict):
 
 
 _KEPT: dict[tuple[str, bool], PieceCache] = {}
+CACHES.append(_KEPT)
 
 
 def encoder(name: str, words: bool, path: str | None = None) -> PieceCache:
