@@ -156,23 +156,36 @@ def st6_interval(spark, sf):
     return to_files(a.join(b, F.expr("u = user_id AND t2 >= t AND t2 <= t + INTERVAL 1 HOUR")).select("a", "b"))
 
 
+#: Users that one state of `ChainMatcher` holds, about: a call and a read and write of state cost as much for one user as for these.
+USERS_EACH = 2_000
+
+
 class ChainMatcher(StatefulProcessor):
-    """Keeps each user's last two types; a third event equal to the one two before is a match."""
+    """Keeps the last two types of each user of a bucket; a third event equal to the one two before is a match. A bucket's users
+    are taken together, sorted once and compared by columns."""
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.last = handle.getValueState("last", "k long, before string, last string")
+        self.last = handle.getValueState("last", "users array<long>, k array<long>, before array<string>, last array<string>")
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
-        events = pd.concat(list(rows)).sort_values(["ts", "event_id"])
-        k, before, last = self.last.get() if self.last.exists() else (0, "", "")
-        found = []
-        for kind in events["event_type"]:
-            k += 1
-            if k > 2 and kind == before:
-                found.append(k - 2)
-            before, last = last, kind
-        self.last.update((k, before, last))
-        yield pd.DataFrame({"user_id": pd.Series([key[0]] * len(found), dtype="int64"), "k": pd.Series(found, dtype="int64")})
+        events = pd.concat(list(rows)).sort_values(["user_id", "ts", "event_id"], ignore_index=True)
+        users, ks, befores, lasts = self.last.get() if self.last.exists() else ([], [], [], [])
+        kept = pd.DataFrame({"user_id": pd.Series(users, dtype="int64"), "k": pd.Series(ks, dtype="int64"), "before": pd.Series(befores, dtype=object), "last": pd.Series(lasts, dtype=object)})
+        by = events.groupby("user_id", sort=False)
+        own = events[["user_id"]].merge(kept, "left", "user_id")
+        place, held = by.cumcount(), own["k"].fillna(0).astype("int64")
+        one, two = by["event_type"].shift(1), by["event_type"].shift(2)
+        # The first two events of a user here follow what is kept.
+        one = one.where(place >= 1, own["last"])
+        two = two.where(place >= 2, own["last"].where(place == 1, own["before"]))
+        k = held + place + 1
+        found = (k > 2) & events["event_type"].notna() & (events["event_type"] == two)
+        end = ~events["user_id"].duplicated(keep="last")
+        new = pd.DataFrame({"user_id": events["user_id"], "k": k, "before": one, "last": events["event_type"]})[end]
+        kept = pd.concat([kept[~kept["user_id"].isin(new["user_id"])], new])
+        text = lambda c: [None if pd.isna(x) else x for x in kept[c]]
+        self.last.update((kept["user_id"].tolist(), kept["k"].tolist(), text("before"), text("last")))
+        yield pd.DataFrame({"user_id": events["user_id"][found].astype("int64"), "k": (k - 2)[found]})
 
     def close(self) -> None:
         pass
@@ -181,17 +194,19 @@ class ChainMatcher(StatefulProcessor):
 def st7_chain(spark, sf):
     # The stream's own Python process starts before the session's files reach it.
     cloudpickle.register_pickle_by_value(sys.modules[__name__])
-    old = spark.conf.get("spark.sql.streaming.stateStore.providerClass", None)
-    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    settings = {"spark.sql.streaming.stateStore.providerClass": "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"}
+    old = {k: spark.conf.get(k, None) for k in settings}
+    for k, v in settings.items():
+        spark.conf.set(k, v)
+    users = read_table(spark, sf, "events").agg(F.approx_count_distinct("user_id")).first()[0]
+    bucket = F.pmod(F.xxhash64("user_id"), F.lit(max(1, -(-users // USERS_EACH)))).alias("bucket")
     try:
-        stream = event_stream(spark, sf).groupBy("user_id").transformWithStateInPandas(ChainMatcher(), "user_id long, k long", "Append", "None")
-        return to_files(stream)
+        events = event_stream(spark, sf).where("user_id is not null").select(bucket, "user_id", "ts", "event_id", "event_type")
+        return to_files(events.groupBy("bucket").transformWithStateInPandas(ChainMatcher(), "user_id long, k long", "Append", "None"))
     finally:
         cloudpickle.unregister_pickle_by_value(sys.modules[__name__])
-        if old is None:
-            spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
-        else:
-            spark.conf.set("spark.sql.streaming.stateStore.providerClass", old)
+        for k, v in old.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
 
 
 def match_stream(stream: DataFrame, graph: CongruenceGraph, pattern, deltas: Callable[[DataFrame], dict[str, DataFrame]], folder: str | None = None) -> MatchState:
