@@ -82,12 +82,12 @@ class PackWriter:
     def _flush(self, last: bool) -> None:
         ids = np.concatenate(self.held) if self.held else np.empty(0, "<u4")
         full = len(ids) if last else len(ids) // BLOCK * BLOCK
-        for a in range(0, full, BLOCK):
-            data = pack(ids[a : min(a + BLOCK, full)], self.bits)
-            self.blocks.append(self.at)
-            self.out.write(data)
-            self.crc = zlib.crc32(data, self.crc)
-            self.at += len(data)
+        # A block is a whole number of rows of 64, so blocks packed together are the blocks side by side.
+        data, each = pack(ids[:full], self.bits), BLOCK // 64 * self.bits * 8
+        self.blocks.extend(range(self.at, self.at + len(data), each))
+        self.out.write(data)
+        self.crc = zlib.crc32(data, self.crc)
+        self.at += len(data)
         self.held, self.n_held = [ids[full:]], len(ids) - full
 
     def close(self) -> None:

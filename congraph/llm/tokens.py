@@ -8,13 +8,15 @@ the whole text go to the library in one call, so ids always equal those of the l
 from __future__ import annotations
 
 import os
+import sys
+from array import array
 
 import numpy as np
 
 from congraph.llm.common import CACHES
 
-#: Pieces that a worker keeps; the cache starts anew beyond that.
-CACHE_PIECES = 600_000
+#: Pieces that a worker keeps, in a vocabulary of words and in one of bytes; the cache starts anew beyond that.
+CACHE_PIECES, CACHE_BYTE_PIECES = 600_000, 1_200_000
 #: Letters below this code point lower-case to one letter and are stable under composition.
 _PLAIN = "İ"
 _PLAIN_END = frozenset(".,;:!?")
@@ -42,25 +44,41 @@ class PieceCache(dict):
         self.model, self.words = self.tokenizer.model, words
         self.vocab_size = self.tokenizer.get_vocab_size()
         self.dtype = "<u2" if self.vocab_size <= 1 << 16 else "<u4"
+        #: Array code of dtype, where the machine's own order is little-endian.
+        self.code = {"<u2": "H", "<u4": "I"}[self.dtype] if sys.byteorder == "little" else None
+        self.ends: dict[str, bytes] = {}
 
     def whole(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, self.dtype).tobytes()
 
-    def _word(self, text: str) -> list[int]:
-        return [t.id for t in self.model.tokenize(text.encode().decode("latin-1").translate(_BYTES))]
+    def _word(self, text: str) -> bytes:
+        ids = [t.id for t in self.model.tokenize(text)]
+        return array(self.code, ids).tobytes() if self.code else np.array(ids, self.dtype).tobytes()
+
+    def _end(self, mark: str) -> bytes:
+        if mark not in self.ends:
+            self.ends[mark] = self._word(mark)
+        return self.ends[mark]
 
     def _plain(self, piece: str, lead: str) -> bytes | None:
-        """Ids of a word with at most one mark after it, straight from the model."""
-        end = ""
+        """Ids of a word with at most one mark after it, straight from the model. A word that is there without the mark is
+        not taken anew."""
+        end = b""
         if piece[-1:] in _PLAIN_END:
-            piece, end = piece[:-1], piece[-1]
-        if not piece.isalpha() or max(piece) >= _PLAIN:
+            end, piece = self._end(piece[-1]), piece[:-1]
+            if lead and end and (known := self.get(piece)) and piece.isalpha():
+                return known + end
+        if not piece.isalpha():
+            return None
+        if piece.isascii():
+            # Printable ASCII stands for itself, a space for its stand-in.
+            return self._word((_BYTES[0x20] if lead else "") + (piece.lower() if self.words else piece)) + end
+        if max(piece) >= _PLAIN:
             return None
-        ids = self._word(lead + (piece.lower() if self.words else piece))
-        return np.array(ids + self._word(end) if end else ids, self.dtype).tobytes()
+        return self._word((lead + (piece.lower() if self.words else piece)).encode().decode("latin-1").translate(_BYTES)) + end
 
     def __missing__(self, piece: str) -> bytes | None:
-        if len(self) >= CACHE_PIECES:
+        if len(self) >= (CACHE_PIECES if self.words else CACHE_BYTE_PIECES):
             self.clear()
         if self.words:
             got = (self._plain(piece, "") if piece else b"") or (self.whole(piece) if piece else b"")
